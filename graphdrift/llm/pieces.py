@@ -90,7 +90,8 @@ class ChunkTable:
 
     def segment(self, chunk: str) -> tuple[bytes, str]:
         self.misses += 1
-        ids = self.sp.encode(chunk[1:].replace(MARK, " "), num_threads=1)
+        # the library puts the first mark before any text but the empty one
+        ids = self.sp.encode(chunk[1:].replace(MARK, " "), num_threads=1) if chunk != MARK else [self.sp.piece_to_id(MARK)]
         entry = np.asarray(ids, "<i4").tobytes(), self.plain(ids)
         if len(chunk) <= self.longest:
             if len(self.known) >= self.most:
