@@ -149,7 +149,7 @@ def decode_ids(frame: DataFrame, ids: str = "piece_ids", decoded: str = "piece_t
             texts = [None if x is None else table.decode(x) for x in batch.column(keep.index(ids)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*keep, decoded])
 
-    return frame.mapInArrow(run, frame.schema.add(decoded, T.StringType()))
+    return frame.mapInArrow(run, T.StructType([*frame.schema.fields, T.StructField(decoded, T.StringType())]))
 
 
 def piece_digests(docs: DataFrame, model: str | None = None) -> DataFrame:

@@ -6,13 +6,21 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdrift.llm import common, mixing, pieces, sharding
+from graphdrift.llm import common, mixing, pieces, sharding, suffix_dedup, superminhash
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixed_documents(common.read_documents(spark, sf_dir))
 
 
+def op3_repeated_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.removal_digests(common.read_documents(spark, sf_dir))
+
+
+def op5_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return superminhash.near_duplicates(common.read_documents(spark, sf_dir), percent=85)
+
+
 def op7_shard_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(common.read_documents(spark, sf_dir))
 
