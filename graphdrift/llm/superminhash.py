@@ -86,7 +86,7 @@ def superminhash(values: np.ndarray, starts: np.ndarray, slots: int = SLOTS) ->
     for j in range(slots):
         if not len(live):
             break
-        r = scramble(values[live] + np.uint64(j + 1) * _ODD)
+        r = scramble(values[live] + np.uint64((j + 1) * int(_ODD) & 0xFFFFFFFFFFFFFFFF))
         k = j + (((r & np.uint64(0xFFFFFFFF)) * np.uint64(slots - j)) >> np.uint64(32)).astype(np.int64)
         slot = order[live, k]
         order[live, k] = order[live, j]
