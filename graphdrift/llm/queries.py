@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphdrift.llm import common, merkle, mixing, pieces, pu_quality, sharding, suffix_dedup, superminhash, webp
+from graphdrift.llm import common, merkle, mixing, pieces, pu_quality, sharding, suffix_dedup, superminhash, token_scan, transcripts, webp
 
 
 def op1_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -37,6 +37,14 @@ def op7_shard_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(common.read_documents(spark, sf_dir))
 
 
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_scan.token_counts(common.read_documents(spark, sf_dir))
+
+
+def op9_transcript_roles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return transcripts.recovered_roles(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+
+
 def op10_piece_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.piece_digests(common.read_documents(spark, sf_dir))
 
