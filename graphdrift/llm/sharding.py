@@ -39,11 +39,15 @@ def keyed(docs: DataFrame) -> DataFrame:
     )
 
 
-def weighted_sample(records: DataFrame, most: int) -> list[tuple[str, str]]:
-    """Up to ``most`` keys, drawn without replacement with chances proportional to size."""
+def weighted_sample(records: DataFrame, most: int, total: int) -> list[tuple[str, str]]:
+    """About ``most`` keys, drawn without replacement with chances proportional to size.
+
+    Ranks are exponential with rate size, so about ``most`` of them lie below
+    most / total; only those leave the executors, however many tasks there are.
+    """
     draw = (F.pmod(F.xxhash64(*KEY), F.lit(2**52)) + 1) / F.lit(float(2**52 + 1))
-    ranked = records.select(*KEY, (-F.log(draw) / F.col("size")).alias("rank"))
-    return [(r["k1"], r["k2"]) for r in ranked.orderBy("rank", *KEY).limit(most).select(*KEY).collect()]
+    below = records.where(-F.log(draw) / F.col("size") <= F.lit(most / max(1, total)))
+    return [(r["k1"], r["k2"]) for r in below.select(*KEY).distinct().collect()]
 
 
 def boundaries(sample: list[tuple[str, str]], ranges: int) -> list[tuple[str, str]]:
@@ -71,7 +75,7 @@ def subdivided(records: DataFrame, bounds: list[tuple[str, str]], ranges: int, p
     if not big:
         return bounds
     inside = with_range(records, bounds).where(F.col("range").isin(big))
-    more = [boundaries(x, int(np.ceil(totals[k] / mean))) for k in big if (x := weighted_sample(inside.where(F.col("range") == k), int(per_range * np.ceil(totals[k] / mean))))]
+    more = [boundaries(x, int(np.ceil(totals[k] / mean))) for k in big if (x := weighted_sample(inside.where(F.col("range") == k), int(per_range * np.ceil(totals[k] / mean)), totals[k]))]
     return sorted({*bounds, *(b for x in more for b in x)})
 
 
@@ -85,7 +89,7 @@ def shard_records(docs: DataFrame, shards: int = 16, per_range: int = 32, least_
     records = common.cut(keyed(docs))
     total = records.agg(F.sum("size")).first()[0] or 0
     ranges = int(min(most_ranges, max(least_ranges, total // range_bytes)))
-    bounds = boundaries(weighted_sample(records, ranges * per_range), ranges)
+    bounds = boundaries(weighted_sample(records, ranges * per_range, total), ranges)
     bounds = subdivided(records, bounds, ranges, per_range, overfull)
     records = with_range(records, bounds)
     # one row a range: bounded by the number of splitters
@@ -94,9 +98,7 @@ def shard_records(docs: DataFrame, shards: int = 16, per_range: int = 32, least_
     line = records.join(F.broadcast(before), "range")
     order = Window.partitionBy("range").orderBy("k1", "k2", "doc_id")
     line = line.withColumn("upto", F.sum("size").over(order.rowsBetween(Window.unboundedPreceding, 0)) + F.col("start"))
-    middle = 2 * F.col("upto") - F.col("size")
     line = line.withColumn("shard", F.least(F.lit(shards - 1), F.floor(F.expr(f"({shards} * (2 * upto - size)) div {max(1, 2 * total)}"))).cast("int")) if total else line.withColumn("shard", F.lit(0))
-    del middle
     within = Window.partitionBy("range", "shard").orderBy("k1", "k2", "doc_id")
     line = common.cut(line.withColumn("nth", F.row_number().over(within).cast("long")).select("doc_id", "size", "text_crc32", "range", "shard", "nth"))
     # pieces: at most one row a range and shard
