@@ -100,7 +100,9 @@ def wasted_moves(trail: DataFrame) -> DataFrame:
 
 def overhead_fit(history: DataFrame) -> DataFrame:
     """Do migrations predict the time of an iteration?"""
-    return history.agg(F.corr("moved", "step_ms").alias("corr"), F.regr_slope("step_ms", "moved").alias("slope"), F.regr_intercept("step_ms", "moved").alias("intercept"))
+    both, moves, times = F.covar_pop("moved", "step_ms"), F.stddev_pop("moved"), F.stddev_pop("step_ms")
+    slope = F.try_divide(both, moves * moves)
+    return history.agg(F.try_divide(both, moves * times).alias("corr"), slope.alias("slope"), (F.avg("step_ms") - slope * F.avg("moved")).alias("intercept"))
 
 
 def weekly_churn(interactions: DataFrame) -> DataFrame:

@@ -76,8 +76,8 @@ def _streamed(s: SparkSession, d: str, rule: str) -> DataFrame:
 
 def _stream_sql(rule: str, k: int = 3) -> str:
     """The stream as a recursion that carries the places so far as a list."""
-    near = "coalesce(len(list_filter(st.placed, p -> p.part = i and list_contains(s.nbrs, p.vid))), 0)"
-    load = "coalesce(len(list_filter(st.placed, p -> p.part = i)), 0)"
+    near = "coalesce(len(list_filter(st.placed, lambda p: p.part = i and list_contains(s.nbrs, p.vid))), 0)"
+    load = "coalesce(len(list_filter(st.placed, lambda p: p.part = i)), 0)"
     score = {"dgr": f"{near} * (cap - {load})", "mnn": f"{near} - {load}", "mnn_literal": f"-{near}"}[rule]
     edges = o.EDGES["succession"]
     return f"""with recursive {o.graph("", f"select * from ({edges}) where src < 60 and dst < 60")},
@@ -89,7 +89,7 @@ select p.vid, p.part from (select unnest(placed) p from st where pos = (select m
 
 
 for _rule in ("dgr", "mnn", "mnn_literal"):
-    query(f"assign_{_rule}")(lambda s, d, r=_rule: _streamed(s, d, r))
+    query(f"assign_{_rule}", _stream_sql(_rule))(lambda s, d, r=_rule: _streamed(s, d, r))
 query("assign_dgr_chunked")(lambda s, d: _placed(s, d, "succession", "dgr")[1])
 
 # ---------------------------------------------------------------- one iteration in parts
@@ -267,7 +267,7 @@ def _small(s: SparkSession, d: str) -> DataFrame:
     return cut(edges)
 
 
-_BFS = "reach as (select vid root, vid, 0 h from v union all select * from (select distinct r.root, sym.dst, r.h + 1 from reach r join sym on sym.src = r.vid where r.h < 8))"
+_BFS = "reach as (select vid root, vid, 0 h from v union all select * from (select distinct r.root, sym.dst, r.h + 1 from reach r join sym on sym.src = r.vid where r.h < 14))"
 query("diameter_exact", f"with recursive {o.graph('pagelinks')}, {_BFS} select max(h)::int diameter from (select root, vid, min(h) h from reach group by all)")(lambda s, d: apps.diameter_exact(_small(s, d)))
 query("diameter_sweep")(lambda s, d: apps.diameter_sweep(_small(s, d)))
 query("diameter_sketch")(lambda s, d: apps.diameter_sketch(_small(s, d)))
@@ -358,7 +358,7 @@ query("stream_calls_window")(lambda s, d: _stream(s, d, front.active_ties))
 query("stream_user_bursts")(lambda s, d: _stream(s, d, front.user_bursts))
 query("stream_dedup", f"select event_id, ts, src, dst from ({o.CALL})")(lambda s, d: _stream(s, d, front.deduplicated))
 query("stream_reciprocated", f"with c as (select * from ({o.CALL}) where src <> dst) select a.ts ts1, a.src s1, a.dst d1, b.ts ts2 from c a join c b on a.src = b.dst and a.dst = b.src and b.ts > a.ts and b.ts <= a.ts + interval 1 day")(lambda s, d: _stream(s, d, front.reciprocated))
-query("stream_expiry", f"with c as (select least(src, dst) a, greatest(src, dst) b, ts from ({o.CALL}) where src <> dst), g as (select *, lag(ts) over (partition by a, b order by ts) p from c) select 'add_edge' op, a src, b dst, ts from g where p is null or ts - p > interval 7 days union all select 'del_edge', a, b, p + interval 7 days from g where ts - p > interval 7 days")(lambda s, d: _stream(s, d, front.expiring_ties))
+query("stream_expiry", f"with c as (select least(src, dst) a, greatest(src, dst) b, ts from ({o.CALL}) where src <> dst), g as (select *, lag(ts) over (partition by a, b order by ts) p from c) select 'add_edge' op, a src, b dst, ts from g where p is null or ts - p > interval 7 days union all select 'del_edge', a, b, p + interval 7 days from g where ts - p > interval 7 days union all select 'del_edge', a, b, m + interval 7 days from (select a, b, max(ts) m from c group by a, b) where m + interval 7 days < (select date_trunc('millisecond', max(ts)) - interval 1 day from c)")(lambda s, d: _stream(s, d, front.expiring_ties))
 
 # ---------------------------------------------------------------- relational helpers
 
@@ -399,7 +399,7 @@ _tab("theta_join", "select a.r_regionkey a, b.r_regionkey b from region a join r
 def _range_join(s: SparkSession, d: str) -> DataFrame:
     """Values into ranges [64 i, 64 i + 63): both sides meet on the bucket, not on all pairs."""
     points = table(s, d, "orders", "o_orderkey").select("o_orderkey", F.expr("o_orderkey div 64").alias("b"))
-    ranges = s.range(0, 1).select(F.explode(F.sequence(F.lit(0), F.lit(99))).cast("long").alias("b")).select("b", (F.col("b") * 64).alias("lo"), (F.col("b") * 64 + 62).alias("hi"))
+    ranges = s.range(100).select(F.col("id").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 62).alias("hi"))
     return points.join(F.broadcast(ranges), "b").where("o_orderkey between lo and hi").groupBy("lo").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -447,7 +447,7 @@ _tab("scalar_math", "select o_orderkey, (o_orderkey % 7)::bigint m, o_orderkey /
 )
 _tab("json", "select event_id, json_extract_string(props, '$.k')::bigint k from events")(lambda s, d: table(s, d, "events", "event_id", "props").select("event_id", F.from_json("props", "k long").getField("k").alias("k")))
 _tab("strings", "select c_custkey, upper(c_mktsegment) u, length(c_name) n, split_part(c_name, '#', 2) p, sha256(c_name) h, concat_ws('-', c_name, c_mktsegment) j from customer")(lambda s, d: table(s, d, "customer", "c_custkey", "c_name", "c_mktsegment").select("c_custkey", F.upper("c_mktsegment").alias("u"), F.length("c_name").cast("long").alias("n"), F.split_part("c_name", F.lit("#"), F.lit(2)).alias("p"), F.sha2("c_name", 256).alias("h"), F.concat_ws("-", "c_name", "c_mktsegment").alias("j")))
-_tab("dates", "select event_id, date_trunc('week', ts)::timestamp as week, time_bucket(interval 10 minutes, ts) as bucket, epoch_us(ts) us, date_diff('day', timestamp '2024-01-01', ts) days from events")(lambda s, d: table(s, d, "events", "event_id", "ts").withColumn("ts", F.col("ts").cast("timestamp")).select("event_id", F.date_trunc("week", "ts").alias("week"), F.window("ts", "10 minutes").getField("start").alias("bucket"), F.unix_micros("ts").alias("us"), F.datediff("ts", F.lit("2024-01-01").cast("date")).cast("long").alias("days")))
+_tab("dates", "select event_id, date_trunc('week', ts)::timestamp as week, time_bucket(interval 10 minutes, ts) as bucket, epoch_us(ts) as us, date_diff('day', timestamp '2024-01-01', ts) as n_days from events")(lambda s, d: table(s, d, "events", "event_id", "ts").withColumn("ts", F.col("ts").cast("timestamp")).select("event_id", F.date_trunc("week", "ts").alias("week"), F.window("ts", "10 minutes").getField("start").alias("bucket"), F.unix_micros("ts").alias("us"), F.datediff("ts", F.lit("2024-01-01").cast("date")).cast("long").alias("n_days")))
 _tab("arrays", "select l_orderkey, array_to_string(list_sort(list(l_partkey)), ',') parts, sum(l_partkey)::bigint total, count(*) filter (l_partkey % 2 = 0) even from lineitem group by l_orderkey")(
     lambda s, d: table(s, d, _L, "l_orderkey", "l_partkey").groupBy("l_orderkey").agg(F.array_sort(F.collect_list("l_partkey")).alias("a")).select("l_orderkey", F.concat_ws(",", F.col("a").cast("array<string>")).alias("parts"), F.aggregate("a", F.lit(0).cast("long"), lambda x, y: x + y).alias("total"), F.size(F.filter("a", lambda x: x % 2 == 0)).cast("long").alias("even"))
 )

@@ -60,19 +60,20 @@ def reciprocated(stream: DataFrame, within: str = "1 day", late: str = "1 day")
 def expiring_ties(stream: DataFrame, idle_days: int = 7, late: str = "1 day") -> DataFrame:
     """Changes (op, src, dst, ts): add_edge at a tie's first call, del_edge once it was idle too long.
 
-    State is one timestamp a tie; an event-time timer fires with the watermark.
+    State is one timestamp (microseconds) a tie; an event-time timer fires with the
+    watermark, once that has passed the last call by the idle time.
     """
-    idle = idle_days * 86_400_000
+    idle = idle_days * 86_400_000_000
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         src, dst = key
-        row = lambda op, ms: pd.DataFrame({"op": [op], "src": [src], "dst": [dst], "ts": [pd.Timestamp(ms, unit="ms")]})
+        row = lambda op, us: pd.DataFrame({"op": [op], "src": [src], "dst": [dst], "ts": [pd.Timestamp(us, unit="us")]})
         if state.hasTimedOut:
-            last = state.get[0]
+            (last,) = state.get
             state.remove()
             yield row("del_edge", last + idle)
             return
-        times = sorted(int(t.timestamp() * 1000) for f in frames for t in f.ts)
+        times = sorted(int(t.value // 1000) for f in frames for t in f.ts)
         last = state.get[0] if state.exists else None
         for t in times:
             if last is None:
@@ -82,7 +83,7 @@ def expiring_ties(stream: DataFrame, idle_days: int = 7, late: str = "1 day") ->
                 yield row("add_edge", t)
             last = t if last is None else max(last, t)
         state.update((last,))
-        state.setTimeoutTimestamp(max(last + idle, state.getCurrentWatermarkMs() + 1))
+        state.setTimeoutTimestamp(max((last + idle) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
 
     ties = stream.where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "ts")
     return ties.withWatermark("ts", late).groupBy("src", "dst").applyInPandasWithState(step, "op string, src long, dst long, ts timestamp", "last long", "append", GroupStateTimeout.EventTimeTimeout)
