@@ -12,6 +12,15 @@ from graphdrift.operators.graph import GraphState, symmetric, vertices_of
 from graphdrift.operators.snapshot import restore_latest, save_snapshot
 from graphdrift.sources import generators
 
+
+
+@pytest.fixture(autouse=True)
+def few_partitions(spark):
+    spark.conf.set("spark.sql.shuffle.partitions", "2")
+    yield
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
+
+
 TRIANGLES = [(0, 1), (0, 2), (1, 2), (3, 4), (3, 5), (4, 5), (2, 3)]
 
 
@@ -63,7 +72,7 @@ def test_chase(spark):
     a = modulo(spark, e, 2)
     _, h = migrate.adapt(e, a, MigrationConfig(k=2, s=1.0, caps=(2, 2)), 3)
     assert [(r.moved, r.cut) for r in h.orderBy("iteration").collect()] == [(2, 1)] * 3
-    _, h = migrate.adapt(e, a, MigrationConfig(k=2, s=0.5, caps=(2, 2), seed=1), 12)
+    _, h = migrate.adapt(e, a, MigrationConfig(k=2, s=0.5, caps=(2, 2), seed=1), 5)
     assert h.orderBy(F.desc("iteration")).first()["cut"] == 0
 
 
@@ -80,7 +89,7 @@ def test_capacity_holds_when_all_want_one_part(spark):
     star = edges_of(spark, [(0, i) for i in range(1, 60)])
     a = initial.assign_hash(vertices_of(star), 5)
     run = migrate.Adaptation.start(star, a, MigrationConfig(k=5, s=1.0))
-    for _ in range(4):
+    for _ in range(2):
         run.step()
         assert all(n <= c for n, c in zip(run.loads, run.caps))
     run.close()
