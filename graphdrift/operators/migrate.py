@@ -174,7 +174,8 @@ class Adaptation:
         wanted = (F.col("to_part") != F.col("from_part")) & (F.col("s0").isNull() | (F.col("s0") < t))
         rows = willing.withColumn("wanted", wanted).withColumn("acted", wanted & coin(cfg.s if cfg.adaptive else 0.0, t, cfg.seed))
         if cfg.use_quota and cfg.k > 1:
-            room = self.spark.createDataFrame([(p, r) for p, r in enumerate(remaining)], "part int, remaining long")
+            part = F.col("id").cast("int")
+            room = self.spark.range(cfg.k).select(part.alias("part"), F.get(F.array(*[F.lit(r).cast("long") for r in remaining]), part).alias("remaining"))
             moves = admit(rows.where("acted"), room, cfg.k, cfg, t, max(remaining) // (cfg.k - 1) + 1)
         else:
             moves = rows.where("acted").select("vid", "from_part", "to_part", "gain")
