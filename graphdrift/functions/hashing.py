@@ -32,6 +32,19 @@ def threshold(s: float) -> int:
     return int(s * 2**32)
 
 
+def mix32_text(x: str, salt: str = "0") -> str:
+    """The same hash as Spark SQL text, which takes one call to parse."""
+    v = f"((({x} ^ shiftright(cast({x} as bigint), 32)) & {MASK}) + {salt} & {MASK})"
+    for _ in range(2):
+        v = f"((shiftright({v}, 16) ^ {v}) * {FACTOR} & {MASK})"
+    return f"(shiftright({v}, 16) ^ {v})"
+
+
+def salt_text(seed: int, use: int, iteration: int = 0, part: str = "0") -> str:
+    """The same salt as Spark SQL text."""
+    return f"({seed * 7919 + use * 15485863 + iteration * 104729}L + cast({part} as bigint) * 1299709L)"
+
+
 def mix32_sql(x: str, salt: str = "0") -> str:
     """The same hash in DuckDB SQL."""
     v = f"(((xor({x}, ({x}) >> 32) & {MASK}) + ({salt})) & {MASK})"

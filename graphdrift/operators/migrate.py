@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from graphdrift import schemas
 from graphdrift.config import MigrationConfig
-from graphdrift.functions.hashing import ADMIT, COIN, TIE, mix32, salt_of, threshold
+from graphdrift.functions.hashing import ADMIT, COIN, TIE, mix32, mix32_text, salt_of, salt_text, threshold
 from graphdrift.functions.lineage import cut
 from graphdrift.operators.graph import symmetric
 
@@ -61,7 +61,7 @@ def damped(proposals: DataFrame, s: float, iteration: int, seed: int = 0) -> Dat
 
 
 def coin(s: float, iteration: int, seed: int) -> Column:
-    return mix32("vid", salt_of(seed, COIN, iteration)) < threshold(s)
+    return F.expr(f"{mix32_text('vid', salt_text(seed, COIN, iteration))} < {threshold(s)}")
 
 
 def capacity_plan(n: int, k: int, slack: float | None = 1.10, vector: tuple[int, ...] | None = None, loads: list[int] | None = None) -> list[int]:
@@ -89,7 +89,7 @@ def quota_of(remaining: Column, from_part: Column, to_part: Column, k: int, rema
     """
     if k < 2:
         return F.lit(0).cast("long")
-    base = F.expr("1") * F.floor(remaining / F.lit(k - 1)).cast("long")
+    base = F.floor(remaining / F.lit(k - 1)).cast("long")
     if remainder == "drop":
         return base
     turn = F.pmod(F.when(from_part < to_part, from_part).otherwise(from_part - 1) - F.lit(iteration), F.lit(k - 1))
@@ -104,18 +104,27 @@ def pair_quotas(room: DataFrame, k: int, remainder: str = "rotate", iteration: i
 
 
 def _order(admission: str, iteration: int, seed: int):
-    h = mix32("vid", salt_of(seed, ADMIT, iteration))
+    h = F.expr(mix32_text("vid", salt_text(seed, ADMIT, iteration)))
     first = [F.desc("gain")] if admission == "gain" else []
     return Window.partitionBy("from_part", "to_part").orderBy(*first, h, "vid")
 
 
-def admit(proposals: DataFrame, room: DataFrame, k: int, cfg: MigrationConfig, iteration: int, most: int | None = None) -> DataFrame:
-    """Proposals within their pair's quota. ``most``: a literal bound on quotas, for the limit before the exchange."""
+def admit(proposals: DataFrame, room: DataFrame | list[int], k: int, cfg: MigrationConfig, iteration: int, most: int | None = None) -> DataFrame:
+    """Proposals within their pair's quota.
+
+    ``room``: a frame of parts and their remaining places, or those as a list, whose
+    largest quota is then the literal bound (``most``) that limits groups before the exchange.
+    """
+    listed = isinstance(room, list)
     ranked = proposals.withColumn("rn", F.row_number().over(_order(cfg.admission, iteration, cfg.seed)))
+    if listed:
+        most = max(room) // max(1, k - 1) + 1
+        ranked = ranked.withColumn("remaining", F.expr(f"array({', '.join(f'{r}L' for r in room)})[to_part]"))
     if most is not None:
         ranked = ranked.where(F.col("rn") <= most)
-    r = room.select(F.col("part").alias("to_part"), "remaining")
-    fits = ranked.join(F.broadcast(r), "to_part").where(F.col("rn") <= quota_of(F.col("remaining"), F.col("from_part"), F.col("to_part"), k, cfg.quota_remainder, iteration))
+    if not listed:
+        ranked = ranked.join(F.broadcast(room.select(F.col("part").alias("to_part"), "remaining")), "to_part")
+    fits = ranked.where(F.col("rn") <= quota_of(F.col("remaining"), F.col("from_part"), F.col("to_part"), k, cfg.quota_remainder, iteration))
     return fits.select("vid", "from_part", "to_part", "gain")
 
 
@@ -155,7 +164,8 @@ class Adaptation:
     @classmethod
     def start(cls, edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig) -> Adaptation:
         spark = edges.sparkSession
-        sym = symmetric(edges).repartition("dst").persist()
+        # a fixed number of partitions, so that adaptive execution keeps what the join needs
+        sym = symmetric(edges).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "dst").persist()
         state = cut(full_state(assignment))
         loads = [0] * cfg.k
         for r in state.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect():
@@ -163,35 +173,49 @@ class Adaptation:
         caps = capacity_plan(sum(loads), cfg.k, cfg.slack if cfg.use_quota else None, cfg.caps, loads)
         return cls(spark, sym, state, cfg, caps, loads)
 
+    def proposals(self, t: int) -> DataFrame:
+        """Every vertex with its state, the part it would rather be in, whether it asks for it, and its coin.
+
+        Arcs and the state are one union: a vertex's own row tells its place, so neither
+        the histogram nor the outcome is joined with the state again. Hubs shrink to a row
+        a part and task before the exchange.
+        """
+        cfg, state = self.cfg, self.state
+        place = state.select(F.col("vid").alias("dst"), "part")
+        arcs = self.sym.join(place, "dst").selectExpr("src vid", "part", "1L n", "cast(null as int) home", "cast(null as int) settle")
+        own = state.selectExpr("vid", "part", f"{int(cfg.count_self)}L n", "home", "settle")
+        hist = arcs.unionAll(own).groupBy("vid", "part").agg(F.sum("n").alias("n"), F.max("home").alias("home"), F.max("settle").alias("settle"))
+        tie = mix32_text("vid", salt_text(cfg.seed, TIE, t, "part")) if cfg.tie_break == "hash" else "0L"
+        best = hist.groupBy("vid").agg(
+            F.expr(f"max(struct(n, home is not null o, {tie} tie, -part p)) b"),
+            F.expr("sum(if(home is null, 0L, n)) here"),
+            F.expr("sum(n) degree"),
+            F.expr("max(if(home is null, null, part)) part"),
+            F.expr("max(home) home"),
+            F.expr("max(settle) settle"),
+        )
+        free = f"(settle is null or settle < {t})" if cfg.deferred else "true"
+        act = F.col("wanted") & coin(cfg.s if cfg.adaptive else 0.0, t, cfg.seed)
+        return best.where("home is not null").selectExpr("vid", "part", "home", "settle", "-b.p want", "b.n - here gain", "degree - here away", "degree", f"-b.p <> part and {free} wanted").withColumn("acted", act)
+
     def step(self) -> dict:
         """One iteration; returns its history row (``cut`` is that of the state it found)."""
         cfg, began = self.cfg, time.time()
         self.iteration = t = self.iteration + 1
-        state = self.state
-        wants = preferred(neighbour_histogram(self.sym, state, cfg.count_self), state, cfg.tie_break, t, cfg.seed)
-        remaining = [max(0, c - n) for c, n in zip(self.caps, self.loads)]
-        willing = wants.join(state.select("vid", F.col("settle").alias("s0")), "vid") if cfg.deferred else wants.withColumn("s0", F.lit(None).cast("int"))
-        wanted = (F.col("to_part") != F.col("from_part")) & (F.col("s0").isNull() | (F.col("s0") < t))
-        rows = willing.withColumn("wanted", wanted).withColumn("acted", wanted & coin(cfg.s if cfg.adaptive else 0.0, t, cfg.seed))
+        wants = self.proposals(t).persist()  # read by the admission and again by its outcome
+        going = wants.where("acted").select("vid", F.col("part").alias("from_part"), F.col("want").alias("to_part"), "gain")
         if cfg.use_quota and cfg.k > 1:
-            part = F.col("id").cast("int")
-            room = self.spark.range(cfg.k).select(part.alias("part"), F.get(F.array(*[F.lit(r).cast("long") for r in remaining]), part).alias("remaining"))
-            moves = admit(rows.where("acted"), room, cfg.k, cfg, t, max(remaining) // (cfg.k - 1) + 1)
+            going = admit(going, [max(0, c - n) for c, n in zip(self.caps, self.loads)], cfg.k, cfg, t)
+        told = wants.join(going.select("vid", "to_part"), "vid", "left")
+        moved = "to_part is not null"
+        if cfg.deferred:
+            home = f"case when {moved} then home when settle <= {t} then part else home end"
+            settle = f"case when {moved} then {t + 1} when settle > {t} then settle end"
         else:
-            moves = rows.where("acted").select("vid", "from_part", "to_part", "gain")
-        told = rows.select("vid", "wanted", "acted", "own", "degree").join(moves.select("vid", "to_part"), "vid", "left")
-        new = state.join(told, "vid", "left").select(
-            "vid",
-            F.coalesce("to_part", "part").alias("part"),
-            (F.when(F.col("to_part").isNotNull(), F.col("home" if cfg.deferred else "to_part")).when(F.col("settle") <= t, F.col("part")).otherwise(F.col("home"))).alias("home"),
-            (F.when(F.col("to_part").isNotNull(), F.lit(t + 1)).when(F.col("settle") > t, F.col("settle")) if cfg.deferred else F.lit(None).cast("int")).cast("int").alias("settle"),
-            F.col("to_part").isNotNull().alias("moved"),
-            F.coalesce("wanted", F.lit(False)).alias("wanted"),
-            F.coalesce("acted", F.lit(False)).alias("acted"),
-            F.coalesce(F.col("degree") - F.col("own"), F.lit(0)).alias("away"),
-            F.coalesce("degree", F.lit(0)).alias("degree"),
-        )
+            home, settle = f"case when {moved} then to_part when settle <= {t} then part else home end", "cast(null as int)"
+        new = told.selectExpr("vid", "coalesce(to_part, part) part", f"{home} home", f"cast({settle} as int) settle", f"{moved} moved", "wanted", "acted", "away", "degree")
         new = cut(new)
+        wants.unpersist()
         count = lambda c: F.sum(F.col(c).cast("long")).alias(c)
         per_part = new.groupBy("part").agg(F.count(F.lit(1)).alias("n"), count("moved"), count("wanted"), count("acted"), count("away"), count("degree")).collect()
         self.loads = [0] * cfg.k
