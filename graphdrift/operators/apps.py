@@ -70,14 +70,17 @@ def max_cliques(edges: DataFrame, ordered: bool = False) -> DataFrame:
     neighbour j, vertex i holds the list of common neighbours with i and j
     themselves; a list that comes from all its other members is a clique. Where
     none is, the best is an edge (lowest neighbour), or the vertex alone. ``ordered``
-    looks at higher ids only, so a clique is found once, at its lowest member.
+    asks higher neighbours only and lists no member below itself, so a clique is found
+    once, at its lowest member; neighbours send whole lists all the same, or the lists of
+    a clique's members couldn't agree.
     Of equally large cliques the one with the lowest members is given.
     """
     arcs = edges.select("src", "dst") if ordered else symmetric(edges)
-    lists = arcs.groupBy(F.col("src").alias("vid")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))
-    sent = arcs.join(lists.select(F.col("vid").alias("dst"), F.col("nbrs").alias("theirs")), "dst", "left" if ordered else "inner")
+    lists = symmetric(edges).groupBy(F.col("src").alias("vid")).agg(F.array_sort(F.collect_list("dst")).alias("nbrs"))
+    sent = arcs.join(lists.select(F.col("vid").alias("dst"), F.col("nbrs").alias("theirs")), "dst")
+    own = F.filter("nbrs", lambda x: x > F.col("src")) if ordered else F.col("nbrs")
     held = sent.join(lists.withColumnRenamed("vid", "src"), "src")
-    common = F.array_intersect("nbrs", F.coalesce("theirs", F.array().cast("array<bigint>")))
+    common = F.array_intersect(own, "theirs")
     closed = F.array_sort(F.array_union(common, F.array("src", "dst")))
     rows = held.select(F.col("src").alias("vid"), closed.alias("members"))
     times = rows.groupBy("vid", "members").agg(F.count(F.lit(1)).alias("n"))

@@ -120,9 +120,10 @@ def pagerank(name: str, steps: int, damping: float = 0.85, unit: int = 1_000_000
 
 def cliques(edges: str, ordered: bool) -> str:
     arcs = "select src, dst from edges" if ordered else "select src, dst from sym"
+    own = "list_filter(x.nbrs, lambda n: n > a.src)" if ordered else "x.nbrs"
     return f"""with {graph("", edges)}, arcs as materialized ({arcs}),
-lists as materialized (select src vid, list_sort(list(dst)) nbrs from arcs group by src),
-rows_ as (select a.src vid, list_sort(list_distinct(list_concat(list_intersect(x.nbrs, coalesce(y.nbrs, []::bigint[])), [a.src, a.dst]))) members from arcs a join lists x on x.vid = a.src left join lists y on y.vid = a.dst),
+lists as materialized (select src vid, list_sort(list(dst)) nbrs from sym group by src),
+rows_ as (select a.src vid, list_sort(list_distinct(list_concat(list_intersect({own}, y.nbrs), [a.src, a.dst]))) members from arcs a join lists x on x.vid = a.src join lists y on y.vid = a.dst),
 every as (select vid, members from rows_ group by vid, members having count(*) = len(members) - 1
   union all select src, list_sort([src, min(dst)]) from arcs group by src union all select vid, [vid] from v)
 select vid, len(members)::int size, array_to_string(members, ',') members from (select *, row_number() over (partition by vid order by len(members) desc, members) r from every) where r = 1"""
