@@ -195,8 +195,10 @@ def test_plans(spark):
 
 
 def test_hash_agrees_with_sql(spark):
-    from graphdrift.functions.hashing import mix32, mix32_sql
+    from graphdrift.functions.hashing import COIN, mix32, mix32_sql, mix32_text, salt_of, salt_text
 
     ids = [0, 1, 5, 2**31, 2**40 + 7, 123456789]
     got = [r[0] for r in spark.createDataFrame([(i,) for i in ids], "x long").select(mix32("x", 17)).collect()]
-    assert got == [duckdb.sql(f"select {mix32_sql(f'{i}::bigint', '17')}").fetchone()[0] for i in ids]
+    assert got == [duckdb.sql(f"select {mix32_sql(f'{i}::bigint', '17')}").fetchall()[0][0] for i in ids]
+    text = spark.createDataFrame([(i,) for i in ids], "x long").select(mix32("x", salt_of(3, COIN, 7, 2)).alias("a"), F.expr(mix32_text("x", salt_text(3, COIN, 7, "2"))).alias("b")).collect()
+    assert all(r.a == r.b for r in text)
