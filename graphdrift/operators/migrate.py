@@ -10,6 +10,7 @@ materialised.
 from __future__ import annotations
 
 import time
+import warnings
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -258,13 +259,19 @@ def convergence_iteration(moved: list[int]) -> int:
 
 
 def adapt(edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig, iterations: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """Run to quiescence (or ``iterations``); the final state and the history."""
+    """Run to quiescence (or ``iterations``); the final state and the history.
+
+    A run to quiescence that meets ``cfg.max_iter`` first says so in a warning.
+    """
     run = Adaptation.start(edges, assignment, cfg)
     last = cfg.max_iter if iterations is None else iterations
     while run.iteration < last:
         run.step()
         if iterations is None and quiet_for([h["moved"] for h in run.history], cfg.patience):
             break
+    else:
+        if iterations is None:
+            warnings.warn(f"not quiet after {last} iterations", stacklevel=2)
     history = run.spark.createDataFrame(run.rows(), schemas.HISTORY)
     run.close()
     return run.state, history

@@ -157,8 +157,10 @@ def _admitted(s: SparkSession, d: str, c: MigrationConfig) -> DataFrame:
 query("step_once", o.final("lattice", _ONE, 1, "select vid, part from a1"))(lambda s, d: w.run_state(s, d, "lattice", _ONE, 1).select("vid", "part"))
 for _n, _c in (("adapt_t3", _ONE), ("adapt_deferred_t3", _ONE.but(deferred=True)), ("adapt_self_t3", _ONE.but(count_self=True))):
     query(_n, o.final("lattice", _c, 3, "select vid, part from a3"))(lambda s, d, c=_c: w.run_state(s, d, "lattice", c, 3).select("vid", "part"))
-query("adapt_history", o.history("lattice", _ONE, 4))(lambda s, d: w.run_history(s, d, "lattice", _ONE, 4))
-query("adapt_history_custsupp", o.history("custsupp", _ONE, 3))(lambda s, d: w.run_history(s, d, "custsupp", _ONE, 3))
+query("adapt_history_t4", o.history("lattice", _ONE, 4))(lambda s, d: w.run_history(s, d, "lattice", _ONE, 4))
+query("adapt_history_custsupp_t3", o.history("custsupp", _ONE, 3))(lambda s, d: w.run_history(s, d, "custsupp", _ONE, 3))
+for _n, _g in (("adapt_history", "lattice"), ("adapt_history_custsupp", "custsupp")):
+    query(_n)(lambda s, d, g=_g: w.run_history(s, d, g, _ONE, None))
 
 
 def _incremental(s: SparkSession, d: str) -> DataFrame:
@@ -191,10 +193,12 @@ def _deliveries(s: SparkSession, d: str) -> DataFrame:
 
 
 query("message_deliveries", f"with {_BEGUN}, {o.migrations(_ONE, 1)}, n as (select count(*) sent, count(m1.vid) stale from sym left join m1 on m1.vid = dst) select sent, stale lost, stale forwarded, stale rewritten, 0::bigint deferred_lost from n")(_deliveries)
-query("adapt_history_measures", f"select iteration, moved, run, (run / sum(moved) over ()) share, (first_value(cut) over (order by iteration) - cut) gain from (select *, (sum(moved) over (order by iteration))::bigint run from ({o.history('lattice', _ONE, 3)}))")(
+query("adapt_history_measures_t3", f"select iteration, moved, run, (run / sum(moved) over ()) share, (first_value(cut) over (order by iteration) - cut) gain from (select *, (sum(moved) over (order by iteration))::bigint run from ({o.history('lattice', _ONE, 3)}))")(
     lambda s, d: metrics.accumulated(w.run_history(s, d, "lattice", _ONE, 3)).select("iteration", "moved", "run", "share", "gain")
 )
-query("iterations_to_half", f"select min(iteration) iteration from (select iteration, sum(moved) over (order by iteration) / sum(moved) over () share from ({o.history('lattice', _ONE, 4)})) where share >= 0.5")(lambda s, d: metrics.iterations_to(w.run_history(s, d, "lattice", _ONE, 4), 0.5))
+query("iterations_to_half_t4", f"select min(iteration) iteration from (select iteration, sum(moved) over (order by iteration) / sum(moved) over () share from ({o.history('lattice', _ONE, 4)})) where share >= 0.5")(lambda s, d: metrics.iterations_to(w.run_history(s, d, "lattice", _ONE, 4), 0.5))
+query("adapt_history_measures")(lambda s, d: metrics.accumulated(w.run_history(s, d, "lattice", _ONE, None)).select("iteration", "moved", "run", "share", "gain", "quiet"))
+query("iterations_to_half")(lambda s, d: metrics.iterations_to(w.run_history(s, d, "lattice", _ONE, None), 0.5))
 
 # ---------------------------------------------------------------- measures
 
@@ -204,12 +208,15 @@ query("cut_pivot", o.placed("cop", "hsh_mixed", K, "select least(src_part, dst_p
 query("message_cost", o.placed("cop", "hsh_mixed", K, "select (2 * count(*))::bigint messages, (2 * count(*) filter (src_part = dst_part))::bigint as \"local\", (2 * count(*) filter (src_part <> dst_part))::bigint remote, (select count(*) from (select distinct x.part, dst from sym join a x on x.vid = src join a y on y.vid = dst where x.part <> y.part)) as grouped, (2 * count(*) filter (src_part <> dst_part)) / (2 * count(*)) remote_share from l"))(lambda s, d: metrics.message_cost(*_placed(s, d, "cop", "hsh_mixed")))
 query("state_size", o.on_edges("cop", "select (select count(*) from v) vertices, count(*) edges, ((select count(*) from v) * 16 + count(*) * 32)::bigint bytes from edges"))(lambda s, d: metrics.state_size(graph_from(s, d, "cop")))
 query("hot_zones")(lambda s, d: apps.hot_zones(*_placed(s, d, "succession", "hsh_mixed")))
-query("overhead_fit")(lambda s, d: metrics.overhead_fit(migrate.adapt(*w.started(s, d, "cop", _ONE), _ONE, 4)[1]))
+query("overhead_fit")(lambda s, d: metrics.overhead_fit(w.to_quiet(*w.started(s, d, "cop", _ONE), _ONE, None)[1]))
 
 
 def _break_even(s: SparkSession, d: str) -> DataFrame:
-    runs = [migrate.adapt(*w.started(s, d, "lattice", c), c, 3)[1] for c in (_ONE, _ONE.but(adaptive=False))]
-    return metrics.break_even(*runs).join(metrics.speedup(*runs))
+    """To quiescence, and as many iterations without adapting."""
+    adaptive = w.to_quiet(*w.started(s, d, "lattice", _ONE), _ONE, None)[1]
+    still = _ONE.but(adaptive=False)
+    static = migrate.adapt(*w.started(s, d, "lattice", still), still, adaptive.count())[1]
+    return metrics.break_even(adaptive, static).join(metrics.speedup(adaptive, static))
 
 
 query("break_even_speedup")(_break_even)
@@ -307,17 +314,21 @@ _SLICE = f"(select least(src, dst) a, greatest(src, dst) b, min(date_diff('day',
 query("w1_drift_hsh", f"with t as materialized {_SLICE} select d::int slice, (select count(*) from t where t.d <= x.d and {o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, (select count(*) from t where t.d <= x.d) edges from (select range d from range((select max(d) + 1 from t))) x")(lambda s, d: w.drift(s, d, "hsh"))
 query("w1_drift_dtg")(lambda s, d: w.drift(s, d, "dtg"))
 query("w1_drift_adp")(lambda s, d: w.drift(s, d, "adp"))
-query("w2_s_sweep", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('lattice', MigrationConfig(s=s), 3)})" for s in (0.1, 0.5, 1.0)))(lambda s, d: w.s_sweep(s, d))
-query("w2_s_sweep_powerlaw", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('copurchase', MigrationConfig(s=s), 2)})" for s in (0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0), 2))
+query("w2_s_sweep_t3", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('lattice', MigrationConfig(s=s), 3)})" for s in (0.1, 0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, steps=3))
+query("w2_s_sweep_powerlaw_t2", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('copurchase', MigrationConfig(s=s), 2)})" for s in (0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0), 2))
+query("w2_s_sweep")(lambda s, d: w.s_sweep(s, d))
+query("w2_s_sweep_powerlaw")(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0)))
 
 
 def _quality_sql(graphs: list[str], kinds: list[str], steps: int) -> str:
     return " union all ".join(f"select * from ({o.final(g, _ONE, steps, f'''select '{g}' as graph, '{k}' as start, {o.cut_of('a0')} before, {o.cut_of(f'a{steps}')} after, (select count(*) from edges) edges''', k)})" for g in graphs for k in kinds)
 
 
-query("w3_initial_quality", _quality_sql(["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))
-query("w3_initial_quality_stream")(lambda s, d: w.initial_quality(s, d, ["knn"], ["dgr", "mnn", "mnn_literal"], 3))
-query("w4_convergence", o.history("cop", _ONE, 4))(lambda s, d: w.run_history(s, d, "cop", _ONE, 4))
+query("w3_initial_quality_t3", _quality_sql(["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))
+query("w3_initial_quality")(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], None))
+query("w3_initial_quality_stream")(lambda s, d: w.initial_quality(s, d, ["knn"], ["dgr", "mnn", "mnn_literal"], None))
+query("w4_convergence_t4", o.history("cop", _ONE, 4))(lambda s, d: w.run_history(s, d, "cop", _ONE, 4))
+query("w4_convergence")(lambda s, d: w.run_history(s, d, "cop", _ONE, None))
 query("w5_bursts_adaptive")(lambda s, d: w.bursts(s, d, "lattice", (0.01, 0.05)).drop("step_ms"))
 query("w5_bursts_static")(lambda s, d: w.bursts(s, d, "lattice", (0.01, 0.05), adaptive=False).drop("step_ms"))
 query("w6_mentions", o.placed("succession", "hsh_mixed", K, "select count(*) filter (src_part <> dst_part) cut, count(*) edges, count(*) filter (src_part <> dst_part) / count(*) ratio from l"))(lambda s, d: metrics.cut_ratio(*_placed(s, d, "succession", "hsh_mixed")))
@@ -330,17 +341,20 @@ query("w7_cliques", o.cliques(f"select distinct least(src, dst) src, greatest(sr
 query("w8_tissue", o.tissue(o.EDGES["lattice"], _CELLS, 2, 10))(lambda s, d: apps.tissue(*w.heart(s, d), steps=2, n_vars=10))
 query("w8_expand_adaptive")(lambda s, d: w.expanded_heart(s, d, True))
 query("w8_expand_static")(lambda s, d: w.expanded_heart(s, d, False))
-query("w9_ablation", " union all ".join(f"select '{n}' as variant, * from ({o.history('lattice', c, 2)})" for n, c in w.ABLATIONS.items()))(lambda s, d: w.ablation(s, d, "lattice", w.ABLATIONS, 2))
-query("w10_scale", " union all ".join(f"select 'k{k}' as variant, * from ({o.history('lattice', MigrationConfig(k=k), 2)})" for k in (2, 4, 16)))(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 16)}, 2))
+query("w9_ablation_t2", " union all ".join(f"select '{n}' as variant, * from ({o.history('lattice', c, 2)})" for n, c in w.ABLATIONS.items()))(lambda s, d: w.ablation(s, d, "lattice", w.ABLATIONS, 2))
+query("w9_ablation")(lambda s, d: w.ablation(s, d, "lattice", w.ABLATIONS))
+query("w10_scale_t2", " union all ".join(f"select 'k{k}' as variant, * from ({o.history('lattice', MigrationConfig(k=k), 2)})" for k in (2, 4, 16)))(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 16)}, 2))
+query("w10_scale")(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 16)}))
 
 
-def _slice(s: SparkSession, d: str) -> DataFrame:
-    state = w.run_state(s, d, "lattice", _ONE, 3)
+def _slice(s: SparkSession, d: str, steps: int | None = None) -> DataFrame:
+    state = w.run_state(s, d, "lattice", _ONE, steps)
     side = w.cube_side(table(s, d, "orders", "o_orderkey").count())
     return metrics.same_part_slice(state, side, side // 2)
 
 
-query("w11_slice", o.final("lattice", _ONE, 3, f"select (vid % side)::int x, ((vid // side) % side)::int y, part from a3, (select {o.SIDE}::bigint side) where vid // (side * side) = side // 2"))(_slice)
+query("w11_slice_t3", o.final("lattice", _ONE, 3, f"select (vid % side)::int x, ((vid // side) % side)::int y, part from a3, (select {o.SIDE}::bigint side) where vid // (side * side) = side // 2"))(lambda s, d: _slice(s, d, 3))
+query("w11_slice")(_slice)
 query("w12_newcomers")(lambda s, d: w.newcomers(s, d))
 query("superstep_adaptive")(lambda s, d: w.superstep_log(s, d, True))
 query("superstep_static")(lambda s, d: w.superstep_log(s, d, False))

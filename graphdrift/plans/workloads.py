@@ -14,11 +14,13 @@ from graphdrift.operators.changes import apply_changes, reassign
 from graphdrift.operators.engine import min_label_program, run_program
 from graphdrift.operators.graph import vertices_of
 from graphdrift.operators.initial import assign_hash, assign_random, stream_chunked
-from graphdrift.operators.migrate import adapt
+from graphdrift.operators.migrate import adapt, convergence_iteration, quiet_for
 from graphdrift.sources import generators
 from graphdrift.sources.graphs import cube_side, graph_from, interactions, table
 
 HISTORY = ["iteration", "proposed", "damped", "refused", "moved", "cut", "edges", "max_load", "min_load"]
+#: The bound on runs to quiescence is for safety alone; ``quiet`` of the result is false where it ended one.
+MAX_ITER = 1000
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -40,27 +42,41 @@ def started(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, k
 
 
 def run_history(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, steps: int | None, kind: str = "hsh_mixed") -> DataFrame:
+    """The history of ``steps`` iterations; without a number, of all to quiescence, and whether they got there."""
     edges, start = started(spark, sf_dir, name, cfg, kind)
-    return adapt(edges, start, cfg, steps)[1].select(*HISTORY)
+    if steps is not None:
+        return adapt(edges, start, cfg, steps)[1].select(*HISTORY)
+    return settled(adapt(edges, start, cfg.but(max_iter=MAX_ITER))[1], cfg).select(*HISTORY, "quiet")
 
 
-def run_state(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, steps: int, kind: str = "hsh_mixed") -> DataFrame:
+def settled(history: DataFrame, cfg: MigrationConfig) -> DataFrame:
+    """The history of one run with quiet: whether more than cfg.patience iterations without a move ended it."""
+    last = history.agg((F.max("iteration") - F.coalesce(F.max(F.when(F.col("moved") > 0, F.col("iteration"))), F.lit(0)) > cfg.patience).alias("quiet"))
+    return history.join(F.broadcast(last))
+
+
+def to_quiet(edges: DataFrame, start: DataFrame, cfg: MigrationConfig, steps: int | None) -> tuple[DataFrame, DataFrame]:
+    """adapt() with the workloads' bound."""
+    return adapt(edges, start, cfg.but(max_iter=MAX_ITER), steps)
+
+
+def run_state(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, steps: int | None, kind: str = "hsh_mixed") -> DataFrame:
     edges, start = started(spark, sf_dir, name, cfg, kind)
-    return adapt(edges, start, cfg, steps)[0]
+    return to_quiet(edges, start, cfg, steps)[0]
 
 
-def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1, 0.5, 1.0), steps: int | None = 3, seeds=(0,)) -> DataFrame:
+def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1, 0.5, 1.0), steps: int | None = None, seeds=(0,)) -> DataFrame:
     """s, seed and the history of each run. (steps None: to quiescence.)"""
     out = []
     for s in values:
         for seed in seeds:
             h = run_history(spark, sf_dir, name, MigrationConfig(s=s, seed=seed), steps)
-            out.append(h.select(F.lit(round(100 * s)).alias("s_percent"), F.lit(seed).alias("seed"), *HISTORY))
+            out.append(h.select(F.lit(round(100 * s)).alias("s_percent"), F.lit(seed).alias("seed"), *h.columns))
     return union(out)
 
 
 def initial_quality(spark: SparkSession, sf_dir: str, graphs: list[str], kinds: list[str], steps: int | None, cfg: MigrationConfig | None = None) -> DataFrame:
-    """graph, start, before, after, edges: cuts before and after adapting."""
+    """graph, start, before, after, edges: cuts before and after adapting; to quiescence (steps None) also moves, the last move's iteration and quiet."""
     cfg = cfg or MigrationConfig()
     rows = []
     for g in graphs:
@@ -68,14 +84,22 @@ def initial_quality(spark: SparkSession, sf_dir: str, graphs: list[str], kinds:
             edges, start = started(spark, sf_dir, g, cfg, kind)
             start = cut(start)
             before = metrics.cut_edges(edges, start).first()
-            h = adapt(edges, start, cfg, steps)[1].orderBy(F.desc("iteration")).first()
-            rows.append((g, kind, before["cut"], h["cut"], before["edges"]))
-    return spark.createDataFrame(rows, "graph string, start string, before long, after long, edges long")
+            h = ending(to_quiet(edges, start, cfg, steps)[1], cfg)
+            rows.append((g, kind, before["cut"], h["cut"], before["edges"], h["moves"], h["last_move"], h["quiet"]))
+    out = spark.createDataFrame(rows, "graph string, start string, before long, after long, edges long, moves long, last_move int, quiet boolean")
+    return out if steps is None else out.drop("moves", "last_move", "quiet")
+
+
+def ending(history: DataFrame, cfg: MigrationConfig) -> dict:
+    """cut: what a run left; moves: all of them; last_move: its iteration (0: none); quiet."""
+    rows = history.orderBy("iteration").collect()
+    moved = [r["moved"] for r in rows]
+    return {"cut": rows[-1]["cut"], "moves": sum(moved), "last_move": convergence_iteration(moved), "quiet": quiet_for(moved, cfg.patience)}
 
 
-def ablation(spark: SparkSession, sf_dir: str, name: str, variants: dict[str, MigrationConfig], steps: int) -> DataFrame:
+def ablation(spark: SparkSession, sf_dir: str, name: str, variants: dict[str, MigrationConfig], steps: int | None = None) -> DataFrame:
     """variant and its history."""
-    return union([run_history(spark, sf_dir, name, cfg, steps).select(F.lit(v).alias("variant"), *HISTORY) for v, cfg in variants.items()])
+    return union([run_history(spark, sf_dir, name, cfg, steps).select(F.lit(v).alias("variant"), "*") for v, cfg in variants.items()])
 
 
 ABLATIONS = {
@@ -99,7 +123,7 @@ def call_slices(spark: SparkSession, sf_dir: str, days: int = 10) -> list[tuple[
     return [(d, ties.where(F.col("slice") <= d).select("src", "dst")) for d in range((-1 if last is None else last) + 1)]
 
 
-def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: int = 3, days: int = 10) -> DataFrame:
+def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: int | None = None, days: int = 10) -> DataFrame:
     """slice, cut, edges: how a placement ages. hsh: hash; dtg: newcomers greedily on arrival; adp: hash and migration."""
     cfg, placed, rows = MigrationConfig(k=k), None, []
     for d, edges in call_slices(spark, sf_dir, days):
@@ -110,7 +134,7 @@ def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: in
             placed = reassign(placed, v, k, "dgr" if strategy == "dtg" else "hash", 0, edges)
         placed = cut(placed)
         if strategy == "adp":
-            placed = adapt(edges, placed, cfg, steps)[0].select("vid", "part")
+            placed = to_quiet(edges, placed, cfg, steps)[0].select("vid", "part")
         m = metrics.cut_edges(edges, placed).first()
         rows.append((d, m["cut"], m["edges"]))
     return spark.createDataFrame(rows, "slice int, cut long, edges long")
@@ -140,7 +164,7 @@ def window_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return calls.groupBy("week_end", "src", "dst").agg(F.max("ts").alias("last_seen"))
 
 
-def weekly_cuts(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, steps: int = 3) -> DataFrame:
+def weekly_cuts(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, steps: int | None = None) -> DataFrame:
     """week, cut, edges of the windowed call graph under a static or adapting placement."""
     ties = cut(window_edges(spark, sf_dir))
     weeks = [r[0] for r in ties.select("week_end").distinct().orderBy("week_end").collect()]
@@ -150,7 +174,7 @@ def weekly_cuts(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, st
         v = vertices_of(edges)
         placed = cut(assign_hash(v, k) if placed is None else reassign(placed, v, k))
         if adaptive:
-            placed = adapt(edges, placed, MigrationConfig(k=k), steps)[0].select("vid", "part")
+            placed = to_quiet(edges, placed, MigrationConfig(k=k), steps)[0].select("vid", "part")
         m = metrics.cut_edges(edges, placed).first()
         rows.append((n, m["cut"], m["edges"]))
     return spark.createDataFrame(rows, "week int, cut long, edges long")
@@ -172,31 +196,32 @@ def heart(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     return graph_from(spark, sf_dir, "lattice"), frame
 
 
-def expanded_heart(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, steps: int = 3) -> DataFrame:
-    """iteration, cut, edges, moved after 10 % new cells attach at the inert region's border."""
+def expanded_heart(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, steps: int | None = None) -> DataFrame:
+    """iteration, cut, edges, moved, quiet after 10 % new cells attach at the inert region's border."""
     cfg = MigrationConfig(k=k, adaptive=adaptive)
     edges, cells = heart(spark, sf_dir)
     edges = cut(edges)
-    state = adapt(edges, assign_hash(vertices_of(edges), k), cfg, 1)[0].select("vid", "part")
+    state = to_quiet(edges, assign_hash(vertices_of(edges), k), cfg, steps)[0].select("vid", "part")
     grown = generators.attach_border(edges, cells.where("inert").select("vid"), max(1, state.count() // 10))
     edges = cut(edges.unionAll(grown).distinct())
     state = cut(reassign(state, vertices_of(edges), k))
-    return adapt(edges, state, cfg, steps)[1].select("iteration", "cut", "edges", "moved")
+    return settled(to_quiet(edges, state, cfg, steps)[1], cfg).select("iteration", "cut", "edges", "moved", "quiet")
 
 
-def newcomers(spark: SparkSession, sf_dir: str, strategies=("hash", "random", "dgr"), steps: int = 3, k: int = 9) -> DataFrame:
-    """strategy, cut_before, cut_after, edges: a tenth of the orders arrive late."""
+def newcomers(spark: SparkSession, sf_dir: str, strategies=("hash", "random", "dgr"), steps: int | None = None, k: int = 9) -> DataFrame:
+    """strategy, cut_before, cut_after, edges, last_move, quiet: a tenth of the orders arrive late."""
+    cfg = MigrationConfig(k=k)
     edges = cut(graph_from(spark, sf_dir, "cop"))
     late = (F.col("src") % 10 == 0) | (F.col("dst") % 10 == 0)
     old = cut(edges.where(~late))
-    base = cut(adapt(old, assign_hash(vertices_of(old), k), MigrationConfig(k=k), steps)[0].select("vid", "part"))
+    base = cut(to_quiet(old, assign_hash(vertices_of(old), k), cfg, steps)[0].select("vid", "part"))
     rows = []
     for s in strategies:
         placed = cut(reassign(base, vertices_of(edges), k, s, 0, edges))
         before = metrics.cut_edges(edges, placed).first()
-        after = adapt(edges, placed, MigrationConfig(k=k), steps)[1].orderBy(F.desc("iteration")).first()
-        rows.append((s, before["cut"], after["cut"], before["edges"]))
-    return spark.createDataFrame(rows, "strategy string, cut_before long, cut_after long, edges long")
+        after = ending(to_quiet(edges, placed, cfg, steps)[1], cfg)
+        rows.append((s, before["cut"], after["cut"], before["edges"], after["last_move"], after["quiet"]))
+    return spark.createDataFrame(rows, "strategy string, cut_before long, cut_after long, edges long, last_move int, quiet boolean")
 
 
 def superstep_log(spark: SparkSession, sf_dir: str, adaptive: bool, supersteps: int = 3) -> DataFrame:
