@@ -15,7 +15,7 @@ from graphdrift.operators.graph import localise, propagate_moves, symmetric, ver
 from graphdrift.plans import oracles as o
 from graphdrift.plans import workloads as w
 from graphdrift.sources import generators
-from graphdrift.sources.graphs import GRAPHS, graph_from, interactions, mentions, table
+from graphdrift.sources.graphs import GRAPHS, graph_from, interactions, mentions, next_key, table
 from graphdrift.streaming import front
 
 K = 9
@@ -69,8 +69,11 @@ for _kind in ("hsh", "hsh_mixed", "rnd"):
     query(f"balance_{_kind}", o.placed("custsupp", _kind, K, f"select sum(n)::bigint n, max(n) max_load, min(n) min_load, max(n) * {K} / sum(n) max_over_mean, 0::bigint as over from (select count(vid) n from range({K}) r(part) left join a using (part) group by r.part)"))(lambda s, d, k=_kind: metrics.balance(_placed(s, d, "custsupp", k)[1], K))
 
 
-def _streamed(s: SparkSession, d: str, rule: str) -> DataFrame:
-    edges = graph_from(s, d, "succession").where("src < 60 and dst < 60")
+def _streamed(s: SparkSession, d: str, rule: str, below: int | None = None) -> DataFrame:
+    """All vertices of the succession graph; with ``below``, what lower ids make of it."""
+    edges = graph_from(s, d, "succession")
+    if below is not None:
+        edges = edges.where((F.col("src") < below) & (F.col("dst") < below))
     return initial.stream_exact(edges, vertices_of(edges), 3, rule)
 
 
@@ -89,7 +92,8 @@ select p.vid, p.part from (select unnest(placed) p from st where pos = (select m
 
 
 for _rule in ("dgr", "mnn", "mnn_literal"):
-    query(f"assign_{_rule}", _stream_sql(_rule))(lambda s, d, r=_rule: _streamed(s, d, r))
+    query(f"assign_{_rule}_60", _stream_sql(_rule))(lambda s, d, r=_rule: _streamed(s, d, r, 60))
+    query(f"assign_{_rule}")(lambda s, d, r=_rule: _streamed(s, d, r))
 query("assign_dgr_chunked")(lambda s, d: _placed(s, d, "succession", "dgr")[1])
 
 # ---------------------------------------------------------------- one iteration in parts
@@ -410,14 +414,17 @@ _tab("theta_join", "select a.r_regionkey a, b.r_regionkey b from region a join r
 )
 
 
-def _range_join(s: SparkSession, d: str) -> DataFrame:
-    """Values into ranges [64 i, 64 i + 63): both sides meet on the bucket, not on all pairs."""
+def _range_join(s: SparkSession, d: str, ranges: int | None = None) -> DataFrame:
+    """Values into ranges [64 i, 64 i + 63): both sides meet on the bucket, not on all pairs. Ranges reach the largest key."""
     points = table(s, d, "orders", "o_orderkey").select("o_orderkey", F.expr("o_orderkey div 64").alias("b"))
-    ranges = s.range(100).select(F.col("id").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 62).alias("hi"))
-    return points.join(F.broadcast(ranges), "b").where("o_orderkey between lo and hi").groupBy("lo").agg(F.count(F.lit(1)).alias("n"))
+    if ranges is None:
+        ranges = -(-next_key(points, "o_orderkey") // 64)
+    spans = s.range(ranges).select(F.col("id").alias("b"), (F.col("id") * 64).alias("lo"), (F.col("id") * 64 + 62).alias("hi"))
+    return points.join(spans, "b").where("o_orderkey between lo and hi").groupBy("lo").agg(F.count(F.lit(1)).alias("n"))
 
 
-_tab("range_join", "select lo, count(*) n from orders join (select range * 64 lo, range * 64 + 62 hi from range(100)) on o_orderkey between lo and hi group by lo")(_range_join)
+_tab("range_join_100", "select lo, count(*) n from orders join (select range * 64 lo, range * 64 + 62 hi from range(100)) on o_orderkey between lo and hi group by lo")(lambda s, d: _range_join(s, d, 100))
+query("op_range_join")(_range_join)
 
 
 def _as_of(s: SparkSession, d: str) -> DataFrame:
