@@ -318,23 +318,26 @@ _SLICE = f"(select least(src, dst) a, greatest(src, dst) b, min(date_diff('day',
 query("w1_drift_hsh", f"with t as materialized {_SLICE} select d::int slice, (select count(*) from t where t.d <= x.d and {o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, (select count(*) from t where t.d <= x.d) edges from (select range d from range((select max(d) + 1 from t))) x")(lambda s, d: w.drift(s, d, "hsh"))
 query("w1_drift_dtg")(lambda s, d: w.drift(s, d, "dtg"))
 query("w1_drift_adp")(lambda s, d: w.drift(s, d, "adp"))
-query("w2_s_sweep_t3", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('lattice', MigrationConfig(s=s), 3)})" for s in (0.1, 0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, steps=3))
-query("w2_s_sweep_powerlaw_t2", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('copurchase', MigrationConfig(s=s), 2)})" for s in (0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0), 2))
+query("w2_s_sweep_t3", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('lattice', MigrationConfig(s=s), 3)})" for s in (0.1, 0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "lattice", (0.1, 0.5, 1.0), 3, (0,)))
+query("w2_s_sweep_powerlaw_t2", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('copurchase', MigrationConfig(s=s), 2)})" for s in (0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0), 2, (0,)))
 query("w2_s_sweep")(lambda s, d: w.s_sweep(s, d))
-query("w2_s_sweep_powerlaw")(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0)))
+query("w2_s_sweep_powerlaw")(lambda s, d: w.s_sweep(s, d, "copurchase"))
+query("w2_s_sweep_spread")(lambda s, d: w.sweep_spread(w.s_sweep(s, d)))
+query("w2_s_sweep_powerlaw_spread")(lambda s, d: w.sweep_spread(w.s_sweep(s, d, "copurchase")))
+_W3 = list(GRAPHS)  # the six surveyed graphs, and succession
 
 
 def _quality_sql(graphs: list[str], kinds: list[str], steps: int) -> str:
     return " union all ".join(f"select * from ({o.final(g, _ONE, steps, f'''select '{g}' as graph, '{k}' as start, {o.cut_of('a0')} before, {o.cut_of(f'a{steps}')} after, (select count(*) from edges) edges''', k)})" for g in graphs for k in kinds)
 
 
-query("w3_initial_quality_t3", _quality_sql(["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))
-query("w3_initial_quality")(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], None))
-query("w3_initial_quality_stream")(lambda s, d: w.initial_quality(s, d, ["knn"], ["dgr", "mnn", "mnn_literal"], None))
+query("w3_initial_quality_t3", _quality_sql(["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3))(lambda s, d: w.initial_quality(s, d, ["lattice", "cop", "succession"], ["hsh_mixed", "rnd"], 3, seeds=(0,)))
+query("w3_initial_quality")(lambda s, d: w.initial_quality(s, d, _W3, ["hsh_mixed", "rnd"], None))
+query("w3_initial_quality_stream")(lambda s, d: w.initial_quality(s, d, _W3, ["dgr", "mnn", "mnn_literal"], None))
 query("w4_convergence_t4", o.history("cop", _ONE, 4))(lambda s, d: w.run_history(s, d, "cop", _ONE, 4))
 query("w4_convergence")(lambda s, d: w.run_history(s, d, "cop", _ONE, None))
-query("w5_bursts_adaptive")(lambda s, d: w.bursts(s, d, "lattice", (0.01, 0.05)).drop("step_ms"))
-query("w5_bursts_static")(lambda s, d: w.bursts(s, d, "lattice", (0.01, 0.05), adaptive=False).drop("step_ms"))
+query("w5_bursts_adaptive")(lambda s, d: w.bursts(s, d))
+query("w5_bursts_static")(lambda s, d: w.bursts(s, d, adaptive=False))
 query("w6_mentions", o.placed("succession", "hsh_mixed", K, "select count(*) filter (src_part <> dst_part) cut, count(*) edges, count(*) filter (src_part <> dst_part) / count(*) ratio from l"))(lambda s, d: metrics.cut_ratio(*_placed(s, d, "succession", "hsh_mixed")))
 query("w6_influence", f"select vid, influence from ({o.influence(5)}) order by influence desc, vid limit 20")(lambda s, d: apps.top(apps.influence(mentions(s, d)), "influence", 20))
 query("w6_throughput", f"select time_bucket(interval 10 minutes, ts) as start, count(*) as events from ({o.CALL}) group by 1")(lambda s, d: metrics.throughput(interactions(s, d)))
@@ -348,7 +351,7 @@ query("w8_expand_static")(lambda s, d: w.expanded_heart(s, d, False))
 query("w9_ablation_t2", " union all ".join(f"select '{n}' as variant, * from ({o.history('lattice', c, 2)})" for n, c in w.ABLATIONS.items()))(lambda s, d: w.ablation(s, d, "lattice", w.ABLATIONS, 2))
 query("w9_ablation")(lambda s, d: w.ablation(s, d, "lattice", w.ABLATIONS))
 query("w10_scale_t2", " union all ".join(f"select 'k{k}' as variant, * from ({o.history('lattice', MigrationConfig(k=k), 2)})" for k in (2, 4, 16)))(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 16)}, 2))
-query("w10_scale")(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 16)}))
+query("w10_scale")(lambda s, d: w.ablation(s, d, "lattice", {f"k{k}": MigrationConfig(k=k) for k in (2, 4, 9, 16, 64)}))
 
 
 def _slice(s: SparkSession, d: str, steps: int | None = None) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 from graphdrift.config import MigrationConfig
 from graphdrift.functions.lineage import checkpoint_dir, cut
 from graphdrift.operators import metrics
+from graphdrift.operators.apps import diameter_sweep
 from graphdrift.operators.changes import apply_changes, reassign
 from graphdrift.operators.engine import min_label_program, run_program
 from graphdrift.operators.graph import vertices_of
@@ -65,7 +67,7 @@ def run_state(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig,
     return to_quiet(edges, start, cfg, steps)[0]
 
 
-def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1, 0.5, 1.0), steps: int | None = None, seeds=(0,)) -> DataFrame:
+def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1, 0.25, 0.5, 0.75, 0.9, 1.0), steps: int | None = None, seeds=tuple(range(10))) -> DataFrame:
     """s, seed and the history of each run. (steps None: to quiescence.)"""
     out = []
     for s in values:
@@ -75,19 +77,26 @@ def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1
     return union(out)
 
 
-def initial_quality(spark: SparkSession, sf_dir: str, graphs: list[str], kinds: list[str], steps: int | None, cfg: MigrationConfig | None = None) -> DataFrame:
-    """graph, start, before, after, edges: cuts before and after adapting; to quiescence (steps None) also moves, the last move's iteration and quiet."""
+def initial_quality(spark: SparkSession, sf_dir: str, graphs: list[str], kinds: list[str], steps: int | None, cfg: MigrationConfig | None = None, seeds=tuple(range(10))) -> DataFrame:
+    """graph, start, before, after, edges: cuts before and after adapting; to quiescence (steps None) also seed, moves, the last move's iteration and quiet."""
     cfg = cfg or MigrationConfig()
     rows = []
-    for g in graphs:
-        for kind in kinds:
-            edges, start = started(spark, sf_dir, g, cfg, kind)
-            start = cut(start)
-            before = metrics.cut_edges(edges, start).first()
-            h = ending(to_quiet(edges, start, cfg, steps)[1], cfg)
-            rows.append((g, kind, before["cut"], h["cut"], before["edges"], h["moves"], h["last_move"], h["quiet"]))
-    out = spark.createDataFrame(rows, "graph string, start string, before long, after long, edges long, moves long, last_move int, quiet boolean")
-    return out if steps is None else out.drop("moves", "last_move", "quiet")
+    for g, kind, seed in product(graphs, kinds, seeds):
+        c = cfg.but(seed=seed)
+        edges, start = started(spark, sf_dir, g, c, kind)
+        start = cut(start)
+        before = metrics.cut_edges(edges, start).first()
+        h = ending(to_quiet(edges, start, c, steps)[1], c)
+        rows.append((g, kind, before["cut"], h["cut"], before["edges"], seed, h["moves"], h["last_move"], h["quiet"]))
+    out = spark.createDataFrame(rows, "graph string, start string, before long, after long, edges long, seed int, moves long, last_move int, quiet boolean")
+    return out if steps is None else out.drop("seed", "moves", "last_move", "quiet")
+
+
+def sweep_spread(runs: DataFrame) -> DataFrame:
+    """s_percent, value, mean, std, runs of the cut a run left, its moves and its last move, over the seeds of a sweep."""
+    last = F.coalesce(F.max(F.when(F.col("moved") > 0, F.col("iteration"))), F.lit(0))
+    ends = cut(runs.groupBy("s_percent", "seed").agg(F.max_by("cut", "iteration").alias("cut"), F.sum("moved").alias("moves"), last.alias("last_move")))
+    return union([metrics.summarise_runs(ends, v, "s_percent").select("s_percent", F.lit(v).alias("value"), "mean", "std", "runs") for v in ("cut", "moves", "last_move")])
 
 
 def ending(history: DataFrame, cfg: MigrationConfig) -> dict:
@@ -140,20 +149,23 @@ def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: in
     return spark.createDataFrame(rows, "slice int, cut long, edges long")
 
 
-def bursts(spark: SparkSession, sf_dir: str, name: str = "cop", shares=(0.01, 0.02, 0.05, 0.10), phase: int = 2, adaptive: bool = True, k: int = 9) -> DataFrame:
-    """phase, iteration, moved, cut, edges, messages remote: a forest-fire burst after each phase."""
+def bursts(spark: SparkSession, sf_dir: str, name: str = "cop", shares=(0.01, 0.02, 0.05, 0.10), phase: int = 50, adaptive: bool = True, k: int = 9) -> DataFrame:
+    """phase, iteration, moved, cut, edges, step_ms, diameter: a forest-fire burst after each phase.
+
+    The diameter (a lower bound by two sweeps) changes with the graph, so once a phase.
+    """
     cfg = MigrationConfig(k=k, adaptive=adaptive)
     edges = cut(graph_from(spark, sf_dir, name))
     state, out = assign_hash(vertices_of(edges), k), []
     for p, share in enumerate((0.0, *shares)):
         if share:
             n = state.count()
-            burst = generators.forest_fire(edges, max(1, int(n * share)), p=0.2, depth=1, seed=p)
+            burst = generators.forest_fire(edges, max(1, int(n * share)), seed=p)
             edges = cut(edges.unionAll(burst).distinct())
             state = cut(reassign(state, vertices_of(edges), k))
         state, h = adapt(edges, state, cfg, phase)
         state = state.select("vid", "part")
-        out.append(h.select(F.lit(p).alias("phase"), "iteration", "moved", "cut", "edges", "step_ms"))
+        out.append(h.select(F.lit(p).alias("phase"), "iteration", "moved", "cut", "edges", "step_ms", F.lit(diameter_sweep(edges).first()["lower_bound"]).alias("diameter")))
     return union(out)
 
 

@@ -75,7 +75,7 @@ def test_a_run_that_meets_its_bound_says_so(small, monkeypatch):
     assert len(rows) == 2 and not any(r.quiet for r in rows)
 
 
-@pytest.mark.parametrize("name,runs", [("adapt_history", 1), ("w9_ablation", 8), ("w10_scale", 3), ("w2_s_sweep", 3)])
+@pytest.mark.parametrize("name,runs", [("adapt_history", 1), ("w9_ablation", 8), ("w10_scale", 5), ("w2_s_sweep", 60)])
 def test_no_step_count(spark, monkeypatch, name, runs):
     asked = []
 
