@@ -344,7 +344,8 @@ query("w6_throughput", f"select time_bucket(interval 10 minutes, ts) as start, c
 query("w7_window_edges", f"select (date_trunc('week', ts) + interval 7 days)::timestamp week_end, least(src, dst) src, greatest(src, dst) dst, max(ts) last_seen from (select ts, src, dst from ({o.CALL}) where src <> dst) group by 1, 2, 3")(w.window_edges)
 query("w7_cuts_weekly_static", f"with t as (select distinct date_trunc('week', ts) as week, least(src, dst) a, greatest(src, dst) b from ({o.CALL}) where src <> dst) select (dense_rank() over (order by week) - 1)::int as week, count(*) filter ({o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, count(*) edges from t group by week")(lambda s, d: w.weekly_cuts(s, d, False))
 query("w7_cuts_weekly_adaptive")(lambda s, d: w.weekly_cuts(s, d, True))
-query("w7_cliques", o.cliques(f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst and date_trunc('week', ts) = timestamp '2024-01-08'", True))(lambda s, d: apps.max_cliques(w.last_week(s, d), True))
+query("w7_cliques_second_week", o.cliques(f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst and date_trunc('week', ts) = timestamp '2024-01-08'", True))(lambda s, d: apps.max_cliques(w.last_week(s, d), True))
+query("w7_cliques")(w.weekly_cliques)
 query("w8_tissue", o.tissue(o.EDGES["lattice"], _CELLS, 2, 10))(lambda s, d: apps.tissue(*w.heart(s, d), steps=2, n_vars=10))
 query("w8_expand_adaptive")(lambda s, d: w.expanded_heart(s, d, True))
 query("w8_expand_static")(lambda s, d: w.expanded_heart(s, d, False))

@@ -11,12 +11,14 @@ from pyspark.sql import functions as F
 from graphdrift.config import MigrationConfig
 from graphdrift.functions.lineage import checkpoint_dir, cut
 from graphdrift.operators import metrics
+from graphdrift.operators.apps import max_cliques
 from graphdrift.operators.apps import diameter_sweep
 from graphdrift.operators.changes import apply_changes, reassign
 from graphdrift.operators.engine import min_label_program, run_program
 from graphdrift.operators.graph import vertices_of
 from graphdrift.operators.initial import assign_hash, assign_random, stream_chunked
 from graphdrift.operators.migrate import adapt, convergence_iteration, quiet_for
+from graphdrift.operators.ranks import global_rank
 from graphdrift.sources import generators
 from graphdrift.sources.graphs import cube_side, graph_from, interactions, table
 
@@ -192,8 +194,26 @@ def weekly_cuts(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9, st
     return spark.createDataFrame(rows, "week int, cut long, edges long")
 
 
+def weekly_cliques(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """week_end, vid, size, members: each window's cliques, listed at their lowest members, for all weeks at once.
+
+    A week's vertices are numbered apart from other weeks' in the order of their ids, so one
+    search over the disjoint union of all windows finds each window's cliques.
+    """
+    ties = window_edges(spark, sf_dir).select("week_end", "src", "dst")
+    ends = ties.select("week_end", F.col("src").alias("v")).unionAll(ties.select("week_end", F.col("dst").alias("v"))).distinct()
+    ids = cut(global_rank(ends, "week_end", "v", name="n"))
+    at = lambda c: ids.select("week_end", F.col("v").alias(c), F.col("n").alias(f"{c}_n"))
+    edges = cut(ties.join(at("src"), ["week_end", "src"]).join(at("dst"), ["week_end", "dst"]).select(F.col("src_n").alias("src"), F.col("dst_n").alias("dst")))
+    found = max_cliques(edges, True).select(F.col("vid").alias("at"), "size", F.posexplode(F.split("members", ",")).alias("pos", "n"))
+    named = found.withColumn("n", F.col("n").cast("long")).join(ids, "n")
+    lists = named.groupBy("week_end", "at", "size").agg(F.array_sort(F.collect_list(F.struct("pos", "v"))).alias("m"))
+    vid = ids.select(F.col("n").alias("at"), F.col("v").alias("vid"))
+    return lists.join(vid, "at").select("week_end", "vid", "size", F.concat_ws(",", F.col("m.v").cast("array<string>")).alias("members"))
+
+
 def last_week(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Edges of the last full week's window."""
+    """Edges of the window that ends on 15 January 2024, the second week of the given events."""
     ties = window_edges(spark, sf_dir)
     return ties.where("week_end = timestamp'2024-01-15 00:00:00'").select("src", "dst")
 
