@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import os
 import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -22,13 +23,14 @@ def tune(spark: SparkSession) -> None:
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; a folder of our own only where none is set."""
+    """The cluster's shared checkpoint folder; a folder of our own only in local mode where none is set."""
     sc = spark.sparkContext
-    found = sc.getCheckpointDir() if hasattr(sc, "getCheckpointDir") else None
+    found = sc.getCheckpointDir()
     if not found:
         found = sc.getConf().get("spark.checkpoint.dir")
-        if not found:
-            found = os.path.join(tempfile.gettempdir(), "graphdrift-checkpoints")
+        if not found and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        found = found or os.path.join(tempfile.gettempdir(), "graphdrift-checkpoints")
         sc.setCheckpointDir(found)
     return found
 
@@ -36,13 +38,56 @@ def checkpoint_dir(spark: SparkSession) -> str:
 def cut(df: DataFrame) -> DataFrame:
     """Materialise ``df`` in the shared folder and forget its lineage.
 
-    Reliable (every executor reads the same files), and Spark's cleaner drops
-    the files once nothing refers to them.
+    Reliable: every executor reads the same files. ``forget`` deletes them; those of
+    frames that a result still reads go with Spark's cleaner, if the cluster sets
+    spark.cleaner.referenceTracking.cleanCheckpoints.
     """
     checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a file or folder wherever Spark can reach it."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def forget(*frames: DataFrame) -> None:
+    """Delete the files of frames that ``cut`` gave and that nothing reads any more."""
+    for df in frames:
+        file = df._jdf.queryExecution().logical().rdd().getCheckpointFile()
+        if file.isDefined():
+            delete(df.sparkSession, file.get())
+
+
+def stored(df: DataFrame) -> tuple[DataFrame, str]:
+    """``df`` written as (compressed) Parquet in the shared folder and read again, and the folder, for ``delete``."""
+    spark = df.sparkSession
+    path = f"{checkpoint_dir(spark)}/stored-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def packed(docs: DataFrame, keep: list[str], **own: Column) -> DataFrame:
+    """``kept``, a struct of the columns ``keep``, beside an operator's own columns: no names can clash."""
+    inner = [F.col(f"`{c}`") for c in keep] or [F.lit(0).alias("none")]
+    return docs.select(F.struct(*inner).alias("kept"), *[v.alias(k) for k, v in own.items()])
+
+
+def unpacked(frame: DataFrame, keep: list[str], **added: Column) -> DataFrame:
+    """The kept columns and the added ones. A kept column with an added one's name comes out as ``input_<name>``."""
+    taken = {a.lower() for a in added} | {c.lower() for c in keep}
+    out = []
+    for c in keep:
+        name = c
+        if c.lower() in {a.lower() for a in added}:
+            while name.lower() in taken:
+                name = f"input_{name}"
+            taken.add(name.lower())
+        out.append(F.col("kept").getField(c).alias(name))
+    return frame.select(*out, *[v.alias(k) for k, v in added.items()])
+
+
 def release(spark: SparkSession) -> None:
     """Let the cleaner drop shuffle and checkpoint files that nothing refers to any more."""
     gc.collect()

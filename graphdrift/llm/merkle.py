@@ -118,14 +118,14 @@ def edited(text: str, following: str) -> str:
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """Columns of ``docs`` and fingerprint."""
+    """Columns of ``docs`` (one named fingerprint as input_fingerprint) and fingerprint."""
     common.tune(docs.sparkSession)
 
     @F.pandas_udf("string")
     def mark(texts: pd.Series) -> pd.Series:
         return texts.map(fingerprint)
 
-    return docs.withColumn("fingerprint", mark(common.text_of()))
+    return common.unpacked(common.packed(docs, docs.columns, fingerprint=mark(common.text_of())), docs.columns, fingerprint=F.col("fingerprint"))
 
 
 def with_next(docs: DataFrame, least_ranges: int = 128, range_bytes: int = 1 << 27, most_ranges: int = 8192) -> tuple[DataFrame, int]:

@@ -16,7 +16,8 @@ budget ends is ordered row by row.
 Defined results: null domain, language and source are values of their own; null
 text counts no tokens and is selected while its leaf has budget left at its
 place; repeated rows each count; rows without tokens are ordered like others; an
-empty table gives an empty result; other columns pass through.
+empty table gives an empty result; other columns pass through, one with an added
+column's name as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -88,17 +89,17 @@ def place(seed: int, epoch: Column) -> Column:
     return F.md5(F.concat(F.lit(f"{seed}:"), epoch.cast("string"), F.lit(":"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).cast("binary"))
 
 
-def mix(docs: DataFrame, budget_share: float = 0.5, epochs: int = 2, seed: int = 7, tokens: Column | None = None, domain: Column | None = None, domain_weights: dict | None = None, lang_weights: dict | None = None, source_weights: dict | None = None, digits: int = 2, rounds: int = 2, most_broadcast: int = 100_000) -> DataFrame:
+def mix(docs: DataFrame, budget_share: float = 0.5, epochs: int = 2, seed: int = 7, tokens: Column | None = None, domain: Column | None = None, domain_weights: dict | None = None, lang_weights: dict | None = None, source_weights: dict | None = None, digits: int = 2, rounds: int = 2, most_broadcast: int = 100_000, keep: list[str] | None = None) -> DataFrame:
     """Rows of ``docs`` chosen for the mixture, once for each epoch that takes them.
 
-    Adds the LEVELS, ``mix_tokens``, ``mix_epoch`` and ``leaf_budget``. The budget
+    To the columns ``keep`` (all) it adds the LEVELS, ``mix_tokens``, ``mix_epoch`` and ``leaf_budget``. The budget
     is ``budget_share`` of all tokens. The place where a leaf's budget ends is
     found in ``rounds`` rounds of 16^digits buckets, each inside the last. The plan
     (a row a leaf) is broadcast up to ``most_broadcast`` leaves and joined beyond.
     """
-    rows = docs.withColumn("mix_domain", F.coalesce(default_domain() if domain is None else domain, F.lit("(none)")))
-    rows = rows.withColumn("mix_lang", F.coalesce(F.col("lang"), F.lit("(none)"))).withColumn("mix_source", F.coalesce(F.col("source"), F.lit("(none)")))
-    rows = rows.withColumn("mix_tokens", default_tokens() if tokens is None else tokens)
+    keep = docs.columns if keep is None else keep
+    level = [F.coalesce(c, F.lit("(none)")) for c in (default_domain() if domain is None else domain, F.col("lang"), F.col("source"))]
+    rows = common.packed(docs, keep, doc_id=F.col("doc_id"), **dict(zip(LEVELS, level)), mix_tokens=default_tokens() if tokens is None else tokens)
     turns = F.explode(F.array(*[F.struct(F.lit(e).alias("mix_epoch"), place(seed, F.lit(e)).alias("mix_place")) for e in range(epochs)]))
     slim = rows.select(*LEVELS, "mix_tokens", turns.alias("e")).select(*LEVELS, "mix_tokens", "e.mix_epoch", "e.mix_place")
     plan = None
@@ -124,8 +125,8 @@ def mix(docs: DataFrame, budget_share: float = 0.5, epochs: int = 2, seed: int =
     order = Window.partitionBy(*LEVELS).orderBy("mix_place", "mix_tokens").rowsBetween(Window.unboundedPreceding, 0)
     edge = chosen.where(F.col("stop").isNotNull() & (here == stop)).withColumn("run", F.sum("mix_tokens").over(order) + F.col("stop.done"))
     edge = edge.where("run <= leaf_budget").drop("run")
-    out = [*docs.columns, *LEVELS, "mix_tokens", "mix_epoch", "leaf_budget"]
-    return whole.select(*out).unionAll(edge.select(*out))
+    added = {c: F.col(c) for c in [*LEVELS, "mix_tokens", "mix_epoch", "leaf_budget"]}
+    return common.unpacked(whole, keep, **added).unionAll(common.unpacked(edge, keep, **added))
 
 
 def _small(plan: DataFrame, most: int) -> DataFrame:
@@ -135,8 +136,8 @@ def _small(plan: DataFrame, most: int) -> DataFrame:
 
 def mixed_documents(docs: DataFrame) -> DataFrame:
     """The default recipe over whole rows, without the text."""
-    need = [c for c in ("doc_id", "lang", "source", "text") if c in docs.columns]
-    return mix(docs.select(*need)).select("doc_id", *[F.col(c) for c in LEVELS], F.col("mix_epoch").cast("int"), F.col("mix_tokens").alias("tokens"), "leaf_budget")
+    slim = docs.select("doc_id", "lang", "source", default_tokens().alias("tokens"))
+    return mix(slim, tokens=F.col("tokens"), keep=["doc_id"]).select("doc_id", *[F.col(c) for c in LEVELS], F.col("mix_epoch").cast("int"), F.col("mix_tokens").alias("tokens"), "leaf_budget")
 
 
 def mix_sql(budget_share: str = "0.5", epochs: int = 2, seed: int = 7) -> str:

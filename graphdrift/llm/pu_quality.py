@@ -17,7 +17,8 @@ is scored).
 Defined results: null text is empty and gets a score like any other; rows with a
 null id count as held out; labels that are null or for unknown ids are ignored;
 without positives every score is 0.5; repeated rows get equal scores; an empty
-table gives an empty result; other columns pass through.
+table gives an empty result; other columns pass through, one with an added
+column's name as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -30,6 +31,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from graphdrift.llm import common
 
@@ -233,20 +235,19 @@ def learn(docs: DataFrame, labels: DataFrame, label: str = "quality", most_posit
 def score_documents(docs: DataFrame, model: Model | None, threshold: float = 0.3, keep: list[str] | None = None) -> DataFrame:
     """Kept columns of ``docs`` with held_out, score and predicted."""
     common.tune(docs.sparkSession)
-    added = ("held_out", "score", "predicted")
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in added]
-    frame = docs.select(*[F.col(f"`{c}`") for c in keep], common.text_of().alias("__text"))
+    keep = docs.columns if keep is None else keep
     held = (fold(F.col("doc_id")) == 0) if "doc_id" in docs.columns else F.lit(True)
-    fields = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in frame.drop("__text").schema.fields], "score double"])
+    frame = common.packed(docs, keep, held_out=held, text=common.text_of())
+    schema = T.StructType([frame.schema["kept"], frame.schema["held_out"], T.StructField("score", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = common.byte_list(batch.column(len(keep)))
+            texts = common.byte_list(batch.column(2))
             score = model.score(features(texts).astype(np.float64)) if model else np.full(len(texts), 0.5)
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(np.round(score, 9))], names=[*keep, "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.round(score, 9))], names=schema.names)
 
-    out = frame.mapInArrow(run, fields)
-    return out.select(*[F.col(f"`{c}`") for c in keep], held.alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+    out = frame.mapInArrow(run, schema)
+    return common.unpacked(out, keep, held_out=F.col("held_out"), score=F.col("score"), predicted=(F.col("score") >= threshold).cast("int"))
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
