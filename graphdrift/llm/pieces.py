@@ -3,24 +3,37 @@
 The model's pieces carry the whitespace mark only at their front, so no merge can
 join characters across the boundary between an unmarked character and a mark.
 A text therefore falls into independent chunks (a run of marks and what follows
-it). Each distinct chunk is segmented once per task; a text's ids are the chunks'
-ids put back in order of position. The loader verifies the property on the given
-model and refuses models (user-defined pieces, marks inside pieces, normalisation
-tables) for which chunks would not be independent.
+it). The loader verifies the property on the given model and refuses models
+(user-defined pieces, marks inside pieces, normalisation tables) for which chunks
+would not be independent.
+
+1. Texts are gathered into blocks. A block numbers its distinct chunks, and a text
+   becomes the list of its chunks' numbers, in order of position.
+2. The blocks' chunks are dealt into buckets by a hash of their bytes, so that every
+   distinct chunk of the table comes to one bucket, is segmented there once, and
+   answers all blocks that hold it. Segmentation merges all chunks of a bucket side by
+   side, the best and leftmost pair of each chunk a round.
+3. The answers go back to their blocks, where a text's ids are its chunks' ids put
+   in a row by position.
+
+What travels are numbers, chunks and ids, compressed by block and bucket; texts don't.
 
 Defined results: null text is empty; an empty text has no ids and decodes to the
 empty string; texts of any length, ties and repeated rows are encoded row by row;
-other columns pass through unless they bear one of the output names, in which
-case the output replaces them.
+an empty table gives an empty result; other columns pass through, one with an added
+column's name as ``input_<name>``.
 """
 
 from __future__ import annotations
 
+import heapq
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -29,6 +42,8 @@ from graphdrift.llm import common
 
 MARK = "▁"
 _CHUNK = re.compile(f"{MARK}+[^{MARK}]*")
+#: Characters up to which chunks are merged side by side; longer ones go through a heap.
+LONG = 48
 
 
 def default_model() -> str:
@@ -37,20 +52,31 @@ def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
-class ChunkTable:
-    """Distinct chunks of one task with their ids (packed int32) and surface text.
+def chunks_of(text: str, slice_: int = 1 << 20) -> Iterator[list[str]]:
+    """The chunks of a text in order, a slice of it at a time."""
+    text = MARK + text.replace(" ", MARK)
+    at = 0
+    while at < len(text):
+        end = at + slice_
+        if end < len(text):
+            end = text.find(MARK, end)
+            while end > 0 and text[end - 1] == MARK:  # not inside a run of marks
+                end = text.find(MARK, end + 1)
+        if end < 0 or end >= len(text):
+            end = len(text)
+        yield _CHUNK.findall(text, at, end)
+        at = end
 
-    ``most`` bounds the number of remembered chunks and ``longest`` their length;
-    beyond either a chunk is segmented anew each time, with the same result.
-    """
 
-    def __init__(self, model: str, most: int = 300_000, longest: int = 64):
+class Segmenter:
+    """Pieces, their scores and merges; segmentation of chunks and surface text of ids."""
+
+    def __init__(self, model: str):
         import sentencepiece
 
         self.sp = sp = sentencepiece.SentencePieceProcessor(model_file=model)
-        self.most, self.longest = most, longest
-        self.known: dict[str, tuple[bytes, str]] = {}
-        self.misses = 0
+        self.ids: dict[str, int] = {}
+        self.bytes = [0] * 256
         self.surface: list[str | int] = []
         for i in range(sp.get_piece_size()):
             piece = sp.id_to_piece(i)
@@ -58,15 +84,113 @@ class ChunkTable:
                 self.surface.append("")
             elif sp.is_byte(i):
                 self.surface.append(int(piece[3:-1], 16))
+                self.bytes[self.surface[-1]] = i
             elif sp.is_unknown(i):
                 self.surface.append(" ⁇ ")
             else:
                 if MARK in piece.lstrip(MARK):
                     raise ValueError(f"piece {piece!r} crosses a whitespace mark")
                 self.surface.append(piece.replace(MARK, " "))
+                self.ids[piece] = i
         probe = "ﬁ　x"
-        if sp.decode(sp.encode(probe)) != probe or sp.decode(sp.encode("  a  b ")) != "  a  b ":
-            raise ValueError("the model normalises text; chunks would not be independent")
+        if sp.decode(sp.encode(probe)) != probe or sp.decode(sp.encode("  a  b ")) != "  a  b " or not all(self.bytes):
+            raise ValueError("the model normalises text or lacks byte pieces; chunks would not be independent")
+        self.score = np.array([sp.get_score(i) for i in range(sp.get_piece_size())])
+        # every way to put a piece together from two others, as a sorted table
+        pairs = [(self.ids[p[:k]], self.ids[p[k:]], i) for p, i in self.ids.items() for k in range(1, len(p)) if p[:k] in self.ids and p[k:] in self.ids]
+        keys = np.array([(a << 32) | b for a, b, _ in pairs], np.int64)
+        order = np.argsort(keys)
+        self.keys, self.made = keys[order], np.array([c for *_, c in pairs], np.int64)[order]
+        self.symbol = -1 - np.arange(0x110000)  # by code point; negative: no piece
+        for c, i in self.ids.items():
+            if len(c) == 1:
+                self.symbol[ord(c)] = i
+
+    def _merged(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """The piece that each pair of symbols makes, or -1. Symbols that are no piece are negative."""
+        key = (left << 32) | right
+        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+        return np.where((self.keys[at] == key) & (left >= 0) & (right >= 0), self.made[at], -1)
+
+    def segment(self, chunks: list[str]) -> list[list[int]]:
+        """Ids of every chunk."""
+        out: list[list[int]] = [[]] * len(chunks)
+        short = [i for i, c in enumerate(chunks) if len(c) <= LONG]
+        for k in range(0, len(short), 20_000):
+            part = short[k : k + 20_000]
+            for i, ids in zip(part, self._side_by_side([chunks[i] for i in part])):
+                out[i] = ids
+        for i, c in enumerate(chunks):
+            if len(c) > LONG:
+                out[i] = self._one(c)
+        return out
+
+    def _side_by_side(self, chunks: list[str]) -> list[list[int]]:
+        sizes = np.array([len(c) for c in chunks])
+        flat = self.symbol[np.frombuffer("".join(chunks).encode("utf-32-le"), np.uint32)]
+        owner = np.repeat(np.arange(len(chunks)), sizes)
+        done_symbols, done_owner = [], []
+        while len(flat):
+            made = np.full(len(flat), -1)
+            made[:-1] = np.where(owner[1:] == owner[:-1], self._merged(flat[:-1], flat[1:]), -1)
+            value = np.where(made >= 0, self.score[made], -np.inf)
+            heads = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
+            best = np.maximum.reduceat(value, heads)
+            lengths = np.diff(np.append(heads, len(flat)))
+            top = np.repeat(best, lengths)
+            where = np.where((value == top) & (made >= 0), np.arange(len(flat)), len(flat))
+            first = np.minimum.reduceat(where, heads)
+            live = first < len(flat)
+            keep = np.repeat(live, lengths)
+            done_symbols.append(flat[~keep])
+            done_owner.append(owner[~keep])
+            at = first[live]
+            flat[at] = made[at]
+            keep[at + 1] = False
+            flat, owner = flat[keep], owner[keep]
+        symbols, owner = np.concatenate(done_symbols), np.concatenate(done_owner)
+        order = np.argsort(owner, kind="stable")
+        symbols = symbols[order].tolist()
+        ends = np.cumsum(np.bincount(owner, minlength=len(chunks))).tolist()
+        return [self._spelt(symbols[a:b]) for a, b in zip([0, *ends[:-1]], ends)]
+
+    def _spelt(self, symbols: list[int]) -> list[int]:
+        """Symbols with characters that are no piece as bytes."""
+        if min(symbols) >= 0:
+            return symbols
+        out = []
+        for s in symbols:
+            if s >= 0:
+                out.append(s)
+            else:
+                out += [self.bytes[b] for b in chr(-1 - s).encode()]
+        return out
+
+    def _one(self, chunk: str) -> list[int]:
+        """Ids of one chunk of any length, by a heap of pairs."""
+        parts: list[str] = list(chunk)
+        before, after = list(range(-1, len(parts) - 1)), [*range(1, len(parts)), -1]
+        heap: list[tuple[float, int, int, str]] = []
+
+        def offer(a: int, b: int) -> None:
+            if a >= 0 and b >= 0:
+                i = self.ids.get(parts[a] + parts[b])
+                if i is not None:
+                    heapq.heappush(heap, (-self.score[i], a, b, parts[a] + parts[b]))
+
+        for k in range(1, len(parts)):
+            offer(k - 1, k)
+        while heap:
+            _, a, b, whole = heapq.heappop(heap)
+            if not parts[a] or not parts[b] or after[a] != b or parts[a] + parts[b] != whole:
+                continue
+            parts[a], parts[b] = whole, ""
+            after[a] = after[b]
+            if after[a] >= 0:
+                before[after[a]] = a
+            offer(before[a], a)
+            offer(a, after[a])
+        return self._spelt([self.ids.get(p, -1 - ord(p)) if len(p) == 1 else self.ids[p] for p in parts if p])
 
     def plain(self, ids) -> str:
         """Surface text of ids, byte pieces joined into characters."""
@@ -88,68 +212,229 @@ class ChunkTable:
         """Text of a whole id sequence: the mark put before the text goes."""
         return self.plain(ids).removeprefix(" ")
 
-    def segment(self, chunk: str) -> tuple[bytes, str]:
-        self.misses += 1
-        # the library puts the first mark before any text but the empty one
-        ids = self.sp.encode(chunk[1:].replace(MARK, " "), num_threads=1) if chunk != MARK else [self.sp.piece_to_id(MARK)]
-        entry = np.asarray(ids, "<i4").tobytes(), self.plain(ids)
-        if len(chunk) <= self.longest:
-            if len(self.known) >= self.most:
-                self.known.clear()
-            self.known[chunk] = entry
-        return entry
-
-    def encode(self, text: str) -> tuple[bytes, str]:
-        """Packed ids of a text, and what they decode to."""
-        if not text:
-            return b"", ""
-        chunks = _CHUNK.findall(MARK + text.replace(" ", MARK))
-        known, segment = self.known, self.segment
-        parts = [known.get(c) or segment(c) for c in chunks]
-        return b"".join([p[0] for p in parts]), "".join([p[1] for p in parts])[1:]
-
-
-def encode_documents(docs: DataFrame, text: str = "text", keep: list[str] | None = None, model: str | None = None, ids: str = "piece_ids", decoded: str = "piece_text") -> DataFrame:
-    """Add ``ids`` (array of int) and ``decoded`` (their text) to the kept columns of ``docs``."""
-    common.tune(docs.sparkSession)
-    model = model or default_model()
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in (ids, decoded)]
-    frame = docs.select(*[F.col(f"`{c}`") for c in keep], common.text_of(text).alias("__text"))
-    schema = frame.drop("__text").schema.add(ids, T.ArrayType(T.IntegerType())).add(decoded, T.StringType())
+
+class ChunkTable(Segmenter):
+    """A task's own table, for uses that need ids at once (flat token files).
+
+    It holds up to ``most`` chunks and is emptied beyond; chunks above ``longest``
+    characters aren't held. The library segments what a task's table lacks.
+    """
+
+    def __init__(self, model: str, most: int = 300_000, longest: int = 64):
+        super().__init__(model)
+        self.most, self.longest = most, longest
+        self.known: dict[str, bytes] = {}
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Packed ids (int32) of each text."""
+        out = []
+        for text in texts:
+            parts = []
+            for chunks in chunks_of(text) if text else ():
+                new = list({c for c in chunks if c not in self.known})
+                if len(self.known) + len(new) > self.most:
+                    self.known.clear()
+                    new = list(set(chunks))
+                # the library puts a mark before any text but the empty one
+                coded = self.sp.encode([c[1:].replace(MARK, " ") for c in new], num_threads=1)
+                told = {c: np.asarray(ids if c != MARK else [self.ids[MARK]], "<i4").tobytes() for c, ids in zip(new, coded)}
+                self.known |= {c: x for c, x in told.items() if len(c) <= self.longest}
+                parts += [self.known.get(c) or told[c] for c in chunks]
+            out.append(b"".join(parts))
+        return out
+
+
+class _Numbers(dict):
+    """Numbers of a block's chunks by first sight."""
+
+    def __missing__(self, chunk: str) -> int:
+        n = self[chunk] = len(self)
+        return n
+
+
+def _squeeze(x: np.ndarray | bytes) -> bytes:
+    return zlib.compress(x.tobytes() if isinstance(x, np.ndarray) else x, 1)
+
+
+def _array(data: bytes) -> np.ndarray:
+    return np.frombuffer(zlib.decompress(data), "<u4")
+
+
+#: Columns of what travels: a text's row (``at``), and a block's chunks or their ids (numbers, sizes, data, counts, ids).
+_ROW = "part int, seq int, at binary, numbers binary, sizes binary, data binary"
+
+
+def _numbered(frame: DataFrame, block: int) -> DataFrame:
+    """Texts as chunk numbers by block, and each block's chunks. ``frame``: kept, text."""
+    schema = T.StructType([T.StructField("kept", frame.schema["kept"].dataType), *T.StructType.fromDDL(_ROW).fields])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = ChunkTable(model)
+        part, seq, held, numbers = TaskContext.get().partitionId(), 0, 0, _Numbers()
+        none = None
+        kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 4]
+
+        def chunks() -> pa.RecordBatch:
+            words = [c.encode() for c in numbers]
+            cells = [[part], [seq], [None], [_squeeze(np.arange(len(words), dtype="<u4"))], [_squeeze(np.array([len(w) for w in words], "<u4"))], [_squeeze(b"".join(words))]]
+            return pa.RecordBatch.from_arrays([none, *[pa.array(c, f) for c, f in zip(cells, kinds)]], names=schema.names)
+
         for batch in batches:
-            texts = batch.column(batch.num_columns - 1).to_pylist()
-            packed, plain = [], []
-            for t in texts:
-                a, b = table.encode(t)
-                packed.append(a)
-                plain.append(b)
-            ends = np.zeros(len(texts) + 1, np.int64)
-            np.cumsum([len(p) // 4 for p in packed], out=ends[1:])
-            values = pa.array(np.frombuffer(b"".join(packed), "<i4"), pa.int32())
-            lists = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), values)
-            columns = [*batch.columns[:-1], lists, pa.array(plain, pa.string())]
-            yield pa.RecordBatch.from_arrays(columns, names=[*keep, ids, decoded])
+            none = pa.nulls(1, batch.column(0).type)
+            rows: list[tuple[int, int, bytes]] = []
+            begun = 0
+            for i, text in enumerate(batch.column(1).to_pylist()):
+                at = [x for c in chunks_of(text) for x in map(numbers.__getitem__, c)] if text else []
+                rows.append((part, seq, _squeeze(np.array(at, "<u4"))))
+                held += len(text)
+                if held >= block or i == batch.num_rows - 1:
+                    columns = [pa.array([r[k] for r in rows], kinds[k]) for k in range(3)]
+                    yield pa.RecordBatch.from_arrays([batch.column(0).slice(begun, len(rows)), *columns, *[pa.nulls(len(rows), pa.binary())] * 3], names=schema.names)
+                    begun, rows = i + 1, []
+                if held >= block:
+                    yield chunks()
+                    seq, held, numbers = seq + 1, 0, _Numbers()
+        if numbers:
+            yield chunks()
 
     return frame.mapInArrow(run, schema)
 
 
+def _dealt(blocks: DataFrame, buckets: int) -> DataFrame:
+    """Each block's chunks by bucket: bucket, part, seq, numbers, sizes, data."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part, seq, numbers, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(5))):
+                sizes, data = _array(sizes), zlib.decompress(data)
+                ends = np.cumsum(sizes).tolist()
+                words = [data[a:b] for a, b in zip([0, *ends[:-1]], ends)]
+                bucket = np.fromiter(map(zlib.crc32, words), np.uint32, len(words)) % buckets
+                order = np.argsort(bucket, kind="stable")
+                cuts = np.flatnonzero(np.diff(bucket[order])) + 1
+                rows = []
+                for x in np.split(order, cuts) if len(order) else ():
+                    rows.append((int(bucket[x[0]]), part, seq, _squeeze(x.astype("<u4")), _squeeze(sizes[x]), _squeeze(b"".join([words[i] for i in x.tolist()]))))
+                kinds = [pa.int32()] * 3 + [pa.binary()] * 3
+                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds)], names=["bucket", "part", "seq", "numbers", "sizes", "data"])
+
+    return blocks.select("part", "seq", "numbers", "sizes", "data").mapInArrow(run, "bucket int, part int, seq int, numbers binary, sizes binary, data binary")
+
+
+def _answers(dealt: DataFrame, model: str) -> DataFrame:
+    """part, seq, numbers, counts, ids, sizes, data: ids and surface text of each block's chunks. Each distinct chunk is segmented once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = Segmenter(model)
+        known: dict[bytes, tuple[list[int], bytes]] = {}
+        now = None
+        for batch in batches:
+            for bucket, part, seq, numbers, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(6))):
+                if bucket != now:
+                    now = bucket
+                    known.clear()
+                data = zlib.decompress(data)
+                ends = np.cumsum(_array(sizes)).tolist()
+                words = [data[a:b] for a, b in zip([0, *ends[:-1]], ends)]
+                new = [w for w in words if w not in known]
+                for w, ids in zip(new, table.segment([w.decode() for w in new])):
+                    known[w] = ids, table.plain(ids).encode()
+                found = [known[w] for w in words]
+                ids = np.array([i for f in found for i in f[0]], "<u4")
+                cells = [part, seq, numbers, _squeeze(np.array([len(f[0]) for f in found], "<u4")), _squeeze(ids), _squeeze(np.array([len(f[1]) for f in found], "<u4")), _squeeze(b"".join([f[1] for f in found]))]
+                kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 5]
+                yield pa.RecordBatch.from_arrays([pa.array([c], kind) for c, kind in zip(cells, kinds)], names=["part", "seq", "numbers", "counts", "ids", "sizes", "data"])
+
+    near = dealt.repartition("bucket").sortWithinPartitions("bucket")
+    return near.mapInArrow(run, "part int, seq int, numbers binary, counts binary, ids binary, sizes binary, data binary")
+
+
+def _joined(rows: DataFrame, schema: T.StructType) -> DataFrame:
+    """Texts' ids and surface by position. ``rows``: kept, at, numbers, counts, ids, sizes, data; a block's answers stand before its texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        told: list[tuple] = []
+        words: list[str] = []
+        count = start = flat = np.zeros(0, np.int64)
+        reading = False
+        for batch in batches:
+            at = batch.column(1)
+            is_text = at.is_valid().to_numpy(zero_copy_only=False)
+            lists, plain = [], []
+            cells = [batch.column(k).to_pylist() for k in range(1, 7)]
+            for i in range(batch.num_rows):
+                if not is_text[i]:
+                    if not reading:
+                        reading, told = True, []
+                    told.append(tuple(c[i] for c in cells[1:]))
+                    continue
+                if reading:
+                    reading = False
+                    size = 1 + max(int(n.max()) for x in told if len(n := _array(x[0])))
+                    count, start, words, ids, base = np.zeros(size, np.int64), np.zeros(size, np.int64), [""] * size, [], 0
+                    for numbers, counts, own, sizes, data in told:
+                        n, c, own, data = _array(numbers), _array(counts).astype(np.int64), _array(own), zlib.decompress(data)
+                        count[n] = c
+                        start[n] = base + np.cumsum(c) - c
+                        base += len(own)
+                        ids.append(own)
+                        ends = np.cumsum(_array(sizes)).tolist()
+                        for k, a, b in zip(n.tolist(), [0, *ends[:-1]], ends):
+                            words[k] = data[a:b].decode()
+                    flat, told = np.concatenate(ids).astype(np.int32), []
+                order = _array(cells[0][i])
+                n = count[order]
+                total = int(n.sum())
+                lists.append(flat[np.repeat(start[order] - (np.cumsum(n) - n), n) + np.arange(total)] if total else flat[:0])
+                plain.append("".join([words[k] for k in order.tolist()])[1:])
+            if lists:
+                ends = np.cumsum([0, *[len(x) for x in lists]]).astype(np.int32)
+                found = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists), pa.int32()))
+                yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(is_text)), found, pa.array(plain, pa.string())], names=schema.names)
+
+    return rows.mapInArrow(run, schema)
+
+
+def encode_documents(docs: DataFrame, text: str = "text", keep: list[str] | None = None, model: str | None = None, ids: str = "piece_ids", decoded: str = "piece_text", block: int = 1 << 24, bucket_chunks: int = 200_000) -> DataFrame:
+    """Add ``ids`` (array of int) and ``decoded`` (their text) to the kept columns of ``docs``.
+
+    A block has about ``block`` characters, and a task of the segmentation buckets with
+    about ``bucket_chunks`` chunks each, however large the table.
+    """
+    common.tune(docs.sparkSession)
+    spark = docs.sparkSession
+    model = model or default_model()
+    keep = docs.columns if keep is None else keep
+    # the numbering is written down, so that every later reader sees the same blocks
+    blocks, _ = common.stored(_numbered(common.packed(docs, keep, text=common.text_of(text)), block))
+    lists = blocks.where("at is null").select("part", "seq", "numbers", "sizes", "data")
+    size = lists.agg(F.sum(F.octet_length("data"))).first()[0] or 0  # three bytes a chunk or more when compressed
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (3 * bucket_chunks) + 1)
+    told = _answers(_dealt(lists, buckets), model)
+    none = F.lit(None).cast("binary")
+    names = ["numbers", "counts", "ids", "sizes", "data"]
+    texts = blocks.where("at is not null").select("kept", "at", *[none.alias(c) for c in names], "part", "seq")
+    answers = told.select(F.lit(None).cast(blocks.schema["kept"].dataType).alias("kept"), none.alias("at"), *names, "part", "seq")
+    rows = answers.unionAll(texts).repartition("part", "seq").sortWithinPartitions("part", "seq", F.col("at").isNotNull())
+    fields = [T.StructField("kept", blocks.schema["kept"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("plain", T.StringType())]
+    out = _joined(rows.select("kept", "at", *names), T.StructType(fields))
+    return common.unpacked(out, keep, **{ids: F.col("ids"), decoded: F.col("plain")})
+
+
 def decode_ids(frame: DataFrame, ids: str = "piece_ids", decoded: str = "piece_text", model: str | None = None) -> DataFrame:
     """Add the text of an id column; null ids give null."""
     common.tune(frame.sparkSession)
     model = model or default_model()
-    keep = [c for c in frame.columns if c != decoded]
-    frame = frame.select(*[F.col(f"`{c}`") for c in keep])
+    keep = frame.columns
+    rows = common.packed(frame, keep, ids=F.col(f"`{ids}`"))
+    schema = T.StructType([rows.schema["kept"], T.StructField("plain", T.StringType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = ChunkTable(model)
+        table = Segmenter(model)
         for batch in batches:
-            texts = [None if x is None else table.decode(x) for x in batch.column(keep.index(ids)).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], names=[*keep, decoded])
+            texts = [None if x is None else table.decode(x) for x in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=schema.names)
 
-    return frame.mapInArrow(run, T.StructType([*frame.schema.fields, T.StructField(decoded, T.StringType())]))
+    return common.unpacked(rows.mapInArrow(run, schema), keep, **{decoded: F.col("plain")})
 
 
 def piece_digests(docs: DataFrame, model: str | None = None) -> DataFrame:

@@ -49,8 +49,8 @@ def flat_files(docs: DataFrame, model: str | None = None, block: int = BLOCK) ->
         row = lambda *x: pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(x, kinds)], names=names)
         for batch in batches:
             ids = batch.column(0).to_pylist()
-            for t in batch.column(1).to_pylist():
-                held += np.frombuffer(table.encode(t)[0], "<i4").astype("<u2").tobytes() + end
+            for coded in table.encode_all(batch.column(1).to_pylist()):
+                held += np.frombuffer(coded, "<i4").astype("<u2").tobytes() + end
                 while len(held) >= 2 * block:
                     yield row(file, at, bytes(held[: 2 * block]), None, None)
                     del held[: 2 * block]

@@ -1,5 +1,7 @@
 import hashlib
 
+import numpy as np
+
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -9,10 +11,10 @@ TABLE = pieces.ChunkTable(pieces.default_model())
 
 
 def ids_of(text):
-    import numpy as np
-
-    packed, plain = TABLE.encode(text)
-    return np.frombuffer(packed, "<i4").tolist(), plain
+    """By chunks, each segmented on its own; the task's table must agree."""
+    ids = [i for chunks in pieces.chunks_of(text, 7) for part in TABLE.segment(chunks) for i in part] if text else []
+    assert np.frombuffer(TABLE.encode_all([text])[0], "<i4").tolist() == ids
+    return ids, TABLE.decode(ids)
 
 
 @settings(max_examples=300, deadline=None)
@@ -29,11 +31,38 @@ def test_edges():
         assert ids == TABLE.sp.encode(text) and plain == TABLE.sp.decode(ids)
 
 
+def test_each_distinct_chunk_is_segmented_once(spark):
+    rows = [(i, " ".join(f"w{(i * j) % 11}" for j in range(40)) + " x" * (i % 3)) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    packed = pieces.common.packed(docs, ["doc_id"], text=pieces.common.text_of())
+    blocks, _ = pieces.common.stored(pieces._numbered(packed, 500))
+    lists = blocks.where("at is null")
+    dealt = pieces._dealt(lists, 8).collect()
+    held = {}
+    for r in dealt:
+        words, at = pieces.zlib.decompress(r.data), 0
+        for n in pieces._array(r.sizes):
+            held.setdefault(words[at : at + n], set()).add(r.bucket)
+            at += n
+    assert all(len(b) == 1 for b in held.values()) and len(held) == len({c for _, t in rows for x in pieces.chunks_of(t) for c in x})
+    assert lists.count() > 4
+    got = {r.doc_id: r for r in pieces.encode_documents(docs, block=500, bucket_chunks=3).collect()}
+    assert all(got[i].piece_ids == TABLE.sp.encode(t) and got[i].piece_text == t for i, t in rows)
+
+
+def test_long_texts_and_clashes(spark):
+    rows = [(1, "é" * 70_000 + " " + "ab " * 400_000, 5, "own"), (2, None, 6, None), (2, " ", 7, "z")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, at int, kept string")
+    got = pieces.encode_documents(docs).orderBy("at").collect()
+    assert [(r.doc_id, r.at, r.kept) for r in got] == [(1, 5, "own"), (2, 6, None), (2, 7, "z")]
+    assert [r.piece_ids for r in got] == [TABLE.sp.encode(t or "") for _, t, *_ in rows]
+
+
 def test_query_rows(spark):
     rows = [(1, "hello world", "x"), (2, None, "y"), (3, "", None), (1, "hello world", "x"), (None, "é ▁ z", "q")]
     docs = spark.createDataFrame(rows, "doc_id long, text string, piece_ids string")
     got = pieces.encode_documents(docs).collect()
-    assert len(got) == 5
+    assert len(got) == 5 and {r.input_piece_ids for r in got} == {"x", "y", None, "q"}
     for r in got:
         assert r.piece_ids == TABLE.sp.encode(r.text or "")
     digests = {r.doc_id: r for r in pieces.piece_digests(docs).collect()}
