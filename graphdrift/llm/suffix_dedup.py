@@ -22,7 +22,8 @@ counted before the exchange), which is exact as well.
 Defined results: null text is empty; a text shorter than the window loses nothing;
 repeated rows are places of their own, so a repeated text of the window's length
 or more goes as a whole; bytes are judged on the input; an empty table gives an
-empty result. Rows are told apart by a 64-bit hash of (doc_id, text) and length.
+empty result; other columns pass through, one with an added column's name as
+``input_<name>``. Rows are told apart by a 64-bit hash of (doc_id, text) and length.
 """
 
 from __future__ import annotations
@@ -32,8 +33,9 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from graphdrift.llm import common
 from graphdrift.llm.superminhash import scramble
@@ -235,19 +237,60 @@ def _extract(texts: DataFrame, length: int, gram: int) -> DataFrame:
     return texts.select("rid", "text").mapInArrow(run, "rid long, keys array<long>, digests array<long>, places array<long>")
 
 
-def _cut_out(asked: DataFrame, length: int) -> DataFrame:
-    """key, seen, rid, first, starts, bytes of the asked runs. ``asked``: text, rid, runs."""
+def _combined(runs: DataFrame) -> DataFrame:
+    """key, digest, c, rid, place, inner: the runs of a task, equal ones counted before anything travels."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
         for batch in batches:
-            texts = common.byte_list(batch.column(0))
-            rid, runs = batch.column(1).to_pylist(), batch.column(2).to_pylist()
-            rows = [(x["key"], x["c"], r, x["place"] >> 32, (x["place"] & 0xFFFFFFFF) >> 1) for r, list_ in zip(rid, runs) for x in list_]
-            data = [t[(x["place"] >> 32) : (x["place"] >> 32) + ((x["place"] & 0xFFFFFFFF) >> 1) - 1 + length] for t, list_ in zip(texts, runs) for x in list_]
-            if rows:
-                yield pa.RecordBatch.from_arrays([*[pa.array([x[k] for x in rows], pa.int64()) for k in range(5)], pa.array(data, pa.binary())], names=["key", "c", "rid", "first", "starts", "data"])
+            lists = [batch.column(k) for k in (1, 2, 3)]
+            sizes = np.diff(lists[0].offsets.to_numpy())
+            held.append([*[x.flatten().to_numpy() for x in lists], np.repeat(batch.column(0).to_numpy(), sizes)])
+        if not held:
+            return
+        key, digest, place, rid = (np.concatenate(x) for x in zip(*held))
+        order = np.lexsort((place, rid, digest, key))
+        key, digest, place, rid = key[order], digest[order], place[order], rid[order]
+        first = np.ones(len(key), bool)
+        first[1:] = (key[1:] != key[:-1]) | (digest[1:] != digest[:-1])
+        at = np.flatnonzero(first)
+        if not len(at):
+            return
+        count = np.diff(np.append(at, len(key)))
+        inner = np.maximum.reduceat(place & 1, at)
+        for k in range(0, len(at), 100_000):
+            x = at[k : k + 100_000]
+            columns = [key[x], digest[x], count[k : k + 100_000], rid[x], place[x], inner[k : k + 100_000]]
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["key", "digest", "c", "rid", "place", "inner"])
+
+    return runs.select("rid", "keys", "digests", "places").mapInArrow(run, "key long, digest long, c long, rid long, place long, inner long")
+
+
+def _cut_out(asked: DataFrame, length: int, longer: int | None) -> DataFrame:
+    """kind, key, c, rid, first, starts, data. ``asked``: text, rid, runs (place, key, c, need).
+
+    Kind 0 are the bytes of the runs needed by the sort. Kind 1, with ``longer``, are
+    the stretches of at least that many bytes that the text's runs cover together.
+    """
 
-    return asked.select("text", "rid", "runs").mapInArrow(run, "key long, c long, rid long, first long, starts long, data binary")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for t, rid, runs in zip(common.byte_list(batch.column(0)), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+                spans = []
+                for x in runs:
+                    first, starts = x["place"] >> 32, (x["place"] & 0xFFFFFFFF) >> 1
+                    if x["need"]:
+                        rows.append((0, x["key"], x["c"], rid, first, starts, t[first : first + starts - 1 + length]))
+                    spans.append({"a": first, "b": first + starts - 1 + length})
+                if longer:
+                    spans.sort(key=lambda s: s["a"])
+                    rows += [(1, 0, 0, rid, a, 0, t[a:b]) for a, b in merged(spans) if b - a >= longer]
+            kinds = [pa.int32(), *[pa.int64()] * 5, pa.binary()]
+            for k in range(0, len(rows), 4096):
+                yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows[k : k + 4096]], kind) for i, kind in enumerate(kinds)], names=["kind", "key", "c", "rid", "first", "starts", "data"])
+
+    return asked.select("text", "rid", "runs").mapInArrow(run, "kind int, key long, c long, rid long, first long, starts long, data binary")
 
 
 def _sorted_buckets(strings: DataFrame, length: int, block: int) -> DataFrame:
@@ -294,28 +337,47 @@ def _dealt_windows(strings: DataFrame, length: int) -> DataFrame:
     return windows.where("c = 1").join(again, "h", "left_semi").select("rid", "a", (F.col("a") + length).alias("b"))
 
 
-def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, block: int = 1 << 20, most_runs: int = 20_000) -> DataFrame:
-    """rid, spans (array of a, b, not yet merged) of texts with repeated windows. ``texts``: rid, text."""
-    spark = texts.sparkSession
+def repeated_spans(texts: DataFrame, length: int = 400, gram: int = 128, block: int = 1 << 20, most_runs: int = 20_000, longer: int | None = None, longer_gram: int = 128) -> tuple[DataFrame, DataFrame | None]:
+    """rid, spans (array of a, b, not yet merged) of texts with repeated windows. ``texts``: rid, text.
+
+    With ``longer`` also the spans of that greater length. A repeated window of it
+    consists of repeated windows of ``length``, so only stretches that these can cover
+    are searched, as texts of their own; their bytes leave with the runs' bytes.
+    """
     runs = common.cut(_extract(texts, length, min(gram, length)))
+    groups = _combined(runs).repartition("key").groupBy("key", "digest").agg(F.sum("c").alias("c"), F.min("rid").alias("rep"), F.max("inner").alias("inner"), F.min_by("place", "rid").alias("rep_place"))
+    of_key = Window.partitionBy("key")
+    told = groups.withColumn("nd", F.count(F.lit(1)).over(of_key)).withColumn("most", F.max("c").over(of_key)).withColumn("any_inner", F.max("inner").over(of_key))
+    told = common.cut(told.where("nd > 1 or most > 1 or any_inner > 0").select("key", "digest", "c", "rep", "rep_place", "nd", "any_inner"))
+    common.release(texts.sparkSession)
     flat = runs.select("rid", F.explode(F.arrays_zip("keys", "digests", "places")).alias("r")).select("rid", F.col("r.keys").alias("key"), F.col("r.digests").alias("digest"), F.col("r.places").alias("place"))
-    groups = flat.groupBy("key", "digest").agg(F.count(F.lit(1)).alias("c"), F.min("rid").alias("rid"), F.max(F.col("place").bitwiseAND(F.lit(1))).alias("inner"), F.min_by("place", "rid").alias("place"))
-    several = groups.groupBy("key").agg(F.count(F.lit(1)).alias("nd"), F.max("c").alias("most"), F.max("inner").alias("any_inner")).where("nd > 1 or most > 1 or any_inner > 0").select("key", "nd", "any_inner")
-    told = common.cut(groups.join(several, "key"))
-    common.release(spark)
-    twice = told.where("c > 1").select("key", "digest")
-    whole = flat.join(twice, ["key", "digest"], "left_semi").select("rid", F.shiftright("place", 32).alias("a"), (F.shiftright("place", 32) + F.shiftright(F.col("place").bitwiseAND(F.lit(0xFFFFFFFF)), 1) - 1 + length).alias("b"))
-    asked = told.where("(nd > 1 or any_inner > 0)").groupBy("rid").agg(F.collect_list(F.struct("key", "c", "place")).alias("runs"))
-    strings = _cut_out(texts.join(asked, "rid"), length)
+    need = F.expr("(nd > 1 or any_inner > 0) and rid = rep and place = rep_place")
+    members = flat.join(told.select("key", "digest", "c", "rep", "rep_place", "nd", "any_inner"), ["key", "digest"]).select("rid", "place", "key", "c", need.alias("need"))
+    if not longer:  # the bytes of the runs to be sorted are all that is asked for
+        members = members.where("c > 1 or need")
+    lists = common.cut(members.groupBy("rid").agg(F.collect_set(F.struct("place", "key", "c", "need")).alias("runs")))
+    whole = lists.select("rid", F.explode("runs").alias("r")).where("r.c > 1").select("rid", F.shiftright("r.place", 32).alias("a"), (F.shiftright("r.place", 32) + F.shiftright(F.col("r.place").bitwiseAND(F.lit(0xFFFFFFFF)), 1) - 1 + length).alias("b"))
+    asked = lists if longer else lists.where(F.exists("runs", lambda r: r["need"]))
+    pieces, path = common.stored(_cut_out(texts.join(asked, "rid"), length, longer))
+    strings = pieces.where("kind = 0").drop("kind")
     large = told.where(F.col("nd") > most_runs).select("key").distinct()
     if large.limit(1).count():
-        strings = common.cut(strings)
         parted = _sorted_buckets(strings.join(large, "key", "left_anti"), length, block).unionAll(_dealt_windows(strings.join(large, "key", "left_semi"), length))
     else:
         parted = _sorted_buckets(strings, length, block)
     found = common.cut(whole.unionAll(parted).groupBy("rid").agg(F.array_sort(F.collect_list(F.struct("a", "b"))).alias("spans")))
-    common.release(spark)
-    return found
+    common.forget(runs, told, lists)
+    common.release(texts.sparkSession)
+    far = None
+    if longer:
+        stretch = pieces.where("kind = 1").select(F.xxhash64("rid", "first").alias("sid"), "rid", "first", "data")
+        inside, _ = repeated_spans(stretch.select(F.col("sid").alias("rid"), F.col("data").alias("text")), longer, longer_gram, block, most_runs)
+        back = inside.join(stretch.select(F.col("sid"), F.col("rid").alias("own"), "first").distinct(), F.col("rid") == F.col("sid"))
+        shifted = back.select(F.col("own").alias("rid"), F.explode("spans").alias("s"), "first").select("rid", (F.col("s.a") + F.col("first")).alias("a"), (F.col("s.b") + F.col("first")).alias("b"))
+        far = common.cut(shifted.groupBy("rid").agg(F.array_sort(F.collect_list(F.struct("a", "b"))).alias("spans")))
+        common.forget(inside)
+    common.delete(texts.sparkSession, path)
+    return found, far
 
 
 def merged(spans: list[dict]) -> list[tuple[int, int]]:
@@ -339,49 +401,67 @@ def whole_characters(data: bytes, a: int, b: int) -> tuple[int, int]:
     return a, b
 
 
-def remove_repeats(docs: DataFrame, length: int = 400, keep: list[str] | None = None, as_text: bool = False, **kw) -> DataFrame:
+def without(data: bytes, spans: list[dict] | None, as_text: bool) -> tuple[bytes, list[dict]]:
+    """The bytes outside the spans, and the removed runs."""
+    cuts = merged(spans or [])
+    if as_text:
+        cuts = [x for a, b in cuts if (x := whole_characters(data, a, b))[0] < x[1]]
+    at, parts = 0, []
+    for a, b in cuts:
+        parts.append(data[at:a])
+        at = b
+    parts.append(data[at:])
+    return b"".join(parts), [{"a": a, "b": b} for a, b in cuts]
+
+
+def remove_repeats(docs: DataFrame, length: int = 400, keep: list[str] | None = None, as_text: bool = False, passage: int | None = None, **kw) -> DataFrame:
     """Kept columns of ``docs`` and n_bytes, removed (maximal runs: a, b) and kept_bytes.
 
     ``as_text`` leaves a character that a removed run cuts whole, so that the kept
-    bytes are UTF-8.
+    bytes are UTF-8. ``passage``, a length below the other, adds passages_cut: the text
+    without the strings of that length that repeat.
     """
     common.tune(docs.sparkSession)
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in ("n_bytes", "removed", "kept_bytes", "rid")]
-    marked = docs.select(*[F.col(f"`{c}`") for c in keep], common.text_of().alias("__text"))
+    keep = docs.columns if keep is None else keep
     key = F.xxhash64(F.col("doc_id").cast("string") if "doc_id" in docs.columns else F.lit(0), common.text_of(), F.octet_length(common.text_of()))
     texts = docs.select(key.alias("rid"), common.text_of().alias("text"))
-    spans = repeated_spans(texts, length, **kw)
-    marked = docs.select(key.alias("rid"), *[F.col(f"`{c}`") for c in keep], common.text_of().alias("__text")).join(spans, "rid", "left")
-    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*[F.col(f"`{c}`") for c in keep]).schema.fields], "n_bytes long", "removed array<struct<a:long,b:long>>", "kept_bytes binary"])
+    short, spans = repeated_spans(texts, passage, longer=length, **kw) if passage else (None, repeated_spans(texts, length, **kw)[0])
+    frame = common.packed(docs, keep, rid=key, text=common.text_of()).join(spans, "rid", "left")
+    if passage:
+        frame = frame.join(short.withColumnRenamed("spans", "short"), "rid", "left")
+    frame = frame.select("kept", "text", "spans", *(["short"] if passage else []))
+    added = "n_bytes long, removed array<struct<a:long,b:long>>, kept_bytes binary" + ", passages_cut string" * bool(passage)
+    schema = T.StructType([frame.schema["kept"], *T.StructType.fromDDL(added).fields])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            kept, removed, sizes = [], [], []
-            for t, s in zip(common.byte_list(batch.column(len(keep))), batch.column(len(keep) + 1).to_pylist()):
-                cuts = merged(s or [])
-                if as_text:
-                    cuts = [x for a, b in cuts if (x := whole_characters(t, a, b))[0] < x[1]]
-                at, parts = 0, []
-                for a, b in cuts:
-                    parts.append(t[at:a])
-                    at = b
-                parts.append(t[at:])
-                kept.append(b"".join(parts))
-                removed.append([{"a": a, "b": b} for a, b in cuts])
-                sizes.append(len(t))
-            more = [pa.array(sizes, pa.int64()), pa.array(removed, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))), pa.array(kept, pa.binary())]
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], *more], names=[*keep, "n_bytes", "removed", "kept_bytes"])
-
-    return marked.select(*[F.col(f"`{c}`") for c in keep], "__text", "spans").mapInArrow(run, schema)
-
-
-def removal_digests(docs: DataFrame, length: int = 400) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
-    out = remove_repeats(docs, length, keep=["doc_id"])
+            texts = common.byte_list(batch.column(1))
+            pairs = [without(t, s, as_text) for t, s in zip(texts, batch.column(2).to_pylist())]
+            removed = pa.array([p[1] for p in pairs], pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))
+            more = [pa.array([len(t) for t in texts], pa.int64()), removed, pa.array([p[0] for p in pairs], pa.binary())]
+            if passage:
+                more.append(pa.array([without(t, s, True)[0].decode() for t, s in zip(texts, batch.column(3).to_pylist())], pa.string()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), *more], names=schema.names)
+
+    out = frame.mapInArrow(run, schema)
+    return common.unpacked(out, keep, **{c: F.col(c) for c in schema.names[1:]})
+
+
+#: Bytes of a string that counts as a passage: about 40 words of prose.
+PASSAGE, PASSAGE_GRAM = 240, 48
+
+
+def removal_digests(docs: DataFrame, length: int = 400, passage: int = PASSAGE) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, and text: what is left without passages of ``passage`` bytes.
+
+    Passages of over 50 words can be shorter than ``length`` bytes; ``text`` lacks those too.
+    """
+    out = remove_repeats(docs, length, keep=["doc_id"], passage=passage, gram=PASSAGE_GRAM)
     return out.select(
         "doc_id",
         "n_bytes",
         (F.col("n_bytes") - F.octet_length("kept_bytes")).alias("n_removed"),
         F.size("removed").cast("long").alias("n_spans"),
         F.sha2("kept_bytes", 256).alias("kept_sha256"),
+        F.col("passages_cut").alias("text"),
     )

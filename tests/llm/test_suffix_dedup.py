@@ -79,3 +79,16 @@ def test_rows_and_text(spark):
     out = m.remove_repeats(docs, 400, as_text=True).collect()
     assert len(out) == 3 and all(r.kept_bytes.decode() in ("", "y") for r in out)
     assert m.removal_digests(docs.limit(0)).count() == 0
+
+
+def test_shorter_passages_beside(spark):
+    texts = corpus(5, 50, 5)
+    docs = spark.createDataFrame([(i, t, "own") for i, t in enumerate(texts)], "doc_id long, text string, spans string").repartition(4)
+    out = m.remove_repeats(docs, 120, passage=60, gram=20, longer_gram=32).collect()
+    assert {r.spans for r in out} == {"own"}
+    got = {r.doc_id: r for r in out}
+    assert [(r.n_bytes, r.n_bytes - len(r.kept_bytes), len(r.removed), hashlib.sha256(r.kept_bytes).hexdigest()) for r in (got[i] for i in range(len(texts)))] == brute(texts, 120)
+    plain = {r.doc_id: r.kept_bytes.decode() for r in m.remove_repeats(docs, 60, as_text=True, gram=20).collect()}
+    assert {i: r.passages_cut for i, r in got.items()} == plain
+    digests = {r.doc_id: r for r in m.removal_digests(docs, 120, 60).collect()}
+    assert all(digests[i].n_removed == r.n_bytes - len(r.kept_bytes) and digests[i].text == r.passages_cut for i, r in got.items())
