@@ -40,9 +40,9 @@ def mix32_text(x: str, salt: str = "0") -> str:
     return f"(shiftright({v}, 16) ^ {v})"
 
 
-def salt_text(seed: int, use: int, iteration: int = 0, part: str = "0") -> str:
-    """The same salt as Spark SQL text."""
-    return f"({seed * 7919 + use * 15485863 + iteration * 104729}L + cast({part} as bigint) * 1299709L)"
+def salt_text(seed: int, use: int, iteration: int = 0, part: str = "0", turn: str = "0L") -> str:
+    """The same salt as Spark SQL text; ``turn`` is a column that adds to the iteration."""
+    return f"({seed * 7919 + use * 15485863 + iteration * 104729}L + {turn} * 104729L + cast({part} as bigint) * 1299709L)"
 
 
 def mix32_sql(x: str, salt: str = "0") -> str:

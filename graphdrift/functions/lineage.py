@@ -13,10 +13,13 @@ BROADCAST_ROWS = 200_000
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The session's shared checkpoint folder; our own only where none is set."""
+    """The session's shared checkpoint folder; our own only in local mode where none is set."""
     sc = spark.sparkContext
-    found = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
-    if not sc.getCheckpointDir():
+    found = sc.getCheckpointDir()
+    if not found:
+        found = sc.getConf().get("spark.checkpoint.dir")
+        if not found and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         found = found or os.path.join(tempfile.gettempdir(), "graphdrift-checkpoints")
         sc.setCheckpointDir(found)
     return found
@@ -28,6 +31,16 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def forget(*frames: DataFrame) -> None:
+    """Delete the files of checkpoints that nothing reads any more."""
+    for df in frames:
+        file = df._jdf.queryExecution().logical().rdd().getCheckpointFile()
+        if file.isDefined():
+            sc = df.sparkSession.sparkContext
+            path = sc._jvm.org.apache.hadoop.fs.Path(file.get())
+            path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def broadcast_if_small(df: DataFrame, rows: int) -> DataFrame:
     """A broadcast hint when the counted ``rows`` are within the bound, else a plain join side."""
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df

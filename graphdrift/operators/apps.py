@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphdrift.functions.lineage import cut
+from graphdrift.functions.lineage import cut, forget
 from graphdrift.operators.graph import symmetric, vertices_of
 
 #: Fixed-point units of a share of influence or rank: integer sums don't depend on order.
@@ -134,12 +134,12 @@ def hot_zones(edges: DataFrame, assignment: DataFrame) -> DataFrame:
     return volume.join(assignment, "vid").groupBy("part").agg(F.sum("items").alias("list_items")).join(dup, "part", "left")
 
 
-def bfs_levels(edges: DataFrame, root: int, limit: int = 10_000) -> tuple[DataFrame, int]:
-    """vid, level from a root; and the number of levels."""
+def bfs_levels(edges: DataFrame, root: int) -> tuple[DataFrame, int]:
+    """vid, level from a root; and the number of levels. Runs until a level reaches nothing new."""
     sym = symmetric(edges).repartition("src").persist()
     seen = cut(edges.sparkSession.createDataFrame([(root, 0)], "vid long, level int"))
     front, depth = seen, 0
-    while depth < limit:
+    while True:
         reached = front.join(sym, front.vid == sym.src).select(F.col("dst").alias("vid")).distinct()
         front = cut(reached.join(seen, "vid", "left_anti").select("vid", F.lit(depth + 1).alias("level")))
         if not front.limit(1).count():
@@ -158,12 +158,12 @@ def diameter_sweep(edges: DataFrame) -> DataFrame:
     return edges.sparkSession.createDataFrame([(bfs_levels(edges, far)[1], far)], "lower_bound int, far long")
 
 
-def diameter_exact(edges: DataFrame, limit: int = 10_000) -> DataFrame:
+def diameter_exact(edges: DataFrame) -> DataFrame:
     """diameter: by a search from all vertices at once (small graphs)."""
     sym = symmetric(edges).persist()
     seen = cut(vertices_of(edges).select(F.col("vid").alias("root"), "vid"))
     front, depth = seen, 0
-    while depth < limit:
+    while True:
         reached = front.join(sym, front.vid == sym.src).select("root", F.col("dst").alias("vid")).distinct()
         front = cut(reached.join(seen, ["root", "vid"], "left_anti"))
         if not front.limit(1).count():
@@ -174,23 +174,32 @@ def diameter_exact(edges: DataFrame, limit: int = 10_000) -> DataFrame:
     return edges.sparkSession.createDataFrame([(depth,)], "diameter int")
 
 
-def neighbourhood_function(edges: DataFrame, hops: int, lg_k: int = 12) -> DataFrame:
-    """hop, pairs: estimated pairs within each number of hops, by union of HLL sketches."""
+def neighbourhood_function(edges: DataFrame, hops: int | None = None, lg_k: int = 12) -> DataFrame:
+    """hop, pairs: estimated pairs within each number of hops, by union of HLL sketches; until the estimate stands still, or for ``hops``.
+
+    Sketches only grow, and a hop that changes none of them changes no later one either,
+    so the run ends with the first hop whose estimate is that of the one before.
+    """
     sym = symmetric(edges).persist()
     sketch = cut(vertices_of(edges).groupBy("vid").agg(F.hll_sketch_agg("vid", lg_k).alias("s")))
-    rows = []
-    for hop in range(hops + 1):
+    rows: list[tuple[int, float]] = []
+    hop = 0
+    while True:
         if hop:
             near = sym.join(sketch.withColumnRenamed("vid", "dst"), "dst").select(F.col("src").alias("vid"), "s")
-            sketch = cut(near.unionByName(sketch).groupBy("vid").agg(F.hll_union_agg("s").alias("s")))
+            old, sketch = sketch, cut(near.unionByName(sketch).groupBy("vid").agg(F.hll_union_agg("s").alias("s")))
+            forget(old)
         rows.append((hop, float(sketch.agg(F.sum(F.hll_sketch_estimate("s"))).first()[0] or 0)))
+        if (hops is not None and hop >= hops) or (hops is None and hop and rows[-1][1] == rows[-2][1]):
+            break
+        hop += 1
     sym.unpersist()
     return edges.sparkSession.createDataFrame(rows, "hop int, pairs double")
 
 
-def diameter_sketch(edges: DataFrame, epsilon: float = 0.001, hops: int = 64, lg_k: int = 12) -> DataFrame:
-    """diameter, effective: where the neighbourhood function stops growing, and reaches 90 % of its end."""
-    n = neighbourhood_function(edges, hops, lg_k).toPandas().pairs.to_numpy()
+def diameter_sketch(edges: DataFrame, epsilon: float = 0.0, lg_k: int = 12) -> DataFrame:
+    """diameter, effective: where the neighbourhood function stops growing (by more than ``epsilon``), and reaches 90 % of its end."""
+    n = neighbourhood_function(edges, None, lg_k).toPandas().pairs.to_numpy()
     stop = next((h for h in range(len(n) - 1) if n[h + 1] <= (1 + epsilon) * n[h]), len(n) - 1)
     goal = 0.9 * n[stop]
     h = int(np.argmax(n[: stop + 1] >= goal))

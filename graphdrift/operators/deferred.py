@@ -5,6 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from graphdrift.config import MigrationConfig
+from graphdrift.functions.lineage import cut, forget
+from graphdrift.operators.migrate import Adaptation
+
 
 def forecast_room(room: DataFrame, moves: DataFrame) -> DataFrame:
     """part, remaining of the next iteration from announced moves: room + leaving - arriving."""
@@ -14,18 +18,29 @@ def forecast_room(room: DataFrame, moves: DataFrame) -> DataFrame:
     return room.join(change, "part", "left").select("part", (F.col("remaining") + F.coalesce("d", F.lit(0))).alias("remaining"))
 
 
-def deliveries(sym: DataFrame, before: DataFrame, moves: DataFrame) -> DataFrame:
-    """sent, lost, forwarded, rewritten, deferred_lost: every vertex messages every neighbour while moves happen.
+def deliveries(edges: DataFrame, start: DataFrame, cfg: MigrationConfig, steps: int) -> DataFrame:
+    """mode, superstep, sent, lost, forwarded, rewritten: every vertex messages every neighbour while moves happen.
 
-    A message is addressed to the place its sender knows. If movers leave at once,
-    messages to them are lost, or have to be forwarded by the old place, or
-    rewritten in the senders' queues; under deferral the mover still is at the old
-    place when they arrive, and later senders know the new one.
+    A message leaves for the place that its sender knows as the superstep begins and
+    arrives after it, at the place's worker; it is stray if the addressee's physical
+    place is another by then. Immediate moves (mode ``immediate``) lose stray messages,
+    unless the old place sends them on (``forward``) or the senders' queues are
+    rewritten as the move is announced (``rewrite``). ``deferred`` is run with deferred
+    moves: the addressee is where its last announcement but one said, so none should stray.
     """
-    to_mover = sym.join(moves.select(F.col("vid").alias("dst"), F.lit(1).alias("mover")), "dst", "left")
-    del before
-    stale = F.count("mover")
-    return to_mover.agg(F.count(F.lit(1)).alias("sent"), stale.alias("lost"), stale.alias("forwarded"), stale.alias("rewritten"), F.lit(0).cast("long").alias("deferred_lost"))
+    rows = []
+    for late in (False, True):
+        run = Adaptation.start(edges, start, cfg.but(deferred=late))
+        for t in range(1, steps + 1):
+            known = cut(run.state.select(F.col("vid").alias("dst"), "part"))
+            run.step()
+            there = run.state.select(F.col("vid").alias("dst"), "home")
+            told = run.sym.join(known, "dst").join(there, "dst").agg(F.count(F.lit(1)).alias("sent"), F.count_if(F.col("part") != F.col("home")).alias("stray")).first()
+            forget(known)
+            sent, stray = told["sent"], told["stray"]
+            rows += [("deferred", t, sent, stray, 0, 0)] if late else [("immediate", t, sent, stray, 0, 0), ("forward", t, sent, 0, stray, 0), ("rewrite", t, sent, 0, 0, stray)]
+        run.close()
+    return edges.sparkSession.createDataFrame(rows, "mode string, superstep int, sent long, lost long, forwarded long, rewritten long")
 
 
 def physical(state: DataFrame) -> DataFrame:

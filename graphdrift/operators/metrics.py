@@ -73,6 +73,18 @@ def iterations_to(history: DataFrame, share: float) -> DataFrame:
     return accumulated(history).where(F.col("share") >= share).agg(F.min("iteration").alias("iteration"))
 
 
+def cut_gain(edges: DataFrame, before: DataFrame, after: DataFrame) -> DataFrame:
+    """before, after, gain, relative: cut edges under two placements, what was gained, and its share of the first."""
+    a, b = cut_edges(edges, before).select(F.col("cut").alias("before")), cut_edges(edges, after).select(F.col("cut").alias("after"))
+    gain = F.col("before") - F.col("after")
+    return a.join(b).select("before", "after", gain.alias("gain"), F.when(F.col("before") > 0, gain / F.col("before")).alias("relative"))
+
+
+def converged_at(history: DataFrame) -> DataFrame:
+    """iteration: that of the last move (0: none)."""
+    return history.agg(F.coalesce(F.max(F.when(F.col("moved") > 0, F.col("iteration"))), F.lit(0)).cast("int").alias("iteration"))
+
+
 def summarise_runs(runs: DataFrame, value: str, *by: str) -> DataFrame:
     """Mean and standard deviation of repetitions."""
     return runs.groupBy(*by).agg(F.avg(value).alias("mean"), F.stddev_samp(value).alias("std"), F.count(F.lit(1)).alias("runs"))

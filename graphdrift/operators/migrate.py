@@ -1,10 +1,14 @@
 """Greedy vertex migration: histogram, candidates, coins, room, quotas, admission, the loop.
 
-One iteration is one plan and one checkpoint of the assignment. The arcs stay
-cached by target, so only the assignment and the pre-aggregated histogram travel.
-Loads (k numbers) come back with the iteration's single action and become the next
-iteration's room, so quotas are literals of the plan and no pair of partitions is
-materialised.
+The arcs stay cached by target, so only the assignment and the pre-aggregated
+histogram travel: a vertex's neighbours are counted in one column a partition, summed
+before the one exchange. An iteration has two actions. The first ranks the willing of
+each pair of partitions up to its quota and brings back the last one admitted (at most
+k(k-1) rows); the second says of every vertex whether it comes before that one, so no
+vertex is joined with the moves. Loads (k numbers) come back with it and become the
+next iteration's room. The iteration's number is a column of the state, and quotas and
+bounds are tables of values, so the compiled plan of one iteration serves the next. The
+state is cached, and checkpointed every few iterations.
 """
 
 from __future__ import annotations
@@ -19,7 +23,7 @@ from pyspark.sql import functions as F
 from graphdrift import schemas
 from graphdrift.config import MigrationConfig
 from graphdrift.functions.hashing import ADMIT, COIN, TIE, mix32, mix32_text, salt_of, salt_text, threshold
-from graphdrift.functions.lineage import cut
+from graphdrift.functions.lineage import cut, forget
 from graphdrift.operators.graph import symmetric
 
 
@@ -149,6 +153,10 @@ def full_state(assignment: DataFrame) -> DataFrame:
     return assignment.select("vid", "part", F.col("part").alias("home"), F.lit(None).cast("int").alias("settle"))
 
 
+#: Partitions up to which neighbours are counted in one column a partition.
+WIDE = 64
+
+
 @dataclass
 class Adaptation:
     """A running adaptation: cached arcs, the current state, loads, and the history so far."""
@@ -161,73 +169,117 @@ class Adaptation:
     loads: list[int]
     iteration: int = 0
     history: list[dict] = field(default_factory=list)
+    checkpoint: DataFrame | None = None
 
     @classmethod
-    def start(cls, edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig) -> Adaptation:
+    def start(cls, edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig, iteration: int = 0) -> Adaptation:
         spark = edges.sparkSession
         # a fixed number of partitions, so that adaptive execution keeps what the join needs
         sym = symmetric(edges).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "dst").persist()
-        state = cut(full_state(assignment))
+        state = cut(full_state(assignment).withColumn("t", F.lit(iteration).cast("long")))
         loads = [0] * cfg.k
         for r in state.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect():
             loads[r["part"]] = r["n"]
         caps = capacity_plan(sum(loads), cfg.k, cfg.slack if cfg.use_quota else None, cfg.caps, loads)
-        return cls(spark, sym, state, cfg, caps, loads)
+        return cls(spark, sym, state, cfg, caps, loads, iteration)
 
-    def proposals(self, t: int) -> DataFrame:
-        """Every vertex with its state, the part it would rather be in, whether it asks for it, and its coin.
+    def _counted(self) -> DataFrame:
+        """vid, part, home, settle, t, want, top, here, degree: each vertex's best partition, and its neighbours there, at home and in all.
 
-        Arcs and the state are one union: a vertex's own row tells its place, so neither
-        the histogram nor the outcome is joined with the state again. Hubs shrink to a row
-        a part and task before the exchange.
+        Arcs and the state are one union: a vertex's own row tells its place. Hubs shrink
+        to a row a task before the exchange. Beyond WIDE partitions the histogram has a row
+        a vertex and partition instead of a column.
         """
-        cfg, state = self.cfg, self.state
-        place = state.select(F.col("vid").alias("dst"), "part")
-        arcs = self.sym.join(place, "dst").selectExpr("src vid", "part", "1L n", "cast(null as int) home", "cast(null as int) settle")
-        own = state.selectExpr("vid", "part", f"{int(cfg.count_self)}L n", "home", "settle")
-        hist = arcs.unionAll(own).groupBy("vid", "part").agg(F.sum("n").alias("n"), F.max("home").alias("home"), F.max("settle").alias("settle"))
-        tie = mix32_text("vid", salt_text(cfg.seed, TIE, t, "part")) if cfg.tie_break == "hash" else "0L"
-        best = hist.groupBy("vid").agg(
-            F.expr(f"max(struct(n, home is not null o, {tie} tie, -part p)) b"),
-            F.expr("sum(if(home is null, 0L, n)) here"),
-            F.expr("sum(n) degree"),
-            F.expr("max(if(home is null, null, part)) part"),
-            F.expr("max(home) home"),
-            F.expr("max(settle) settle"),
-        )
-        free = f"(settle is null or settle < {t})" if cfg.deferred else "true"
-        act = F.col("wanted") & coin(cfg.s if cfg.adaptive else 0.0, t, cfg.seed)
-        return best.where("home is not null").selectExpr("vid", "part", "home", "settle", "-b.p want", "b.n - here gain", "degree - here away", "degree", f"-b.p <> part and {free} wanted").withColumn("acted", act)
+        cfg = self.cfg
+        place = self.state.select(F.col("vid").alias("dst"), "part")
+        arcs = self.sym.join(place, "dst").selectExpr("src vid", "part", "1L n", "cast(null as int) home", "cast(null as int) settle", "cast(null as bigint) t")
+        own = self.state.selectExpr("vid", "part", f"{int(cfg.count_self)}L n", "home", "settle", "t + 1 t")
+        rows = arcs.unionAll(own)
+        tie = mix32_text("vid", salt_text(cfg.seed, TIE, 0, "p", "t")) if cfg.tie_break == "hash" else "0L"
+        size = "n" if cfg.candidate_rule == "majority" else "least(n, 1L)"
+        # a vertex that has its own part among the best stays; ties are drawn for the others alone
+        if cfg.k <= WIDE:
+            counts = [F.expr(f"sum(if(part = {p}, n, 0L)) c{p}") for p in range(cfg.k)]
+            one = rows.groupBy("vid").agg(*counts, F.expr("max(if(home is null, null, part)) part"), F.expr("max(home) home"), F.expr("max(settle) settle"), F.expr("max(t) t")).where("home is not null")
+            columns = [f"c{p}" for p in range(cfg.k)]
+            each = one.selectExpr("vid", "part", "home", "settle", "t", f"array({', '.join(columns)}) c", f"{' + '.join(columns)} degree")
+            if cfg.candidate_rule != "majority":
+                each = each.withColumn("w", F.expr("transform(c, n -> least(n, 1L))"))
+            w = "c" if cfg.candidate_rule == "majority" else "w"
+            others = f"-array_max(transform(filter(sequence(0, {cfg.k - 1}), p -> {w}[p] = array_max({w})), p -> struct({tie} as tie, -p as p))).p"
+            return each.withColumn("want", F.expr(f"if({w}[part] = array_max({w}), part, {others})")).selectExpr("vid", "part", "home", "settle", "t", "want", "c[want] top", "c[part] here", "degree")
+        hist = rows.groupBy("vid", "part").agg(F.sum("n").alias("n"), F.max("home").alias("home"), F.max("settle").alias("settle"), F.max("t").alias("t"))
+        # the vertex's t is known to its own row alone, so ties are drawn once its parts are together
+        each = hist.groupBy("vid").agg(F.expr(f"collect_list(struct(part p, {size} w, n)) h"), F.expr("max(if(home is null, null, part)) part"), F.expr("max(home) home"), F.expr("max(settle) settle"), F.expr("max(t) t"), F.expr("sum(n) degree"), F.expr("sum(if(home is null, 0L, n)) here")).where("home is not null")
+        each = each.withColumn("b", F.expr(f"array_max(transform(h, x -> struct(x.w as w, x.p = part as o, {tie.replace('cast(p as bigint)', 'cast(x.p as bigint)')} as tie, -x.p as p, x.n as n)))"))
+        return each.selectExpr("vid", "part", "home", "settle", "t", "-b.p want", "b.n top", "here", "degree")
+
+    def proposals(self) -> DataFrame:
+        """Every vertex with its state, the part it would rather be in, whether it asks for it, its coin, and its place in the queue."""
+        cfg = self.cfg
+        free = "(settle is null or settle < t)" if cfg.deferred else "true"
+        head = f"{mix32_text('vid', salt_text(cfg.seed, COIN, 0, '0', 't'))} < {threshold(cfg.s if cfg.adaptive else 0.0)}"
+        first = "here - top" if cfg.admission == "gain" else "0L"
+        queue = f"struct({first} g, {mix32_text('vid', salt_text(cfg.seed, ADMIT, 0, '0', 't'))} h, vid v)"
+        return self._counted().selectExpr("*", f"want <> part and {free} wanted").selectExpr("*", f"wanted and {head} acted", f"{queue} queue")
+
+    def _last_admitted(self, wants: DataFrame) -> DataFrame | None:
+        """part, want, last: the place in the queue of the last one that each pair's quota admits."""
+        cfg, k, t = self.cfg, self.cfg.k, self.iteration
+        room = [max(0, c - n) for c, n in zip(self.caps, self.loads)]
+        quota = {}
+        for i in range(k):
+            for j in range(k):
+                turn = ((i if i < j else i - 1) - t) % max(1, k - 1)
+                n = room[j] // max(1, k - 1) + (cfg.quota_remainder == "rotate" and turn < room[j] % max(1, k - 1))
+                if i != j and n:
+                    quota[i, j] = n
+        if not quota:
+            return None
+        pairs = self.spark.sql(f"select * from values {', '.join(f'({i}, {j}, {n}L)' for (i, j), n in quota.items())} as q(part, want, quota)")
+        rank = F.row_number().over(Window.partitionBy("part", "want").orderBy("queue"))
+        # the literal bound lets Spark limit groups before the exchange
+        ranked = wants.where("acted").select("part", "want", "queue").withColumn("rn", rank).where(F.col("rn") <= max(quota.values()))
+        last = ranked.join(F.broadcast(pairs), ["part", "want"]).where("rn <= quota").groupBy("part", "want").agg(F.max("queue").alias("q")).collect()
+        if not last:
+            return None
+        rows = ", ".join(f"({r['part']}, {r['want']}, {r['q']['g']}L, {r['q']['h']}L, {r['q']['v']}L)" for r in last)
+        return self.spark.sql(f"select part, want, struct(g, h, v) last from values {rows} as q(part, want, g, h, v)")
 
     def step(self) -> dict:
         """One iteration; returns its history row (``cut`` is that of the state it found)."""
         cfg, began = self.cfg, time.time()
         self.iteration = t = self.iteration + 1
-        wants = self.proposals(t).persist()  # read by the admission and again by its outcome
-        going = wants.where("acted").select("vid", F.col("part").alias("from_part"), F.col("want").alias("to_part"), "gain")
-        if cfg.use_quota and cfg.k > 1:
-            going = admit(going, [max(0, c - n) for c, n in zip(self.caps, self.loads)], cfg.k, cfg, t)
-        told = wants.join(going.select("vid", "to_part"), "vid", "left")
-        moved = "to_part is not null"
+        wants = self.proposals().persist()  # read by the admission and again by its outcome
+        if cfg.use_quota:
+            last = self._last_admitted(wants)
+            told = wants.withColumn("moved", F.lit(False)) if last is None else wants.join(F.broadcast(last), ["part", "want"], "left").withColumn("moved", F.expr("acted and last is not null and queue <= last"))
+        else:
+            told = wants.withColumn("moved", F.col("acted"))
+        decided = time.time()
         if cfg.deferred:
-            home = f"case when {moved} then home when settle <= {t} then part else home end"
-            settle = f"case when {moved} then {t + 1} when settle > {t} then settle end"
+            home = "case when moved then home when settle <= t then part else home end"
+            settle = "case when moved then t + 1 when settle > t then settle end"
         else:
-            home, settle = f"case when {moved} then to_part when settle <= {t} then part else home end", "cast(null as int)"
-        new = told.selectExpr("vid", "coalesce(to_part, part) part", f"{home} home", f"cast({settle} as int) settle", f"{moved} moved", "wanted", "acted", "away", "degree")
+            home, settle = "case when moved then want when settle <= t then part else home end", "cast(null as int)"
+        new = told.selectExpr("vid", "if(moved, want, part) part", f"{home} home", f"cast({settle} as int) settle", "t", "moved", "wanted", "acted", "degree - here away", "degree")
         new = cut(new)
         wants.unpersist()
         count = lambda c: F.sum(F.col(c).cast("long")).alias(c)
         per_part = new.groupBy("part").agg(F.count(F.lit(1)).alias("n"), count("moved"), count("wanted"), count("acted"), count("away"), count("degree")).collect()
+        self.state = new.select("vid", "part", "home", "settle", "t")
+        if self.checkpoint is not None:
+            forget(self.checkpoint)
+        self.checkpoint = new
         self.loads = [0] * cfg.k
         for r in per_part:
             self.loads[r["part"]] = r["n"]
         total = {c: sum(r[c] for r in per_part) for c in ("moved", "wanted", "acted", "away", "degree")}
         extra = sum(self.loads) if cfg.count_self else 0
-        self.state = new.select("vid", "part", "home", "settle")
         row = {
             "iteration": t, "proposed": total["wanted"], "damped": total["wanted"] - total["acted"], "refused": total["acted"] - total["moved"], "moved": total["moved"],
-            "cut_before": total["away"] // 2, "edges": (total["degree"] - extra) // 2, "max_load": max(self.loads), "min_load": min(self.loads), "step_ms": int(1000 * (time.time() - began)),
+            "cut_before": total["away"] // 2, "edges": (total["degree"] - extra) // 2, "max_load": max(self.loads), "min_load": min(self.loads),
+            "decide_ms": int(1000 * (decided - began)), "migrate_ms": int(1000 * (time.time() - decided)), "step_ms": int(1000 * (time.time() - began)),
         }
         self.history.append(row)
         return row
@@ -274,7 +326,7 @@ def adapt(edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig, iterati
             warnings.warn(f"not quiet after {last} iterations", stacklevel=2)
     history = run.spark.createDataFrame(run.rows(), schemas.HISTORY)
     run.close()
-    return run.state, history
+    return run.state.select("vid", "part", "home", "settle"), history
 
 
 def repartition_from_scratch(edges: DataFrame, vertices: DataFrame, cfg: MigrationConfig) -> tuple[DataFrame, DataFrame]:
@@ -290,13 +342,24 @@ def worth_adapting(expected_iterations: int, static_ms: float, adaptive_ms: list
     return sum(adaptive_ms[:n]) + (expected_iterations - n) * settled_ms < expected_iterations * static_ms
 
 
-def label_propagation(sym: DataFrame, labels: DataFrame, iterations: int) -> DataFrame:
-    """vid, label: unlabelled vertices take their neighbours' majority label (lowest on ties); seeds are fixed."""
+def label_propagation(sym: DataFrame, labels: DataFrame, iterations: int | None) -> DataFrame:
+    """vid, label: unlabelled vertices take their neighbours' majority label (lowest on ties); seeds are fixed.
+
+    For ``iterations``, or (None) until stable: until the labels are those of the step
+    before or of the one before that, as majorities taken all at once can swing to and fro.
+    """
     now = cut(labels.select("vid", F.col("label").cast("int").alias("part"), F.col("label").isNotNull().alias("seed")))
-    sym = sym.persist()
-    for _ in range(iterations):
+    sym, seen, done = sym.persist(), [], 0
+    while iterations is None or done < iterations:
         hist = neighbour_histogram(sym, now.where("part is not null"))
         best = hist.groupBy("vid").agg(F.max(F.struct("cnt", (-F.col("part")).alias("p"))).alias("b")).select("vid", (-F.col("b.p")).alias("new"))
-        now = cut(now.join(best, "vid", "left").select("vid", F.when(F.col("seed"), F.col("part")).otherwise(F.coalesce("new", "part")).alias("part"), "seed"))
+        old, now = now, cut(now.join(best, "vid", "left").select("vid", F.when(F.col("seed"), F.col("part")).otherwise(F.coalesce("new", "part")).alias("part"), "seed"))
+        forget(old)
+        done += 1
+        if iterations is None:
+            state = now.agg(F.sum(F.xxhash64("vid", "part").cast("decimal(20,0)"))).first()[0]
+            if state in seen[-2:]:
+                break
+            seen.append(state)
     sym.unpersist()
     return now.select("vid", F.col("part").alias("label"))

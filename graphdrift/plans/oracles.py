@@ -56,8 +56,10 @@ def migrations(cfg: MigrationConfig, steps: int, start: str = "a0") -> str:
     """CTEs a1 .. aT (vid, part, settle) and m1 .. mT (the moves), from ``start`` (vid, part, settle)."""
     k, out = cfg.k, []
     slack = round(cfg.slack * 100)
+    caps = f"cap as (select unnest({list(cfg.caps)})::bigint c, unnest(range({k}))::int cp)" if cfg.caps else None
+    met = "join cap on cap.cp = parts.part" if cfg.caps else "cross join cap"
     cap = f"greatest((n * {slack} + {100 * k - 1}) // {100 * k}, top)" if cfg.use_quota else "n"
-    out.append(f"parts as (select range::int part from range({k})), cap as (select {cap} c from (select sum(n) n, max(n) top from (select count(*) n from {start} group by part)))")
+    out.append(f"parts as (select range::int part from range({k})), {caps}" if caps else f"parts as (select range::int part from range({k})), cap as (select {cap} c from (select sum(n) n, max(n) top from (select count(*) n from {start} group by part)))")
     for t in range(1, steps + 1):
         a = start if t == 1 else f"a{t - 1}"
         tie = mix32_sql("h.vid", salt_sql(cfg.seed, TIE, t, "h.p")) if cfg.tie_break == "hash" else "0"
@@ -68,7 +70,7 @@ def migrations(cfg: MigrationConfig, steps: int, start: str = "a0") -> str:
         out.append(f"h{t} as materialized ({histogram(a, cfg.count_self)})")
         out.append(f"r{t} as materialized (select h.vid, a.part, h.p, h.cnt, a.settle, row_number() over (partition by h.vid order by h.cnt desc, (h.p = a.part) desc, {tie} desc, h.p) r, sum(case when h.p = a.part then h.cnt else 0 end) over (partition by h.vid) own from h{t} h join {a} a on a.vid = h.vid)")
         out.append(f"w{t} as materialized (select vid, part, p, cnt - own gain, {mix32_sql('vid', salt_sql(cfg.seed, COIN, t))} < {threshold(cfg.s)} acted from r{t} where r = 1 and p <> part and (settle is null or settle < {t}))")
-        out.append(f"room{t} as materialized (select parts.part j, greatest(0, c - count(a.vid))::bigint room from parts cross join cap left join {a} a on a.part = parts.part group by parts.part, c)")
+        out.append(f"room{t} as materialized (select parts.part j, greatest(0, c - count(a.vid))::bigint room from parts {met} left join {a} a on a.part = parts.part group by parts.part, c)")
         out.append(f"m{t} as materialized (select vid, part from_part, p to_part, gain from (select w.*, room, row_number() over (partition by part, p order by {first}{mix32_sql('vid', salt_sql(cfg.seed, ADMIT, t))}, vid) rn from w{t} w join room{t} on j = p where acted) where {chosen})")
         settle = f"case when m.vid is not null then {t + 1} when a.settle > {t} then a.settle end" if cfg.deferred else "null"
         out.append(f"a{t} as materialized (select a.vid, coalesce(m.to_part, a.part)::int part, ({settle})::int settle from {a} a left join m{t} m on m.vid = a.vid)")

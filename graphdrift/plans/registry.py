@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from graphdrift.config import MigrationConfig
 from graphdrift.functions.lineage import cut
 from graphdrift.operators import apps, changes, deferred, engine, initial, metrics, migrate
-from graphdrift.operators.graph import localise, propagate_moves, symmetric, vertices_of
+from graphdrift.operators.graph import localise, locate, propagate_moves, symmetric, vertices_of
 from graphdrift.plans import oracles as o
 from graphdrift.plans import workloads as w
 from graphdrift.sources import generators
@@ -191,12 +191,27 @@ def _told(s: SparkSession, d: str) -> DataFrame:
 query("propagated_moves", f"with {_BEGUN}, {o.migrations(_ONE, 1)} select src, dst, x.part src_part, y.part dst_part from edges join a1 x on x.vid = src join a1 y on y.vid = dst")(_told)
 
 
-def _deliveries(s: SparkSession, d: str) -> DataFrame:
-    edges, a = _placed(s, d, "lattice", "hsh_mixed")
-    return deferred.deliveries(symmetric(edges), a, cut(_admitted(s, d, _ONE)))
+_LATE = _ONE.but(deferred=True)
+
+
+def _deliveries_sql(steps: int) -> str:
+    """Stray messages by recount: who is physically elsewhere than its neighbours knew as the superstep began."""
+
+    def home(t: int) -> str:
+        before = f"ho{t - 1}" if t > 1 else "a0"
+        return f"ho{t} as materialized (select a.vid, case when a.settle = {t + 1} then b.part else a.part end part from a{t} a join {before} b on a.vid = b.vid)"
+
+    def stray(t: int, at: str) -> str:
+        return f"(select count(*) from sym join a{t - 1} x on x.vid = dst join {at} y on y.vid = dst where x.part <> y.part)"
+
+    sent = "(select count(*) from sym)"
+    quick = " union all ".join(f"select unnest(['immediate', 'forward', 'rewrite']) as mode, {t}::int superstep, {sent} sent, unnest([n, 0, 0])::bigint lost, unnest([0, n, 0])::bigint forwarded, unnest([0, 0, n])::bigint rewritten from (select {stray(t, f'a{t}')} n)" for t in range(1, steps + 1))
+    late = " union all ".join(f"select 'deferred' as mode, {t}::int superstep, {sent} sent, {stray(t, f"ho{t}")} lost, 0::bigint forwarded, 0::bigint rewritten" for t in range(1, steps + 1))
+    homes = ", ".join(home(t) for t in range(1, steps + 1))
+    return f"select * from (with {_BEGUN}, {o.migrations(_ONE, steps)} {quick}) union all select * from (with {_BEGUN}, {o.migrations(_LATE, steps)}, {homes} {late})"
 
 
-query("message_deliveries", f"with {_BEGUN}, {o.migrations(_ONE, 1)}, n as (select count(*) sent, count(m1.vid) stale from sym left join m1 on m1.vid = dst) select sent, stale lost, stale forwarded, stale rewritten, 0::bigint deferred_lost from n")(_deliveries)
+query("message_deliveries", _deliveries_sql(3))(lambda s, d: deferred.deliveries(*w.started(s, d, "lattice", _ONE), _ONE, 3))
 query("adapt_history_measures_t3", f"select iteration, moved, run, (run / sum(moved) over ()) share, (first_value(cut) over (order by iteration) - cut) gain from (select *, (sum(moved) over (order by iteration))::bigint run from ({o.history('lattice', _ONE, 3)}))")(
     lambda s, d: metrics.accumulated(w.run_history(s, d, "lattice", _ONE, 3)).select("iteration", "moved", "run", "share", "gain")
 )
@@ -204,6 +219,29 @@ query("iterations_to_half_t4", f"select min(iteration) iteration from (select it
 query("adapt_history_measures")(lambda s, d: metrics.accumulated(w.run_history(s, d, "lattice", _ONE, None)).select("iteration", "moved", "run", "share", "gain", "quiet"))
 query("iterations_to_half")(lambda s, d: metrics.iterations_to(w.run_history(s, d, "lattice", _ONE, None), 0.5))
 
+query("cut_gain_t3", o.final("lattice", _ONE, 3, f"select before, after, (before - after) gain, (before - after) / before relative from (select {o.cut_of('a0')} before, {o.cut_of('a3')} after)"))(
+    lambda s, d: (lambda e, a: metrics.cut_gain(e, a, migrate.adapt(e, a, _ONE, 3)[0]))(*w.started(s, d, "lattice", _ONE))
+)
+query("convergence_iteration_t4", f"select max(case when moved > 0 then iteration else 0 end)::int iteration from ({o.history('lattice', _ONE, 4)})")(lambda s, d: metrics.converged_at(w.run_history(s, d, "lattice", _ONE, 4)))
+query("convergence_iteration")(lambda s, d: metrics.converged_at(w.run_history(s, d, "lattice", _ONE, None)))
+#: Every other partition closed: a vector of capacities instead of slack.
+_CAPS = _ONE.but(caps=tuple(10**9 if p % 2 else 0 for p in range(K)))
+query("adapt_capacity_vector_t2", o.final("lattice", _CAPS, 2, "select vid, part from a2"))(lambda s, d: w.run_state(s, d, "lattice", _CAPS, 2).select("vid", "part"))
+_ANY = _ONE.but(candidate_rule="any")
+query("adapt_any_candidate")(lambda s, d: w.run_history(s, d, "lattice", _ANY, None))
+
+
+def _grouped(s: SparkSession, d: str) -> DataFrame:
+    edges, a = _placed(s, d, "cop", "hsh_mixed")
+    sent = engine.combine_messages(engine.local_and_remote(symmetric(edges), a.withColumn("value", F.lit(0).cast("long")), engine.degree_program()), engine.degree_program())
+    return sent.groupBy("src_part", "dst_part").agg(F.count(F.lit(1)).alias("grouped"), F.sum("n").alias("messages"))
+
+
+query("grouped_messages", o.placed("cop", "hsh_mixed", K, "select x.part src_part, y.part dst_part, count(distinct dst) as grouped, count(*) messages from sym join a x on x.vid = src join a y on y.vid = dst group by 1, 2"))(_grouped)
+query("locate_vertices", o.placed("custsupp", "hsh_mixed", K, "select o_custkey::bigint vid, part from (select distinct o_custkey from orders union all select 1000000000 + max(o_custkey) from orders) left join a on a.vid = o_custkey"))(
+    lambda s, d: (lambda ids: locate(_placed(s, d, "custsupp", "hsh_mixed")[1], ids.unionAll(ids.agg((F.max("vid") + 1_000_000_000).alias("vid")))))(table(s, d, "orders", "o_custkey").distinct().select(F.col("o_custkey").cast("long").alias("vid")))
+)
+
 # ---------------------------------------------------------------- measures
 
 query("cut_matrix", o.placed("cop", "hsh_mixed", K, "select least(src_part, dst_part) a, greatest(src_part, dst_part) b, count(*) edges from l group by all"))(lambda s, d: metrics.cut_matrix(*_placed(s, d, "cop", "hsh_mixed")))
@@ -229,10 +267,10 @@ query("coordination_rows", f"select iteration, (moved + {K})::bigint as rows fro
 
 def _wasted(s: SparkSession, d: str) -> DataFrame:
     run = migrate.Adaptation.start(*w.started(s, d, "lattice", _ONE.but(s=1.0)), _ONE.but(s=1.0))
-    trail, before = [], run.state.select("vid", F.col("part").alias("from_part"))
+    trail, before = [], cut(run.state.select("vid", F.col("part").alias("from_part")))
     for t in range(1, 4):
         run.step()
-        now = run.state.select("vid", F.col("part").alias("to_part"))
+        now = cut(run.state.select("vid", F.col("part").alias("to_part")))  # the run drops its own checkpoints
         trail.append(before.join(now, "vid").where("from_part <> to_part").withColumn("iteration", F.lit(t)))
         before = now.withColumnRenamed("to_part", "from_part")
     run.close()
@@ -318,6 +356,7 @@ _SLICE = f"(select least(src, dst) a, greatest(src, dst) b, min(date_diff('day',
 query("w1_drift_hsh", f"with t as materialized {_SLICE} select d::int slice, (select count(*) from t where t.d <= x.d and {o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, (select count(*) from t where t.d <= x.d) edges from (select range d from range((select max(d) + 1 from t))) x")(lambda s, d: w.drift(s, d, "hsh"))
 query("w1_drift_dtg")(lambda s, d: w.drift(s, d, "dtg"))
 query("w1_drift_adp")(lambda s, d: w.drift(s, d, "adp"))
+query("w1_drift_scratch")(lambda s, d: w.drift(s, d, "scratch"))
 query("w2_s_sweep_t3", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('lattice', MigrationConfig(s=s), 3)})" for s in (0.1, 0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "lattice", (0.1, 0.5, 1.0), 3, (0,)))
 query("w2_s_sweep_powerlaw_t2", " union all ".join(f"select {round(100 * s)}::int s_percent, 0::int seed, * from ({o.history('copurchase', MigrationConfig(s=s), 2)})" for s in (0.5, 1.0)))(lambda s, d: w.s_sweep(s, d, "copurchase", (0.5, 1.0), 2, (0,)))
 query("w2_s_sweep")(lambda s, d: w.s_sweep(s, d))
@@ -363,21 +402,68 @@ def _slice(s: SparkSession, d: str, steps: int | None = None) -> DataFrame:
 
 query("w11_slice_t3", o.final("lattice", _ONE, 3, f"select (vid % side)::int x, ((vid // side) % side)::int y, part from a3, (select {o.SIDE}::bigint side) where vid // (side * side) = side // 2"))(lambda s, d: _slice(s, d, 3))
 query("w11_slice")(_slice)
+
+
+def _slices(s: SparkSession, d: str, share: bool) -> DataFrame:
+    side = w.cube_side(table(s, d, "orders", "o_orderkey").count())
+    return w.slices(s, d, _ONE, side, side // 2, 3, share)
+
+
+def _slices_sql(share: bool) -> str:
+    plane = lambda t: f"(select (vid % side)::int x, ((vid // side) % side)::int y, part from a{t}, (select {o.SIDE}::bigint side) where vid // (side * side) = side // 2)"
+    one = lambda t: f"select {t}::int iteration, x, y, part from {plane(t)}"
+    if share:
+        one = lambda t: f"select {t}::int iteration, count(*) filter (p.part = q.part) / count(*) share from {plane(t)} p join {plane(t)} q on (q.x = p.x + 1 and q.y = p.y) or (q.x = p.x and q.y = p.y + 1)"
+    return o.final("lattice", _ONE, 3, " union all ".join(one(t) for t in range(4)))
+
+
+query("w11_slices_t3", _slices_sql(False))(lambda s, d: _slices(s, d, False))
+query("w11_same_part_t3", _slices_sql(True))(lambda s, d: _slices(s, d, True))
 query("w12_newcomers")(lambda s, d: w.newcomers(s, d))
-query("superstep_adaptive")(lambda s, d: w.superstep_log(s, d, True))
-query("superstep_static")(lambda s, d: w.superstep_log(s, d, False))
+
+
+def _log_sql(begun: str, cfg: MigrationConfig, steps: int, adaptive: bool, arcs: str = "sym", label: str = "") -> str:
+    """Counts of an engine's supersteps: places after each iteration, messages along ``arcs``. Deferred moves count by physical place."""
+    rows, homes = [], []
+    for t in range(1, steps + 1):
+        at = f"a{t}" if adaptive else "a0"
+        if adaptive and cfg.deferred:
+            homes.append(f"ho{t} as materialized (select a.vid, case when a.settle = {t + 1} then b.part else a.part end part from a{t} a join {f"ho{t - 1}" if t > 1 else "a0"} b on a.vid = b.vid)")
+            at = f"ho{t}"
+        moved = f"(select count(*) from m{t})" if adaptive else "0::bigint"
+        place = f"{arcs} join {at} x on x.vid = src join {at} y on y.vid = dst"
+        rows.append(f"select {label}{t}::int superstep, {moved} moved, (select count(*) from {arcs}) messages, (select count(*) from {place} where x.part <> y.part) remote, (select count(*) from (select distinct x.part, dst from {place})) as grouped, (select count(*) from (select distinct x.part, dst from {place} where x.part <> y.part)) remote_grouped")
+    more = f", {o.migrations(cfg, steps)}" if adaptive else ""
+    return f"with {begun}{more}{''.join(', ' + h for h in homes)} " + " union all ".join(rows)
+
+
+for _n, _on in (("adaptive", True), ("static", False)):
+    query(f"superstep_{_n}", _log_sql(_BEGUN, _LATE, 3, _on))(lambda s, d, a=_on: w.superstep_log(s, d, a))
+_MENTION_EDGES = f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst"
+_CASES = {
+    "w5_burst_arms": ("bursts", o.begin("cop", _ONE), "sym"),
+    "w6_mention_arms": ("mentions", f"{o.begin('', _ONE, edges=_MENTION_EDGES)}, arcs as materialized (select distinct src, dst from ({o.CALL}) where src <> dst)", "arcs"),
+    "w8_tissue_arms": ("tissue", _BEGUN, "sym"),
+}
+for _n, (_case, _begun, _arcs) in _CASES.items():
+    _both = " union all ".join(f"select * from ({_log_sql(_begun, _ONE, 3, on, _arcs, chr(39) + arm + chr(39) + ' as arm, ')})" for arm, on in (("adaptive", True), ("static", False)))
+    query(_n, _both)(lambda s, d, c=_case: w.arms(s, d, c))
+    query(f"{_n}_timed")(lambda s, d, c=_case: w.arms_summary(s, d, c))
+query("w6_recovery", o.influence(4).replace("round(i / 1000000000, 6) influence", "i as value"))(lambda s, d: w.recovered(s, d).select("vid", "value"))
+query("w7_clique_weeks_adaptive")(lambda s, d: w.clique_weeks(s, d, True))
+query("w7_clique_weeks_static")(lambda s, d: w.clique_weeks(s, d, False))
 
 # ---------------------------------------------------------------- streams
 
 
-def _stream(s: SparkSession, d: str, make: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def _stream(s: SparkSession, d: str, make: Callable[[DataFrame], DataFrame], mode: str = "append", keys: list[str] | None = None) -> DataFrame:
     folder, users, at = w.stream_folder(s, d)
-    return front.drain_to(make(front.event_stream(s, folder, users)), f"s_{uuid.uuid4().hex}", at)
+    return front.drain_to(make(front.event_stream(s, folder, users)), at, mode, keys)
 
 
-query("stream_throughput")(lambda s, d: _stream(s, d, front.throughput_stream))
-query("stream_calls_window")(lambda s, d: _stream(s, d, front.active_ties))
-query("stream_user_bursts")(lambda s, d: _stream(s, d, front.user_bursts))
+query("stream_throughput", f"select time_bucket(interval 10 minutes, ts) as start, count(*) as events from ({o.CALL}) group by 1")(lambda s, d: _stream(s, d, front.throughput_stream, "update", ["start"]))
+query("stream_calls_window", f"select (date_trunc('day', ts) - to_days(b::int))::timestamp as start, least(src, dst) src, greatest(src, dst) dst, count(*) calls from ({o.CALL}), (select unnest(range(7)) b) where src <> dst group by 1, 2, 3")(lambda s, d: _stream(s, d, front.active_ties, "update", ["start", "src", "dst"]))
+query("stream_user_bursts", f"with e as (select *, coalesce(ts - lag(ts) over (partition by src order by ts) > interval 30 minutes, true) fresh from ({o.CALL})), g as (select *, sum(fresh::int) over (partition by src order by ts rows unbounded preceding) n from e) select min(ts)::timestamp as start, src, count(*) as events from g group by src, n")(lambda s, d: _stream(s, d, front.user_bursts, "complete"))
 query("stream_dedup", f"select event_id, ts, src, dst from ({o.CALL})")(lambda s, d: _stream(s, d, front.deduplicated))
 query("stream_reciprocated", f"with c as (select * from ({o.CALL}) where src <> dst) select a.ts ts1, a.src s1, a.dst d1, b.ts ts2 from c a join c b on a.src = b.dst and a.dst = b.src and b.ts > a.ts and b.ts <= a.ts + interval 1 day")(lambda s, d: _stream(s, d, front.reciprocated))
 query("stream_expiry", f"with c as (select least(src, dst) a, greatest(src, dst) b, ts from ({o.CALL}) where src <> dst), g as (select *, lag(ts) over (partition by a, b order by ts) p from c) select 'add_edge' op, a src, b dst, ts from g where p is null or ts - p > interval 7 days union all select 'del_edge', a, b, p + interval 7 days from g where ts - p > interval 7 days union all select 'del_edge', a, b, m + interval 7 days from (select a, b, max(ts) m from c group by a, b) where m + interval 7 days < (select date_trunc('millisecond', max(ts)) - interval 1 day from c)")(lambda s, d: _stream(s, d, front.expiring_ties))

@@ -3,28 +3,29 @@
 from __future__ import annotations
 
 import uuid
-from itertools import product
+import warnings
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphdrift.config import MigrationConfig
-from graphdrift.functions.lineage import checkpoint_dir, cut
-from graphdrift.operators import metrics
+from graphdrift.functions.hashing import PLACE, mix32
+from graphdrift.functions.lineage import checkpoint_dir, cut, forget
+from graphdrift.operators import engine, metrics, replicas
 from graphdrift.operators.apps import max_cliques
 from graphdrift.operators.apps import diameter_sweep
-from graphdrift.operators.changes import apply_changes, reassign
+from graphdrift.operators.changes import ChangeQueue, apply_changes, reassign
 from graphdrift.operators.engine import min_label_program, run_program
 from graphdrift.operators.graph import vertices_of
-from graphdrift.operators.initial import assign_hash, assign_random, stream_chunked
-from graphdrift.operators.migrate import adapt, convergence_iteration, quiet_for
+from graphdrift.operators.initial import assign_hash, assign_random, stream_chunked, stream_exact
+from graphdrift.operators.migrate import Adaptation, adapt, convergence_iteration, quiet_for
 from graphdrift.operators.ranks import global_rank
 from graphdrift.sources import generators
-from graphdrift.sources.graphs import cube_side, graph_from, interactions, table
+from graphdrift.sources.graphs import canonical, cube_side, graph_from, interactions, mentions, table
 
 HISTORY = ["iteration", "proposed", "damped", "refused", "moved", "cut", "edges", "max_load", "min_load"]
 #: The bound on runs to quiescence is for safety alone; ``quiet`` of the result is false where it ended one.
-MAX_ITER = 1000
+MAX_ITER = 400
 
 
 def union(frames: list[DataFrame]) -> DataFrame:
@@ -42,7 +43,9 @@ def started(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, k
         return edges, assign_hash(v, cfg.k, kind == "hsh_mixed", cfg.seed)
     if kind == "rnd":
         return edges, assign_random(v, cfg.k, cfg.seed)
-    return edges, stream_chunked(edges, v, cfg.k, kind, chunk=max(1, v.count() // 8))
+    if replicas.fits(edges):
+        return edges, stream_exact(edges, v, cfg.k, kind)
+    return edges, stream_chunked(edges, v, cfg.k, kind, chunk=100_000)
 
 
 def run_history(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, steps: int | None, kind: str = "hsh_mixed") -> DataFrame:
@@ -50,7 +53,7 @@ def run_history(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfi
     edges, start = started(spark, sf_dir, name, cfg, kind)
     if steps is not None:
         return adapt(edges, start, cfg, steps)[1].select(*HISTORY)
-    return settled(adapt(edges, start, cfg.but(max_iter=MAX_ITER))[1], cfg).select(*HISTORY, "quiet")
+    return to_quiet(edges, start, cfg, None)[1].select(*HISTORY, "quiet")
 
 
 def settled(history: DataFrame, cfg: MigrationConfig) -> DataFrame:
@@ -60,8 +63,34 @@ def settled(history: DataFrame, cfg: MigrationConfig) -> DataFrame:
 
 
 def to_quiet(edges: DataFrame, start: DataFrame, cfg: MigrationConfig, steps: int | None) -> tuple[DataFrame, DataFrame]:
-    """adapt() with the workloads' bound."""
-    return adapt(edges, start, cfg.but(max_iter=MAX_ITER), steps)
+    """Final state and history (with quiet) of one run: as one task where the graph fits, else by the distributed loop."""
+    cfg = cfg.but(max_iter=MAX_ITER)
+    if replicas.fits(edges):
+        state, history = replicas.adapt_many(edges, start.select(F.lit(0).alias("run"), "vid", "part"), {0: cfg}, steps)
+        if steps is None and not history.agg(F.max("quiet")).first()[0]:
+            warnings.warn(f"not quiet after {MAX_ITER} iterations", stacklevel=2)
+        return state.drop("run"), history.drop("run")
+    state, history = adapt(edges, start, cfg, steps)
+    return state, settled(history, cfg)
+
+
+def many(edges: DataFrame, starts: list[tuple[str, DataFrame]] | None, cfgs: dict[str, MigrationConfig], steps: int | None) -> DataFrame:
+    """label and history of runs with different settings; ``starts`` by label (mixed hash unless told). Side by side where the graph fits in a task."""
+    v = cut(vertices_of(edges))
+    cfgs = {n: c.but(max_iter=MAX_ITER) for n, c in cfgs.items()}
+    if not replicas.fits(edges):
+        by = dict(starts or [])
+        return union([settled(adapt(edges, by.get(n, assign_hash(v, c.k, True, c.seed)), c, steps)[1], c).select(F.lit(n).alias("label"), *HISTORY, "quiet") for n, c in cfgs.items()])
+    runs = dict(enumerate(cfgs.values()))
+    if starts is None:
+        told = F.explode(F.array(*[F.struct(F.lit(i).alias("run"), F.lit(c.seed).alias("seed"), F.lit(c.k).alias("k")) for i, c in runs.items()])).alias("r")
+        placed = v.select("vid", told).select("r.run", "vid", F.pmod(mix32("vid", F.col("r.seed") * 7919 + PLACE * 15485863), F.col("r.k")).cast("int").alias("part"))
+    else:
+        number = {n: i for i, n in enumerate(cfgs)}
+        placed = union([a.select(F.lit(number[n]).alias("run"), "vid", "part") for n, a in starts])
+    history = replicas.adapt_many(edges, placed, runs, steps)[1]
+    names = F.array(*[F.lit(n) for n in cfgs])
+    return history.select(names[F.col("run")].alias("label"), *HISTORY, "remote", "quiet")
 
 
 def run_state(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig, steps: int | None, kind: str = "hsh_mixed") -> DataFrame:
@@ -70,28 +99,47 @@ def run_state(spark: SparkSession, sf_dir: str, name: str, cfg: MigrationConfig,
 
 
 def s_sweep(spark: SparkSession, sf_dir: str, name: str = "lattice", values=(0.1, 0.25, 0.5, 0.75, 0.9, 1.0), steps: int | None = None, seeds=tuple(range(10))) -> DataFrame:
-    """s, seed and the history of each run. (steps None: to quiescence.)"""
-    out = []
-    for s in values:
-        for seed in seeds:
-            h = run_history(spark, sf_dir, name, MigrationConfig(s=s, seed=seed), steps)
-            out.append(h.select(F.lit(round(100 * s)).alias("s_percent"), F.lit(seed).alias("seed"), *h.columns))
-    return union(out)
+    """s, seed and the history of each run. (steps None: to quiescence, or to MAX_ITER iterations, where quiet is false.)"""
+    if steps is not None:
+        out = []
+        for s in values:
+            for seed in seeds:
+                h = run_history(spark, sf_dir, name, MigrationConfig(s=s, seed=seed), steps)
+                out.append(h.select(F.lit(round(100 * s)).alias("s_percent"), F.lit(seed).alias("seed"), *h.columns))
+        return union(out)
+    edges = cut(graph_from(spark, sf_dir, name))
+    runs = many(edges, None, {f"{round(100 * s)}:{seed}": MigrationConfig(s=s, seed=seed) for s in values for seed in seeds}, None)
+    part = F.split("label", ":")
+    return runs.select(part[0].cast("int").alias("s_percent"), part[1].cast("int").alias("seed"), *HISTORY, "quiet")
 
 
 def initial_quality(spark: SparkSession, sf_dir: str, graphs: list[str], kinds: list[str], steps: int | None, cfg: MigrationConfig | None = None, seeds=tuple(range(10))) -> DataFrame:
     """graph, start, before, after, edges: cuts before and after adapting; to quiescence (steps None) also seed, moves, the last move's iteration and quiet."""
     cfg = cfg or MigrationConfig()
-    rows = []
-    for g, kind, seed in product(graphs, kinds, seeds):
-        c = cfg.but(seed=seed)
-        edges, start = started(spark, sf_dir, g, c, kind)
-        start = cut(start)
-        before = metrics.cut_edges(edges, start).first()
-        h = ending(to_quiet(edges, start, c, steps)[1], c)
-        rows.append((g, kind, before["cut"], h["cut"], before["edges"], seed, h["moves"], h["last_move"], h["quiet"]))
-    out = spark.createDataFrame(rows, "graph string, start string, before long, after long, edges long, seed int, moves long, last_move int, quiet boolean")
-    return out if steps is None else out.drop("seed", "moves", "last_move", "quiet")
+    out = []
+    for g in graphs:
+        edges, _ = started(spark, sf_dir, g, cfg)
+        starts, cfgs = [], {}
+        for kind in kinds:
+            same = None
+            for seed in seeds:
+                label = f"{kind}:{seed}"
+                cfgs[label] = cfg.but(seed=seed)
+                if kind in ("hsh", "hsh_mixed", "rnd"):
+                    v = vertices_of(edges)
+                    start = assign_random(v, cfg.k, seed) if kind == "rnd" else assign_hash(v, cfg.k, kind == "hsh_mixed", seed)
+                else:  # a stream in id order has no seed
+                    same = start = same if same is not None else cut(started(spark, sf_dir, g, cfg, kind)[1])
+                starts.append((label, start))
+        h = many(edges, starts, cfgs, steps)
+        if "remote" not in h.columns:
+            first = spark.createDataFrame([(n, 2 * metrics.cut_edges(edges, a).first()["cut"]) for n, a in starts], "label string, remote long")
+            h = h.join(F.broadcast(first), "label")
+        part, last = F.split("label", ":"), F.coalesce(F.max(F.when(F.col("moved") > 0, F.col("iteration"))), F.lit(0))
+        ends = h.groupBy("label").agg((F.min_by("remote", "iteration") / 2).cast("long").alias("before"), F.max_by("cut", "iteration").alias("after"), F.max("edges").alias("edges"), F.sum("moved").alias("moves"), last.alias("last_move"), F.first("quiet").alias("quiet"))
+        out.append(ends.select(F.lit(g).alias("graph"), part[0].alias("start"), "before", "after", "edges", part[1].cast("int").alias("seed"), "moves", "last_move", "quiet"))
+    found = union(out)
+    return found if steps is None else found.drop("seed", "moves", "last_move", "quiet")
 
 
 def sweep_spread(runs: DataFrame) -> DataFrame:
@@ -109,8 +157,11 @@ def ending(history: DataFrame, cfg: MigrationConfig) -> dict:
 
 
 def ablation(spark: SparkSession, sf_dir: str, name: str, variants: dict[str, MigrationConfig], steps: int | None = None) -> DataFrame:
-    """variant and its history."""
-    return union([run_history(spark, sf_dir, name, cfg, steps).select(F.lit(v).alias("variant"), "*") for v, cfg in variants.items()])
+    """variant and its history; to quiescence (steps None) also quiet."""
+    if steps is not None:
+        return union([run_history(spark, sf_dir, name, cfg, steps).select(F.lit(v).alias("variant"), "*") for v, cfg in variants.items()])
+    edges = cut(graph_from(spark, sf_dir, name))
+    return many(edges, None, variants, None).select(F.col("label").alias("variant"), *HISTORY, "quiet")
 
 
 ABLATIONS = {
@@ -135,7 +186,7 @@ def call_slices(spark: SparkSession, sf_dir: str, days: int = 10) -> list[tuple[
 
 
 def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: int | None = None, days: int = 10) -> DataFrame:
-    """slice, cut, edges: how a placement ages. hsh: hash; dtg: newcomers greedily on arrival; adp: hash and migration."""
+    """slice, cut, edges: how a placement ages. hsh: hash; dtg: newcomers greedily on arrival; adp: hash and migration; scratch: all is placed anew each time."""
     cfg, placed, rows = MigrationConfig(k=k), None, []
     for d, edges in call_slices(spark, sf_dir, days):
         v = vertices_of(edges)
@@ -144,6 +195,8 @@ def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: in
         else:
             placed = reassign(placed, v, k, "dgr" if strategy == "dtg" else "hash", 0, edges)
         placed = cut(placed)
+        if strategy == "scratch":
+            placed = to_quiet(edges, cut(assign_hash(v, k)), cfg, steps)[0].select("vid", "part")
         if strategy == "adp":
             placed = to_quiet(edges, placed, cfg, steps)[0].select("vid", "part")
         m = metrics.cut_edges(edges, placed).first()
@@ -152,9 +205,10 @@ def drift(spark: SparkSession, sf_dir: str, strategy: str, k: int = 9, steps: in
 
 
 def bursts(spark: SparkSession, sf_dir: str, name: str = "cop", shares=(0.01, 0.02, 0.05, 0.10), phase: int = 50, adaptive: bool = True, k: int = 9) -> DataFrame:
-    """phase, iteration, moved, cut, edges, step_ms, diameter: a forest-fire burst after each phase.
+    """phase, iteration, moved, cut, edges, step_ms, messages, remote, grouped, diameter: a forest-fire burst after each phase.
 
-    The diameter (a lower bound by two sweeps) changes with the graph, so once a phase.
+    The messages are those of the continuously running analysis (every vertex tells every
+    neighbour). The diameter (a lower bound by two sweeps) changes with the graph, so once a phase.
     """
     cfg = MigrationConfig(k=k, adaptive=adaptive)
     edges = cut(graph_from(spark, sf_dir, name))
@@ -165,12 +219,101 @@ def bursts(spark: SparkSession, sf_dir: str, name: str = "cop", shares=(0.01, 0.
             burst = generators.forest_fire(edges, max(1, int(n * share)), seed=p)
             edges = cut(edges.unionAll(burst).distinct())
             state = cut(reassign(state, vertices_of(edges), k))
-        state, h = adapt(edges, state, cfg, phase)
+        state, h = to_quiet(edges, state, cfg, phase)
         state = state.select("vid", "part")
-        out.append(h.select(F.lit(p).alias("phase"), "iteration", "moved", "cut", "edges", "step_ms", F.lit(diameter_sweep(edges).first()["lower_bound"]).alias("diameter")))
+        costs = [c for c in ("step_ms", "messages", "remote", "grouped") if c in h.columns]
+        out.append(h.select(F.lit(p).alias("phase"), "iteration", "moved", "cut", "edges", *costs, F.lit(diameter_sweep(edges).first()["lower_bound"]).alias("diameter")))
     return union(out)
 
 
+def use_case(spark: SparkSession, sf_dir: str, case: str, adaptive: bool, supersteps: int = 6, k: int = 9, times: bool = False) -> DataFrame:
+    """One of the paper's use cases while it runs, adapting or static: a row a superstep with moves and messages, and with ``times`` its phases.
+
+    mentions: influence along the mention arcs. bursts: neighbourhood sketches (the
+    diameter's estimate) on customers, orders and parts. tissue: excitable cells on the lattice.
+    """
+    arcs = None
+    if case == "mentions":
+        arcs = cut(mentions(spark, sf_dir).select("src", "dst"))
+        edges, program = cut(canonical(arcs)), engine.influence_program()
+    elif case == "bursts":
+        edges, program = cut(graph_from(spark, sf_dir, "cop")), engine.reach_program()
+    else:
+        edges, program = cut(graph_from(spark, sf_dir, "lattice")), engine.tissue_program()
+    cfg = MigrationConfig(k=k, adaptive=adaptive)
+    log = run_program(edges, assign_hash(vertices_of(edges), k), program, cfg, supersteps, arcs=arcs)[1]
+    return log_frame(spark, "adaptive" if adaptive else "static", log, times)
+
+
+COUNTS = ["moved", "messages", "remote", "grouped", "remote_grouped"]
+TIMES = ["decide_ms", "migrate_ms", "message_ms", "compute_ms"]
+
+
+def log_frame(spark: SparkSession, arm: str, log: list[dict], times: bool = False) -> DataFrame:
+    """arm, superstep and the counts (and times) of an engine's log."""
+    columns = [*COUNTS, *(TIMES if times else [])]
+    return spark.createDataFrame([(arm, r["superstep"], *[int(r[c]) for c in columns]) for r in log], "arm string, superstep int, " + ", ".join(f"{c} long" for c in columns))
+
+
+def arms(spark: SparkSession, sf_dir: str, case: str, supersteps: int = 3, times: bool = False) -> DataFrame:
+    """Both arms of a use case."""
+    return union([use_case(spark, sf_dir, case, a, supersteps, times=times) for a in (True, False)])
+
+
+def arms_summary(spark: SparkSession, sf_dir: str, case: str, supersteps: int = 12) -> DataFrame:
+    """arm, total_ms, messaging share, mean and deviation of a superstep's time, remote messages; speedup and break-even of adapting."""
+    log = cut(arms(spark, sf_dir, case, supersteps, times=True))
+    total = F.expr(" + ".join(TIMES))
+    each = log.select("arm", F.col("superstep").alias("iteration"), "remote", "remote_grouped", "message_ms", total.alias("step_ms"))
+    out = each.groupBy("arm").agg(F.sum("step_ms").alias("total_ms"), (F.sum("message_ms") / F.sum("step_ms")).alias("messaging_share"), F.avg("step_ms").alias("mean_ms"), F.stddev_samp("step_ms").alias("std_ms"), F.sum("remote").alias("remote"), F.max_by("remote_grouped", "iteration").alias("last_remote_grouped"))
+    a, b = each.where("arm = 'adaptive'"), each.where("arm = 'static'")
+    return out.join(metrics.speedup(a, b)).join(metrics.break_even(a, b).withColumnRenamed("iteration", "break_even"))
+
+
+def recovered(spark: SparkSession, sf_dir: str, supersteps: int = 4, lost_after: int = 2, k: int = 9) -> DataFrame:
+    """vid, value, part of influence on the mentions, by a run that ends after ``lost_after`` supersteps and another that goes on from its snapshot."""
+    arcs = cut(mentions(spark, sf_dir).select("src", "dst"))
+    edges = cut(canonical(arcs))
+    cfg, folder = MigrationConfig(k=k), f"{checkpoint_dir(spark)}/snapshots-{uuid.uuid4().hex}"
+    start = assign_hash(vertices_of(edges), k)
+    run_program(edges, start, engine.influence_program(), cfg, lost_after, arcs=arcs, snapshots=folder)
+    values, _ = run_program(edges, start, engine.influence_program(), cfg, supersteps, arcs=arcs, snapshots=folder)
+    return values
+
+
+def clique_weeks(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9) -> DataFrame:
+    """week, superstep, moved, cut, edges, cliques, largest: the call graph under one-week expiry, cliques every two supersteps.
+
+    A week's new and expired ties wait in the change queue while the topology is frozen for
+    the two supersteps of the clique search; the placement adapts in each of them.
+    """
+    ties = cut(window_edges(spark, sf_dir))
+    weeks = [r[0] for r in ties.select("week_end").distinct().orderBy("week_end").collect()]
+    cfg, queue, rows = MigrationConfig(k=k, adaptive=adaptive), ChangeQueue(spark, every_n=2), []
+    edges, state, vertices, t = spark.createDataFrame([], "src long, dst long"), None, None, 0
+    for n, week in enumerate(weeks):
+        now = ties.where(F.col("week_end") == week).select("src", "dst")
+        added = now.join(edges, ["src", "dst"], "left_anti").select(F.lit("add_edge").alias("op"), "src", "dst")
+        gone = edges.join(now, ["src", "dst"], "left_anti").select(F.lit("del_edge").alias("op"), "src", "dst")
+        changes = added.unionAll(gone)
+        if vertices is not None:  # a subscriber without a tie leaves
+            idle = vertices.join(vertices_of(now), "vid", "left_anti").select(F.lit("del_vertex").alias("op"), F.col("vid").alias("src"), F.lit(None).cast("long").alias("dst"))
+            changes = changes.unionAll(idle)
+        queue.push(cut(changes.select(F.lit(n).cast("long").alias("seq"), "op", "src", "dst", F.lit(0).alias("priority"), F.lit(week).alias("ts"))))
+        new_edges, new_vertices, _ = queue.drain(t, edges, vertices if vertices is not None else spark.createDataFrame([], "vid long"))
+        edges, vertices = cut(new_edges), cut(new_vertices)
+        state = cut(assign_hash(vertices, k) if state is None else reassign(state, vertices, k))
+        run = Adaptation.start(edges, state, cfg, t)
+        for _ in range(2):
+            t += 1
+            moved = run.step()["moved"] if adaptive else 0
+            found = max_cliques(edges, True).agg(F.count_if(F.col("size") > 2).alias("n"), F.max("size").alias("top")).first() if t % 2 == 0 else (0, None)
+            rows.append((n, t, moved, run.measure(), edges.count(), found[0], found[1]))
+        state = cut(run.state.select("vid", "part"))
+        run.close()
+    return spark.createDataFrame(rows, "week int, superstep int, moved long, cut long, edges long, cliques long, largest int")
+
+
 def window_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     """week_end, src, dst, last_seen: ties whose last call is at most a week old at each week's end."""
     calls = interactions(spark, sf_dir).where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "ts", (F.date_trunc("week", "ts") + F.expr("interval 7 days")).alias("week_end"))
@@ -237,7 +380,23 @@ def expanded_heart(spark: SparkSession, sf_dir: str, adaptive: bool, k: int = 9,
     grown = generators.attach_border(edges, cells.where("inert").select("vid"), max(1, state.count() // 10))
     edges = cut(edges.unionAll(grown).distinct())
     state = cut(reassign(state, vertices_of(edges), k))
-    return settled(to_quiet(edges, state, cfg, steps)[1], cfg).select("iteration", "cut", "edges", "moved", "quiet")
+    return to_quiet(edges, state, cfg, steps)[1].select("iteration", "cut", "edges", "moved", "quiet")
+
+
+def slices(spark: SparkSession, sf_dir: str, cfg: MigrationConfig, side: int, z: int, steps: int, share: bool) -> DataFrame:
+    """iteration, x, y, part of one plane of the cube as it adapts; or iteration and the share of neighbours in the plane that are together."""
+    run, out = Adaptation.start(*started(spark, sf_dir, "lattice", cfg), cfg), []
+    for t in range(steps + 1):
+        plane = cut(metrics.same_part_slice(run.state, side, z))
+        if share:
+            right, below = (plane.select((F.col("x") - dx).alias("x"), (F.col("y") - dy).alias("y"), F.col("part").alias("other")) for dx, dy in ((1, 0), (0, 1)))
+            both = plane.join(right, ["x", "y"]).unionAll(plane.join(below, ["x", "y"]))
+            plane = both.agg((F.count_if(F.col("part") == F.col("other")) / F.count(F.lit(1))).alias("share"))
+        out.append(plane.select(F.lit(t).alias("iteration"), "*"))
+        if t < steps:
+            run.step()
+    run.close()
+    return union(out)
 
 
 def newcomers(spark: SparkSession, sf_dir: str, strategies=("hash", "random", "dgr"), steps: int | None = None, k: int = 9) -> DataFrame:
@@ -257,11 +416,11 @@ def newcomers(spark: SparkSession, sf_dir: str, strategies=("hash", "random", "d
 
 
 def superstep_log(spark: SparkSession, sf_dir: str, adaptive: bool, supersteps: int = 3) -> DataFrame:
-    """superstep, moved, grouped, remote_grouped of a least-id program on the lattice."""
+    """superstep and counts of a least-id program on the lattice."""
     edges = cut(graph_from(spark, sf_dir, "lattice"))
     cfg = MigrationConfig(adaptive=adaptive, deferred=True)
     log = run_program(edges, assign_hash(vertices_of(edges), cfg.k), min_label_program(), cfg, supersteps)[1]
-    return spark.createDataFrame([(r["superstep"], r["moved"], r["grouped"], r["remote_grouped"]) for r in log], "superstep int, moved long, grouped long, remote_grouped long")
+    return log_frame(spark, "", log).drop("arm")
 
 
 def stream_folder(spark: SparkSession, sf_dir: str) -> tuple[str, int, str]:

@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.state import GroupStateTimeout
 
@@ -123,11 +124,30 @@ class TieExpiry(StatefulProcessor):
         pass
 
 
-def drain_to(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Run a finite stream to its end into a memory table and give that table."""
-    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def drain_to(stream: DataFrame, folder: str, mode: str = "append", keys: list[str] | None = None) -> DataFrame:
+    """Run a finite stream to its end into Parquet files in a shared ``folder`` and give what they hold.
+
+    append: rows as the watermark closes them; groups that it hasn't passed at the end stay
+    open. update: with ``keys``, the last row of each key, so that open groups count too.
+    complete: the result table of the last batch.
+    """
+    out = f"{folder}/out"
+    if mode == "append":
+        writer = stream.writeStream.outputMode(mode).format("parquet").option("path", out)
+    else:
+        # a batch that runs again writes the same folder again
+        writer = stream.writeStream.outputMode(mode).foreachBatch(lambda df, n: df.write.mode("overwrite").parquet(f"{out}/batch={n}"))
+    query = writer.option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    spark = stream.sparkSession
+    found = spark.read.schema(stream.schema).parquet(out) if mode == "append" else spark.read.schema(T.StructType([*stream.schema.fields, T.StructField("batch", T.LongType())])).parquet(out)
+    if mode == "append":
+        return found
+    if mode == "complete":
+        last = found.agg(F.max("batch").alias("batch"))
+        return found.join(F.broadcast(last), "batch", "left_semi").drop("batch")
+    rest = [c for c in stream.columns if c not in keys]
+    return found.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("r")).select(*keys, "r.*")
 
 
 def for_each_batch(stream: DataFrame, checkpoint: str, work: Callable[[DataFrame, int], None]) -> None:

@@ -12,30 +12,29 @@ PAIRS = [(i, i + 1) for i in range(40)]
 
 @pytest.fixture
 def runs(spark, monkeypatch):
-    """Adaptations asked for, as (graph, start, config, steps); none is run."""
+    """Sweeps asked for, as (graph, labels of starts, configs, steps); none is run."""
     asked, at = [], {}
 
-    def started(s, d, name, cfg, kind="hsh_mixed"):
-        at.update(graph=name, start=kind)
-        return None, None
+    def graph(s, d, name):
+        at["graph"] = name
+        return s.createDataFrame(PAIRS, "src long, dst long").coalesce(1)
 
-    def adapt(edges, start, cfg, steps=None):
-        asked.append((*at.values(), cfg, steps))
-        return start, spark.createDataFrame([(1, 0, 0, 0, 2, 10 + cfg.seed, 20, 1, 1, 5), (2, 0, 0, 0, 0, 5 + cfg.seed, 20, 1, 1, 5)], HISTORY)
+    def many(edges, starts, cfgs, steps):
+        asked.append((at["graph"], [n for n, _ in starts or ()], cfgs, steps))
+        rows = [(n, i, 0, 0, 0, 2 if i == 1 else 0, 10 + c.seed - i, 20, 1, 1, 18, True) for n, c in cfgs.items() for i in (1, 2)]
+        return spark.createDataFrame(rows, "label string, " + HISTORY.replace("step_ms", "remote") + ", quiet boolean")
 
-    monkeypatch.setattr(workloads, "started", started)
-    monkeypatch.setattr(workloads, "adapt", adapt)
-    monkeypatch.setattr(workloads, "cut", lambda frame: frame)
+    monkeypatch.setattr(workloads, "graph_from", graph)
+    monkeypatch.setattr(workloads, "many", many)
     return asked
 
 
 @pytest.mark.parametrize("name,graph", [("w2_s_sweep", "lattice"), ("w2_s_sweep_powerlaw", "copurchase")])
-def test_w2(spark, monkeypatch, name, graph):
-    asked, row = [], spark.createDataFrame([(1, 0, 0, 0, 0, 0, 0, 0, 0, 0)], HISTORY)
-    monkeypatch.setattr(workloads, "union", lambda frames: frames)
-    monkeypatch.setattr(workloads, "run_history", lambda s, d, g, cfg, steps: asked.append((g, cfg.s, cfg.seed, steps)) or row.drop("step_ms"))
-    registry.queries()[name](spark, "")
-    assert sorted(asked) == sorted((graph, s, seed, None) for s, seed in product((0.1, 0.25, 0.5, 0.75, 0.9, 1.0), range(10)))
+def test_w2(spark, runs, name, graph):
+    got = registry.queries()[name](spark, "")
+    ((on, _, cfgs, steps),) = runs
+    assert sorted((on, c.s, c.seed, steps) for c in cfgs.values()) == sorted((graph, s, seed, None) for s, seed in product((0.1, 0.25, 0.5, 0.75, 0.9, 1.0), range(10)))
+    assert {(r.s_percent, r.seed) for r in got.collect()} == set(product((10, 25, 50, 75, 90, 100), range(10)))
 
 
 def test_spread_over_seeds(spark):
@@ -45,14 +44,12 @@ def test_spread_over_seeds(spark):
 
 
 @pytest.mark.parametrize("name,kinds", [("w3_initial_quality", {"hsh_mixed", "rnd"}), ("w3_initial_quality_stream", {"dgr", "mnn", "mnn_literal"})])
-def test_w3(spark, runs, monkeypatch, name, kinds):
-    one = type("One", (), {"first": lambda self: {"cut": 9, "edges": 20}})()
-    monkeypatch.setattr(workloads.metrics, "cut_edges", lambda edges, start: one)
-    monkeypatch.setattr(workloads, "ending", lambda history, cfg: {"cut": 5, "moves": 2, "last_move": 1, "quiet": True})
-    registry.queries()[name](spark, "")
+def test_w3(spark, runs, name, kinds):
+    got = registry.queries()[name](spark, "").collect()
     graphs = {"lattice", "knn", "copurchase", "custsupp", "cop", "pagelinks", "succession"}
-    assert {(g, k, c.seed) for g, k, c, _ in runs} == set(product(graphs, kinds, range(10)))
-    assert all(steps is None for *_, steps in runs)
+    assert {(g, *n.split(":"), c.seed) for g, names, cfgs, _ in runs for n, c in cfgs.items()} == {(g, k, str(i), i) for g, k, i in product(graphs, kinds, range(10))}
+    assert all(set(names) == set(cfgs) and steps is None for _, names, cfgs, steps in runs)
+    assert all((r.before, r.after, r.moves, r.last_move, r.quiet) == (9, 8 + r.seed, 2, 1, True) for r in got)
 
 
 def test_w5(spark, monkeypatch):
@@ -67,7 +64,7 @@ def test_w5(spark, monkeypatch):
         return s.createDataFrame(PAIRS, "src long, dst long").coalesce(1)
 
     monkeypatch.setattr(workloads, "graph_from", graph)
-    monkeypatch.setattr(workloads, "adapt", adapt)
+    monkeypatch.setattr(workloads, "to_quiet", adapt)
     burnt = []
     monkeypatch.setattr(workloads.generators, "forest_fire", lambda e, n, **more: burnt.append((n, more)) or spark.createDataFrame([(0, 100 + len(burnt))], "src long, dst long"))
     monkeypatch.setattr(workloads, "diameter_sweep", lambda e: spark.createDataFrame([(e.count(),)], "lower_bound int"))

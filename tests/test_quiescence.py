@@ -6,6 +6,7 @@ import pytest
 
 from graphdrift.config import MigrationConfig
 from graphdrift.functions.hashing import ADMIT, COIN, FACTOR, MASK, PLACE, TIE
+from graphdrift.operators import replicas
 from graphdrift.plans import registry, workloads
 
 
@@ -79,10 +80,18 @@ def test_a_run_that_meets_its_bound_says_so(small, monkeypatch):
 def test_no_step_count(spark, monkeypatch, name, runs):
     asked = []
 
-    def seen(s, d, graph, cfg, steps, kind="hsh_mixed"):
-        asked.append(steps)
-        return s.createDataFrame([(1, 0, 0, 0, 0, 0, 0, 0, 0, True)], "iteration int, proposed long, damped long, refused long, moved long, cut long, edges long, max_load long, min_load long, quiet boolean")
+    def seen(edges, starts, cfgs, iterations=None):
+        asked.append((iterations, len(cfgs)))
+        cells = ", ".join(f"{c} {'int' if c == 'iteration' else 'long'}" for c in replicas.COLUMNS)
+        return starts, spark.createDataFrame([(0, 1, *[0] * (len(replicas.COLUMNS) - 1), True)], f"run int, {cells}, quiet boolean")
 
-    monkeypatch.setattr(workloads, "run_history", seen)
-    registry.queries()[name](spark, "")
-    assert asked == [None] * runs
+    monkeypatch.setattr(workloads, "graph_from", lambda s, d, name: s.createDataFrame(PAIRS, "src long, dst long"))
+    monkeypatch.setattr(workloads.replicas, "adapt_many", seen)
+    registry.queries()[name](spark, "").collect()
+    assert asked == [(None, runs)]
+
+
+def test_beyond_one_task_the_loop_is_distributed(small, monkeypatch):
+    monkeypatch.setattr(workloads.replicas, "ONE_TASK_EDGES", 0)
+    rows = registry.queries()["w4_convergence"](small, "").orderBy("iteration").collect()
+    assert [(r.moved, r["cut"]) for r in rows] == brute(PAIRS, CFG) and all(r.quiet for r in rows)
