@@ -9,14 +9,19 @@ P's tail, with a margin for the sample's size, bounds the share of positives.
 The logit is then fitted to the labelled training rows by two numbers (slope and
 intercept), so that scores read as chances.
 
+The unlabelled side is the whole corpus: its features are written down once, and the
+moments, the ranker's gradients, the tails for the prior and the risk with its
+gradient are sums over all of its rows, one pass each. A sample of ``start_rows``
+gives the point from which those passes start. Labelled rows may be bounded, by
+``most_positive`` and ``most_negative`` (the latter serve the calibration alone).
+
 A score depends on the text only: the shares of byte values and a few figures on
-words, lines and repetition. Samples are bounded by ``most_positive``,
-``most_unlabelled`` and ``most_negative`` (documented bounds on the fit; every row
-is scored).
+words, lines and repetition. Every row is scored.
 
 Defined results: null text is empty and gets a score like any other; rows with a
 null id count as held out; labels that are null or for unknown ids are ignored;
-without positives every score is 0.5; repeated rows get equal scores; an empty
+without positives every score is 0.5; where every document has a label, the texts of
+all training rows are the unlabelled side; repeated rows get equal scores; an empty
 table gives an empty result; other columns pass through, one with an added
 column's name as ``input_<name>``.
 """
@@ -24,7 +29,7 @@ column's name as ``input_<name>``.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -130,7 +135,12 @@ def estimated_prior(p_scores: np.ndarray, u_scores: np.ndarray, delta: float = 0
     cuts = np.quantile(p_scores, np.linspace(0, 0.98, 99))
     p_tail = 1 - np.searchsorted(np.sort(p_scores), cuts, side="left") / len(p_scores)
     u_tail = 1 - np.searchsorted(np.sort(u_scores), cuts, side="left") / len(u_scores)
-    margin = np.sqrt(np.log(4 / delta) / (2 * len(u_scores))) + np.sqrt(np.log(4 / delta) / (2 * len(p_scores)))
+    return prior_of_tails(p_tail, u_tail, len(p_scores), len(u_scores), delta)
+
+
+def prior_of_tails(p_tail: np.ndarray, u_tail: np.ndarray, n_p: int, n_u: int, delta: float = 0.1) -> float:
+    """The least ratio of tails, each with a margin for the numbers of rows behind it."""
+    margin = np.sqrt(np.log(4 / delta) / (2 * n_u)) + np.sqrt(np.log(4 / delta) / (2 * n_p))
     best = np.argmin((u_tail + margin) / np.maximum(p_tail, 1e-9))
     return float(np.clip(u_tail[best] / max(p_tail[best], 1e-9), 0.02, 0.98))
 
@@ -187,6 +197,12 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, negative: np.ndarray, shar
     rank = lambda x: x @ ranker[:-1] + ranker[-1]
     prior = estimated_prior(rank(p[~half_p]), rank(u[~half_u])) if len(p) > 1 and len(u) > 1 else 0.5
     model = Model(mean, scale, fit_nonnegative(p, u, prior, ranker, steps, rate, decay), prior)
+    calibrate(model, positive, negative, share)
+    return model
+
+
+def calibrate(model: Model, positive: np.ndarray, negative: np.ndarray, share: float | None) -> None:
+    """Fit slope and intercept of the logit to the labelled rows."""
     if len(negative) >= 10:
         z = np.concatenate([model.logits(positive), model.logits(negative)])
         y = np.arange(len(z)) < len(positive)
@@ -198,38 +214,160 @@ def fit(positive: np.ndarray, unlabelled: np.ndarray, negative: np.ndarray, shar
         for _ in range(600):
             a -= adam.step(q @ (weight * (_sigmoid(a @ q) - y)) + 1e-4 * np.array([a[0], 0]))
         model.slope, model.intercept = float(max(a[0], 1e-3) / spread), float(a[1] - max(a[0], 1e-3) * centre / spread)
-    return model
 
 
-def _sampled(docs: DataFrame, ids: DataFrame, salt: str, most: int) -> tuple[np.ndarray, list[int]]:
-    """Features of at most ``most`` documents of the given ids (by hash order), and their ids."""
-    some = [r[0] for r in ids.where("doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64(F.lit(salt), "doc_id"), "doc_id").limit(most).collect()]
-    if not some:
-        return np.zeros((0, WIDTH), np.float32), []
-    spark = docs.sparkSession
-    chosen = spark.createDataFrame(pa.table({"doc_id": pa.array(some, pa.int64())}).to_pandas())
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.text_of().alias("text")).join(F.broadcast(chosen), "doc_id", "left_semi")
+def _featured(rows: DataFrame) -> DataFrame:
+    """key and x (features as float16 bytes) of rows (key, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = features(common.byte_list(batch.column(1)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in x], pa.binary())], names=["doc_id", "x"])
+            x = features(common.byte_list(batch.column(1))).astype(np.float16)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in x], pa.binary())], names=["key", "x"])
+
+    return rows.select("key", "text").mapInArrow(run, "key long, x binary")
+
+
+def _matrix(cells: list[bytes]) -> np.ndarray:
+    return np.frombuffer(b"".join(cells), np.float16).reshape(-1, WIDTH).astype(np.float64)
 
-    got = sorted(((r["doc_id"], bytes(r["x"])) for r in rows.mapInArrow(run, "doc_id long, x binary").collect()))
-    return np.frombuffer(b"".join(x for _, x in got), np.float32).reshape(-1, WIDTH).astype(np.float64), [i for i, _ in got]
+
+def _sampled(docs: DataFrame, ids: DataFrame, salt: str, most: int) -> np.ndarray:
+    """Features of at most ``most`` documents of the given ids (by hash order)."""
+    some = [r[0] for r in ids.where("doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64(F.lit(salt), "doc_id"), "doc_id").limit(most).collect()]
+    if not some:
+        return np.zeros((0, WIDTH))
+    chosen = docs.sparkSession.createDataFrame(pa.table({"key": pa.array(some, pa.int64())}).to_pandas())
+    rows = docs.select(F.col("doc_id").cast("long").alias("key"), common.text_of().alias("text")).join(F.broadcast(chosen), "key", "left_semi")
+    return _matrix([x for _, x in sorted((r["key"], bytes(r["x"])) for r in _featured(rows).collect())])
+
+
+class Corpus:
+    """The unlabelled rows' features, and sums over all of them."""
+
+    def __init__(self, rows: DataFrame):
+        self.frame, self.path = common.stored(_featured(rows))
+
+    def total(self, fn: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
+        """The sum over all rows of ``fn(features, half)``; a task sends one vector, and those are summed before the driver sees any."""
+
+        def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            acc = None
+            for batch in batches:
+                if batch.num_rows:
+                    got = fn(_matrix(batch.column(1).to_pylist()), batch.column(0).to_numpy() & 1)
+                    acc = got if acc is None else acc + got
+            if acc is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([acc.tobytes()], pa.binary())], names=["v"])
+
+        def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            acc = None
+            for batch in batches:
+                for v in batch.column(0).to_pylist():
+                    acc = np.frombuffer(v) if acc is None else acc + np.frombuffer(v)
+            if acc is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([acc.tobytes()], pa.binary())], names=["v"])
+
+        rows = self.frame.select("key", "x").mapInArrow(partial, "v binary").repartition(8).mapInArrow(summed, "v binary").collect()
+        return sum(np.frombuffer(bytes(r["v"])) for r in rows)
+
+    def some(self, most: int, rows: int) -> np.ndarray:
+        """A sample of about ``most`` rows' features (by hash)."""
+        part = self.frame if rows <= most else self.frame.where(F.pmod(F.xxhash64("key", "x"), F.lit(1 << 30)) < int((1 << 30) * most / rows))
+        return _matrix(sorted(bytes(r["x"]) for r in part.select("x").collect()))
+
+
+def descend(value: Callable[[np.ndarray], tuple[float, np.ndarray, bool]], w: np.ndarray, passes: int, memory: int = 8) -> np.ndarray:
+    """Quasi-Newton steps from ``w``, each ``value(w)`` (loss, gradient, allowed) being a pass over the corpus.
+
+    A step that is not allowed or gains nothing is halved.
+    """
+    loss, g, _ = value(w)
+    pairs: list[tuple[np.ndarray, np.ndarray]] = []
+    size = 1.0
+    for _ in range(passes - 1):
+        d, alphas = g.copy(), []
+        for s, y in reversed(pairs):
+            alphas.append(s @ d / (s @ y))
+            d -= alphas[-1] * y
+        if pairs:
+            d *= pairs[-1][0] @ pairs[-1][1] / (pairs[-1][1] @ pairs[-1][1])
+        else:
+            d *= 0.1 / max(1e-12, np.abs(g).max())
+        for (s, y), alpha in zip(pairs, reversed(alphas)):
+            d += (alpha - y @ d / (s @ y)) * s
+        new = w - size * d
+        new_loss, new_g, allowed = value(new)
+        if not allowed or new_loss > loss:
+            size /= 2
+            continue
+        if (new - w) @ (new_g - g) > 1e-12:
+            pairs = [*pairs, (new - w, new_g - g)][-memory:]
+        w, loss, g, size = new, new_loss, new_g, 1.0
+    return w
+
+
+def fit_corpus(positive: np.ndarray, corpus: Corpus, negative: np.ndarray, share: float | None = None, start_rows: int = 12_000, passes: int = 20, decay: float = 1e-3) -> Model | None:
+    """The whole fit, with the unlabelled side's sums over all rows."""
+    told = corpus.total(lambda x, half: np.concatenate([[len(x), half.sum()], x.sum(axis=0), (x * x).sum(axis=0)]))
+    if not len(positive) or np.isscalar(told) or not told[0]:
+        return None
+    n, odd = int(told[0]), int(told[1])
+    first = fit(positive, corpus.some(start_rows, n), negative, share)
+    both = len(positive) + n
+    mean = (positive.sum(axis=0) + told[2 : 2 + WIDTH]) / both
+    scale = np.sqrt(np.maximum(0, ((positive**2).sum(axis=0) + told[2 + WIDTH :]) / both - mean**2)) + 0.02
+    # the sample's weights, in the corpus's scale
+    start = np.append(first.weights[:-1] * scale / first.scale, first.weights[-1] + ((mean - first.mean) / first.scale) @ first.weights[:-1])
+    widen = lambda x: np.hstack([(x - mean) / scale, np.ones((len(x), 1))])
+    p = widen(positive)
+    half = np.arange(len(p)) % 2 == 0
+    flat = lambda w: np.append(w[:-1], 0)
+
+    def against(w: np.ndarray) -> tuple[float, np.ndarray, bool]:
+        """Balanced logistic loss of half of P against half of U."""
+        sums = corpus.total(lambda x, odd: (lambda z, x: np.concatenate([[np.logaddexp(0, z).sum()], x.T @ _sigmoid(z)]))((xs := widen(x[odd == 0])) @ w, xs))
+        z, m = p[half] @ w, max(1, n - odd)
+        loss = (np.logaddexp(0, -z).mean() + sums[0] / m) / 2 + decay / 2 * (w[:-1] @ w[:-1])
+        return loss, (p[half].T @ (_sigmoid(z) - 1) / len(z) + sums[1:] / m) / 2 + decay * flat(w), True
+
+    prior = 0.5
+    if len(p) > 1 and odd and n > odd:
+        ranker = descend(against, start, max(2, passes // 2), 4)
+        z = p[~half] @ ranker
+        cuts = np.quantile(z, np.linspace(0, 0.98, 99))
+        tails = corpus.total(lambda x, odd: (lambda s: len(s) - np.searchsorted(s, cuts, side="left"))(np.sort(widen(x[odd == 1]) @ ranker)).astype(np.float64))
+        prior = prior_of_tails(1 - np.searchsorted(np.sort(z), cuts, side="left") / len(z), tails / odd, len(z), odd)
+
+    def whole(w: np.ndarray) -> tuple[float, np.ndarray, bool]:
+        """The non-negative risk; a step that makes the bracket negative is not allowed."""
+        sums = corpus.total(lambda x, _: (lambda z, x: np.concatenate([[np.logaddexp(0, z).sum()], x.T @ _sigmoid(z)]))((xs := widen(x)) @ w, xs))
+        z = p @ w
+        bracket = sums[0] / n - prior * np.logaddexp(0, z).mean()
+        g = prior * (p.T @ (_sigmoid(z) - 1) / len(z)) + sums[1:] / n - prior * (p.T @ _sigmoid(z) / len(z))
+        return prior * np.logaddexp(0, -z).mean() + max(0.0, bracket) + decay / 2 * (w[:-1] @ w[:-1]), g + decay * flat(w), bracket >= 0
+
+    model = Model(mean, scale, descend(whole, start, passes), prior)
+    calibrate(model, positive, negative, share)
+    return model
 
 
-def learn(docs: DataFrame, labels: DataFrame, label: str = "quality", most_positive: int = 6000, most_unlabelled: int = 12000, most_negative: int = 4000) -> Model | None:
-    """Fit on training folds: their labelled positives, and their documents without a label."""
+def learn(docs: DataFrame, labels: DataFrame, label: str = "quality", most_positive: int = 6000, most_negative: int = 4000, **kw) -> Model | None:
+    """Fit on training folds: their labelled positives, and all their documents without a label."""
+    common.tune(docs.sparkSession)
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where((fold(F.col("doc_id")) != 0) & F.col("y").isNotNull())
     counts = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
-    positive, _ = _sampled(docs, known.where("y = 1"), "positive", most_positive)
-    negative, _ = _sampled(docs, known.where("y = 0"), "negative", most_negative)
-    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id")).where(fold(F.col("doc_id")) != 0)
-    rest = ids.join(labels.select(F.col("doc_id").cast("long").alias("doc_id")), "doc_id", "left_anti")
-    unlabelled, _ = _sampled(docs, rest, "unlabelled", most_unlabelled)
+    positive = _sampled(docs, known.where("y = 1"), "positive", most_positive)
+    if not len(positive):
+        return None
+    negative = _sampled(docs, known.where("y = 0"), "negative", most_negative)
+    train = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.text_of().alias("text")).where(fold(F.col("doc_id")) != 0)
+    rest = train.join(labels.select(F.col("doc_id").cast("long").alias("doc_id")), "doc_id", "left_anti")
+    rows = rest if rest.limit(1).count() else train
+    corpus = Corpus(rows.select(F.xxhash64("doc_id").alias("key"), "text"))
     total = counts.get(1, 0) + counts.get(0, 0)
-    return fit(positive, unlabelled, negative, counts.get(1, 0) / total if total else None)
+    model = fit_corpus(positive, corpus, negative, counts.get(1, 0) / total if total else None, **kw)
+    common.delete(docs.sparkSession, corpus.path)
+    return model
 
 
 def score_documents(docs: DataFrame, model: Model | None, threshold: float = 0.3, keep: list[str] | None = None) -> DataFrame:
