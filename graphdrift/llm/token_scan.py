@@ -18,9 +18,11 @@ gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from urllib.parse import unquote
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as pa_fs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -63,12 +65,36 @@ def flat_files(docs: DataFrame, model: str | None = None, block: int = BLOCK) ->
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.text_of().alias("text")).mapInArrow(run, "file long, block long, data binary, first long, ids array<long>")
 
 
-def read_token_files(spark: SparkSession, path: str, width: int = 2, block: int = BLOCK) -> DataFrame:
-    """Blocks of binary token files (each up to Spark's 2 GB for a binary value): file, block, data."""
-    whole = spark.read.format("binaryFile").load(path).select(F.xxhash64("path").alias("file"), "content")
+def read_token_files(spark: SparkSession, path: str, width: int = 2, block: int = BLOCK, whole_bytes: int = 1 << 28, span_blocks: int = 256) -> DataFrame:
+    """Blocks of binary token files of any size: file, block, data.
+
+    Files up to ``whole_bytes`` are read by Spark as one value. Larger ones are only
+    listed by Spark; spans of ``span_blocks`` blocks are then read as byte ranges through
+    pyarrow's file systems, so no value holds more than a block.
+    """
     step = width * block
+    listed = spark.read.format("binaryFile").load(path)
+    small = listed.where(F.col("length") <= whole_bytes).select(F.xxhash64("path").alias("file"), "content")
     cut = F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.octet_length("content") - 1) / step).cast("int")))
-    return whole.select("file", "content", F.explode(cut).alias("block")).select("file", F.col("block").cast("long").alias("block"), F.expr(f"substring(content, block * {step} + 1, {step})").alias("data"))
+    pieces_ = small.select("file", "content", F.explode(cut).alias("block")).select("file", F.col("block").cast("long").alias("block"), F.expr(f"substring(content, block * {step} + 1, {step})").alias("data"))
+    span = step * span_blocks
+    large = listed.where(F.col("length") > whole_bytes).select(F.xxhash64("path").alias("file"), "path", "length")
+    ranges = large.select("file", "path", F.explode(F.sequence(F.lit(0), F.expr(f"(length - 1) div {span}"))).alias("span"))
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for file, where, k in zip(*(batch.column(c).to_pylist() for c in range(3))):
+                uri = where if "://" in where else where.replace(":/", ":///", 1)  # Hadoop writes file:/x
+                system, at = pa_fs.FileSystem.from_uri(unquote(uri))
+                with system.open_input_file(at) as source:
+                    source.seek(k * span)
+                    for n in range(span_blocks):
+                        data = source.read(step)
+                        if not data:
+                            break
+                        yield pa.RecordBatch.from_arrays([pa.array([file], pa.int64()), pa.array([k * span_blocks + n], pa.int64()), pa.array([data], pa.binary())], names=["file", "block", "data"])
+
+    return pieces_.unionAll(ranges.repartition("file", "span").mapInArrow(read, "file long, block long, data binary"))
 
 
 def _summaries(blocks: DataFrame, eod: int, width: int) -> DataFrame:

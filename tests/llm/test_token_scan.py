@@ -31,6 +31,8 @@ def test_scan_equals_splitting(spark, tmp_path):
     for group in (1, 3, 1000):
         assert sorted(map(tuple, m.document_lengths(blocks, group=group).collect())) == sorted(want)
     read = m.read_token_files(spark, str(tmp_path), block=7)
+    ranged = m.read_token_files(spark, str(tmp_path), block=7, whole_bytes=100, span_blocks=3)
+    assert sorted(map(tuple, ranged.collect())) == sorted(map(tuple, read.collect()))
     got = m.document_lengths(read).groupBy("file").agg(m.F.sort_array(m.F.collect_list(m.F.struct("ordinal", "n_tokens"))).alias("x")).collect()
     lists = sorted([tuple(y) for y in r.x] for r in got)
     files = {f for f, *_ in want}
