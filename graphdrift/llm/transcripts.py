@@ -8,8 +8,9 @@ path gives the roles.
 
 A conversation of any length is decoded in blocks: maxima over paths are matrix
 products under (max, +), so each block becomes a 7 x 6 matrix of best scores from
-every state before it to every state at its end. A pass over a conversation's
-matrices fixes the states at block borders, and each block then finds its own part
+every state before it to every state at its end, and so does all that a task holds of
+a conversation. A pass over the tasks' matrices fixes the states between tasks, one
+over each task's blocks those at block borders, and each block then finds its own part
 of the path. Rows are dealt out by ranges of (conversation, position), which split
 a long conversation as well.
 
@@ -171,40 +172,62 @@ def parse_turns(rows: DataFrame, model: Hmm) -> DataFrame:
     rows = rows.select("conv_id", "turn", "raw")
 
     def matrices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part = TaskContext.get().partitionId()
+        """A row a segment, and one with seq -1 for all of a conversation's segments in the task."""
+        part, chunk, whole, now = TaskContext.get().partitionId(), -1, None, None
+
+        def row(conv: int | None, seq: int, m: np.ndarray) -> pa.RecordBatch:
+            cells = [pa.array([x], pa.int64()) for x in (conv, part, chunk, seq)]
+            return pa.RecordBatch.from_arrays([*cells, pa.array([m.reshape(-1)], pa.list_(pa.float64()))], names=["conv_id", "part", "chunk", "seq", "m"])
+
         for seq, seg in enumerate(_segments(batches, 3)):
+            if chunk < 0 or seg[0][0] != now:
+                if chunk >= 0:
+                    yield row(now, -1, whole)
+                chunk, now, whole = chunk + 1, seg[0][0], None
             m = model.matrix([symbol_of(x) for row in seg for x in (row[2] or "").split("\n")])
-            yield pa.RecordBatch.from_arrays([pa.array([seg[0][0]], pa.int64()), pa.array([part], pa.int64()), pa.array([seq], pa.int64()), pa.array([m.reshape(-1)], pa.list_(pa.float64()))], names=["conv_id", "part", "seq", "m"])
-
-    def borders(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def settle(group: list[tuple]) -> pa.RecordBatch:
-            score, back = np.full(STATES + 1, -np.inf), []
-            score[START] = 0
-            for _, _, _, m in group:
-                every = score[:, None] + np.array(m).reshape(STATES + 1, STATES)
-                back.append(every.argmax(axis=0).astype(np.int8))
-                score = np.append(every.max(axis=0), -np.inf)
-            at, out = int(score[:STATES].argmax()), []
-            for k in range(len(group) - 1, -1, -1):
-                entry = int(back[k][at])
-                # the state after this block tells whether its last line ends a turn
-                out.append((group[k][1], group[k][2], entry, at, out[-1][5] if out else -1, None))
-                out[-1] = (*out[-1][:5], at)
-                at = entry
-            return out
-
-        def emit(found: list[tuple]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in range(4)], names=["part", "seq", "entry", "exit"])
+            whole = m if whole is None else (whole[:, :, None] + m[None, :STATES]).max(axis=1)
+            yield row(now, seq, m)
+        if chunk >= 0:
+            yield row(now, -1, whole)
+
+    def settle(mats: list, entry: int, exit_: int | None) -> list[tuple[int, int]]:
+        """(entry, exit) of each matrix on the best path from ``entry`` (to ``exit_``, if told)."""
+        score, back = np.full(STATES + 1, -np.inf), []
+        score[entry] = 0
+        for m in mats:
+            every = score[:, None] + np.array(m).reshape(STATES + 1, STATES)
+            back.append(every.argmax(axis=0).astype(np.int8))
+            score = np.append(every.max(axis=0), -np.inf)
+        at, out = int(score[:STATES].argmax()) if exit_ is None else exit_, []
+        for b in reversed(back):
+            out.append((int(b[at]), at))
+            at = out[-1][0]
+        return out[::-1]
 
+    def grouped(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[list[tuple]]:
+        """Consecutive rows whose first ``keys`` cells agree."""
         group: list[tuple] = []
         for batch in batches:
-            for row in zip(*(batch.column(k).to_pylist() for k in range(4))):
-                if group and row[0] != group[0][0]:
-                    yield emit(settle(group))
+            for row in zip(*(batch.column(k).to_pylist() for k in range(batch.num_columns))):
+                if group and row[:keys] != group[0][:keys]:
+                    yield group
                     group = []
                 group.append(row)
         if group:
-            yield emit(settle(group))
+            yield group
+
+    def emit(rows: list[tuple], names: list[str]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(len(names))], names=names)
+
+    def across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in grouped(batches, 1):  # a row a task that holds some of the conversation
+            found = settle([g[3] for g in group], START, None)
+            yield emit([(g[1], g[2], *f) for g, f in zip(group, found)], ["part", "chunk", "entry", "exit"])
+
+    def inside(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in grouped(batches, 2):  # the segments of one conversation in one task
+            found = settle([g[5] for g in group], group[0][3], group[0][4])
+            yield emit([(g[0], g[2], *f) for g, f in zip(group, found)], ["part", "seq", "entry", "exit"])
 
     def decode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -229,8 +252,12 @@ def parse_turns(rows: DataFrame, model: Hmm) -> DataFrame:
             turns = [{"conv_id": c, "turn": t, "raw": r} for c, t, r in seg]
             yield pa.RecordBatch.from_arrays([pa.array([part], pa.int64()), pa.array([seq], pa.int64()), pa.array([turns], kind)], names=["part", "seq", "turns"])
 
-    scored = rows.mapInArrow(matrices, "conv_id long, part long, seq long, m array<double>")
-    fixed = scored.repartition("conv_id").sortWithinPartitions("conv_id", "part", "seq").mapInArrow(borders, "part long, seq long, entry long, exit long")
+    # two levels, so that no task meets more than a row a task of a long conversation, or more than one task's segments
+    scored = common.cut(rows.mapInArrow(matrices, "conv_id long, part long, chunk long, seq long, m array<double>"))
+    tops = scored.where("seq < 0").select("conv_id", "part", "chunk", "m").repartition("conv_id").sortWithinPartitions("conv_id", "part")
+    ends = tops.mapInArrow(across, "part long, chunk long, entry long, exit long")
+    low = scored.where("seq >= 0").select("part", "chunk", "seq", "m").join(ends, ["part", "chunk"]).select("part", "chunk", "seq", "entry", "exit", "m")
+    fixed = low.repartition("part", "chunk").sortWithinPartitions("part", "chunk", "seq").mapInArrow(inside, "part long, seq long, entry long, exit long")
     blocks = rows.mapInArrow(packed, "part long, seq long, turns array<struct<conv_id:long,turn:long,raw:string>>")
     return blocks.join(fixed, ["part", "seq"]).select("turns", "entry", "exit").mapInArrow(decode, "conv_id long, turn long, raw string, n_lines long, roles array<string>, rendered array<string>")
 
