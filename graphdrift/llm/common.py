@@ -68,6 +68,19 @@ def stored(df: DataFrame) -> tuple[DataFrame, str]:
     return spark.read.schema(df.schema).parquet(path), path
 
 
+def bucketed(df: DataFrame, buckets: int, *columns: str) -> tuple[DataFrame, str]:
+    """``df`` as a table in the shared folder, bucketed so that a join by ``columns`` needn't move it, and its name, for ``drop``."""
+    spark, name = df.sparkSession, f"graphdrift_{uuid.uuid4().hex}"
+    df.write.bucketBy(buckets, *columns).format("parquet").option("path", f"{checkpoint_dir(spark)}/{name}").saveAsTable(name)
+    return spark.table(name), name
+
+
+def drop(spark: SparkSession, name: str) -> None:
+    """Remove a table of ``bucketed``."""
+    spark.sql(f"drop table if exists {name}")
+    delete(spark, f"{checkpoint_dir(spark)}/{name}")
+
+
 def packed(docs: DataFrame, keep: list[str], **own: Column) -> DataFrame:
     """``kept``, a struct of the columns ``keep``, beside an operator's own columns: no names can clash."""
     inner = [F.col(f"`{c}`") for c in keep] or [F.lit(0).alias("none")]

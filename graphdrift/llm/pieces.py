@@ -16,7 +16,9 @@ would not be independent.
 3. The answers go back to their blocks, where a text's ids are its chunks' ids put
    in a row by position.
 
-What travels are numbers, chunks and ids, compressed by block and bucket; texts don't.
+What travels are chunks and ids, compressed by block and bucket. Texts don't, nor do
+their numbers: they are written once, bucketed by block, and the answers come to them.
+That table stays until ``release`` (the result reads it).
 
 Defined results: null text is empty; an empty text has no ids and decodes to the
 empty string; texts of any length, ties and repeated rows are encoded row by row;
@@ -33,6 +35,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -253,15 +256,27 @@ class _Numbers(dict):
 
 
 def _squeeze(x: np.ndarray | bytes) -> bytes:
-    return zlib.compress(x.tobytes() if isinstance(x, np.ndarray) else x, 1)
+    """Compressed bytes, or numbers below 2^32 plane by plane."""
+    if isinstance(x, np.ndarray):
+        x = np.ascontiguousarray(x.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes()
+    return zstandard.ZstdCompressor(level=3).compress(x)
+
+
+def _bytes(data: bytes) -> bytes:
+    return zstandard.ZstdDecompressor().decompress(data)
 
 
 def _array(data: bytes) -> np.ndarray:
-    return np.frombuffer(zlib.decompress(data), "<u4")
+    return np.ascontiguousarray(np.frombuffer(_bytes(data), np.uint8).reshape(4, -1).T).view("<u4").reshape(-1)
+
 
+def _cut_up(sizes: np.ndarray, data: bytes) -> list[bytes]:
+    ends = np.cumsum(sizes).tolist()
+    return [data[a:b] for a, b in zip([0, *ends[:-1]], ends)]
 
-#: Columns of what travels: a text's row (``at``), and a block's chunks or their ids (numbers, sizes, data, counts, ids).
-_ROW = "part int, seq int, at binary, numbers binary, sizes binary, data binary"
+
+#: Beside the kept columns: a text's row has ``at``, a block's chunks are ``sizes`` and ``data``.
+_ROW = "part int, seq int, at binary, sizes binary, data binary"
 
 
 def _numbered(frame: DataFrame, block: int) -> DataFrame:
@@ -271,12 +286,12 @@ def _numbered(frame: DataFrame, block: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, seq, held, numbers = TaskContext.get().partitionId(), 0, 0, _Numbers()
         none = None
-        kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 4]
+        kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 3]
 
         def chunks() -> pa.RecordBatch:
             words = [c.encode() for c in numbers]
-            cells = [[part], [seq], [None], [_squeeze(np.arange(len(words), dtype="<u4"))], [_squeeze(np.array([len(w) for w in words], "<u4"))], [_squeeze(b"".join(words))]]
-            return pa.RecordBatch.from_arrays([none, *[pa.array(c, f) for c, f in zip(cells, kinds)]], names=schema.names)
+            cells = [part, seq, None, _squeeze(np.array([len(w) for w in words], "<u4")), _squeeze(b"".join(words))]
+            return pa.RecordBatch.from_arrays([none, *[pa.array([c], f) for c, f in zip(cells, kinds)]], names=schema.names)
 
         for batch in batches:
             none = pa.nulls(1, batch.column(0).type)
@@ -288,7 +303,7 @@ def _numbered(frame: DataFrame, block: int) -> DataFrame:
                 held += len(text)
                 if held >= block or i == batch.num_rows - 1:
                     columns = [pa.array([r[k] for r in rows], kinds[k]) for k in range(3)]
-                    yield pa.RecordBatch.from_arrays([batch.column(0).slice(begun, len(rows)), *columns, *[pa.nulls(len(rows), pa.binary())] * 3], names=schema.names)
+                    yield pa.RecordBatch.from_arrays([batch.column(0).slice(begun, len(rows)), *columns, *[pa.nulls(len(rows), pa.binary())] * 2], names=schema.names)
                     begun, rows = i + 1, []
                 if held >= block:
                     yield chunks()
@@ -299,99 +314,93 @@ def _numbered(frame: DataFrame, block: int) -> DataFrame:
     return frame.mapInArrow(run, schema)
 
 
-def _dealt(blocks: DataFrame, buckets: int) -> DataFrame:
-    """Each block's chunks by bucket: bucket, part, seq, numbers, sizes, data."""
+def _dealt(lists: DataFrame, buckets: int) -> DataFrame:
+    """Each block's chunks by bucket: bucket, part, seq, steps (of their numbers), sizes, data."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part, seq, numbers, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(5))):
-                sizes, data = _array(sizes), zlib.decompress(data)
-                ends = np.cumsum(sizes).tolist()
-                words = [data[a:b] for a, b in zip([0, *ends[:-1]], ends)]
+            for part, seq, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(4))):
+                sizes = _array(sizes)
+                words = _cut_up(sizes, _bytes(data))
                 bucket = np.fromiter(map(zlib.crc32, words), np.uint32, len(words)) % buckets
                 order = np.argsort(bucket, kind="stable")
-                cuts = np.flatnonzero(np.diff(bucket[order])) + 1
                 rows = []
-                for x in np.split(order, cuts) if len(order) else ():
-                    rows.append((int(bucket[x[0]]), part, seq, _squeeze(x.astype("<u4")), _squeeze(sizes[x]), _squeeze(b"".join([words[i] for i in x.tolist()]))))
+                for x in np.split(order, np.flatnonzero(np.diff(bucket[order])) + 1) if len(order) else ():
+                    rows.append((int(bucket[x[0]]), part, seq, _squeeze(np.diff(x, prepend=0)), _squeeze(sizes[x]), _squeeze(b"".join([words[i] for i in x.tolist()]))))
                 kinds = [pa.int32()] * 3 + [pa.binary()] * 3
-                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds)], names=["bucket", "part", "seq", "numbers", "sizes", "data"])
+                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds)], names=["bucket", "part", "seq", "steps", "sizes", "data"])
 
-    return blocks.select("part", "seq", "numbers", "sizes", "data").mapInArrow(run, "bucket int, part int, seq int, numbers binary, sizes binary, data binary")
+    return lists.select("part", "seq", "sizes", "data").mapInArrow(run, "bucket int, part int, seq int, steps binary, sizes binary, data binary")
 
 
 def _answers(dealt: DataFrame, model: str) -> DataFrame:
-    """part, seq, numbers, counts, ids, sizes, data: ids and surface text of each block's chunks. Each distinct chunk is segmented once."""
+    """part, seq, steps, counts, ids of each block's chunks by bucket. Each distinct chunk is segmented once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = Segmenter(model)
-        known: dict[bytes, tuple[list[int], bytes]] = {}
+        known: dict[bytes, list[int]] = {}
         now = None
         for batch in batches:
-            for bucket, part, seq, numbers, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(6))):
+            for bucket, part, seq, steps, sizes, data in zip(*(batch.column(k).to_pylist() for k in range(6))):
                 if bucket != now:
                     now = bucket
                     known.clear()
-                data = zlib.decompress(data)
-                ends = np.cumsum(_array(sizes)).tolist()
-                words = [data[a:b] for a, b in zip([0, *ends[:-1]], ends)]
+                words = _cut_up(_array(sizes), _bytes(data))
                 new = [w for w in words if w not in known]
-                for w, ids in zip(new, table.segment([w.decode() for w in new])):
-                    known[w] = ids, table.plain(ids).encode()
+                known |= zip(new, table.segment([w.decode() for w in new]))
                 found = [known[w] for w in words]
-                ids = np.array([i for f in found for i in f[0]], "<u4")
-                cells = [part, seq, numbers, _squeeze(np.array([len(f[0]) for f in found], "<u4")), _squeeze(ids), _squeeze(np.array([len(f[1]) for f in found], "<u4")), _squeeze(b"".join([f[1] for f in found]))]
-                kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 5]
-                yield pa.RecordBatch.from_arrays([pa.array([c], kind) for c, kind in zip(cells, kinds)], names=["part", "seq", "numbers", "counts", "ids", "sizes", "data"])
+                cells = [part, seq, steps, _squeeze(np.array([len(f) for f in found], "<u4")), _squeeze(np.array([i for f in found for i in f], "<u4"))]
+                kinds = [pa.int32(), pa.int32(), *[pa.binary()] * 3]
+                yield pa.RecordBatch.from_arrays([pa.array([c], kind) for c, kind in zip(cells, kinds)], names=["part", "seq", "steps", "counts", "ids"])
 
     near = dealt.repartition("bucket").sortWithinPartitions("bucket")
-    return near.mapInArrow(run, "part int, seq int, numbers binary, counts binary, ids binary, sizes binary, data binary")
-
-
-def _joined(rows: DataFrame, schema: T.StructType) -> DataFrame:
-    """Texts' ids and surface by position. ``rows``: kept, at, numbers, counts, ids, sizes, data; a block's answers stand before its texts."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        told: list[tuple] = []
-        words: list[str] = []
-        count = start = flat = np.zeros(0, np.int64)
-        reading = False
-        for batch in batches:
-            at = batch.column(1)
-            is_text = at.is_valid().to_numpy(zero_copy_only=False)
-            lists, plain = [], []
-            cells = [batch.column(k).to_pylist() for k in range(1, 7)]
-            for i in range(batch.num_rows):
-                if not is_text[i]:
-                    if not reading:
-                        reading, told = True, []
-                    told.append(tuple(c[i] for c in cells[1:]))
-                    continue
-                if reading:
-                    reading = False
-                    size = 1 + max(int(n.max()) for x in told if len(n := _array(x[0])))
-                    count, start, words, ids, base = np.zeros(size, np.int64), np.zeros(size, np.int64), [""] * size, [], 0
-                    for numbers, counts, own, sizes, data in told:
-                        n, c, own, data = _array(numbers), _array(counts).astype(np.int64), _array(own), zlib.decompress(data)
-                        count[n] = c
-                        start[n] = base + np.cumsum(c) - c
-                        base += len(own)
-                        ids.append(own)
-                        ends = np.cumsum(_array(sizes)).tolist()
-                        for k, a, b in zip(n.tolist(), [0, *ends[:-1]], ends):
-                            words[k] = data[a:b].decode()
-                    flat, told = np.concatenate(ids).astype(np.int32), []
-                order = _array(cells[0][i])
-                n = count[order]
-                total = int(n.sum())
-                lists.append(flat[np.repeat(start[order] - (np.cumsum(n) - n), n) + np.arange(total)] if total else flat[:0])
-                plain.append("".join([words[k] for k in order.tolist()])[1:])
-            if lists:
-                ends = np.cumsum([0, *[len(x) for x in lists]]).astype(np.int32)
-                found = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists), pa.int32()))
-                yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(is_text)), found, pa.array(plain, pa.string())], names=schema.names)
-
-    return rows.mapInArrow(run, schema)
+    return near.mapInArrow(run, "part int, seq int, steps binary, counts binary, ids binary")
+
+
+def _joined(texts: DataFrame, answers: DataFrame, model: str, schema: T.StructType) -> DataFrame:
+    """Texts' ids and surface by position, block by block. ``texts``: part, seq, kept, at; ``answers``: part, seq, steps, counts, ids."""
+    tables: dict[str, Segmenter] = {}
+
+    def run(texts: pa.Table, told: pa.Table) -> pa.Table:
+        if model not in tables:
+            tables[model] = Segmenter(model)
+        table = tables[model]
+        texts, parts = texts.combine_chunks(), [tuple(map(_array, x)) for x in zip(*(told.column(k).to_pylist() for k in ("steps", "counts", "ids")))]
+        numbers = [np.cumsum(p[0]) for p in parts]
+        size = 1 + max((int(n[-1]) for n in numbers), default=-1)
+        count, start, base = np.zeros(size, np.int64), np.zeros(size, np.int64), 0
+        words = [""] * size
+        for n, (_, c, ids) in zip(numbers, parts):
+            count[n] = c
+            ends = np.cumsum(c.astype(np.int64))
+            start[n] = base + ends - c
+            base += len(ids)
+            ids, ends = ids.tolist(), ends.tolist()
+            for k, a, b in zip(n.tolist(), [0, *ends[:-1]], ends):
+                words[k] = table.plain(ids[a:b])
+        flat = np.concatenate([p[2] for p in parts]).astype(np.int32) if parts else np.zeros(0, np.int32)
+        lists, plain = [], []
+        for at in texts.column("at").to_pylist():
+            order = _array(at)
+            n = count[order]
+            total = int(n.sum())
+            lists.append(flat[np.repeat(start[order] - (np.cumsum(n) - n), n) + np.arange(total)] if total else flat[:0])
+            plain.append("".join([words[k] for k in order.tolist()])[1:])
+        ends = np.cumsum([0, *[len(x) for x in lists]]).astype(np.int32)
+        found = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists), pa.int32()))
+        kept = texts.column("kept")
+        return pa.table([kept, found, pa.array(plain, pa.string())], names=schema.names)
+
+    return texts.groupBy("part", "seq").cogroup(answers.groupBy("part", "seq")).applyInArrow(run, schema)
+
+
+_tables: list[str] = []
+
+
+def release(spark) -> None:
+    """Drop the tables that results of ``encode_documents`` read; for when those are written."""
+    while _tables:
+        common.drop(spark, _tables.pop())
 
 
 def encode_documents(docs: DataFrame, text: str = "text", keep: list[str] | None = None, model: str | None = None, ids: str = "piece_ids", decoded: str = "piece_text", block: int = 1 << 24, bucket_chunks: int = 200_000) -> DataFrame:
@@ -404,19 +413,16 @@ def encode_documents(docs: DataFrame, text: str = "text", keep: list[str] | None
     spark = docs.sparkSession
     model = model or default_model()
     keep = docs.columns if keep is None else keep
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
     # the numbering is written down, so that every later reader sees the same blocks
-    blocks, _ = common.stored(_numbered(common.packed(docs, keep, text=common.text_of(text)), block))
-    lists = blocks.where("at is null").select("part", "seq", "numbers", "sizes", "data")
+    blocks, name = common.bucketed(_numbered(common.packed(docs, keep, text=common.text_of(text)), block), tasks, "part", "seq")
+    _tables.append(name)
+    lists = blocks.where("at is null").select("part", "seq", "sizes", "data")
     size = lists.agg(F.sum(F.octet_length("data"))).first()[0] or 0  # three bytes a chunk or more when compressed
-    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), size // (3 * bucket_chunks) + 1)
-    told = _answers(_dealt(lists, buckets), model)
-    none = F.lit(None).cast("binary")
-    names = ["numbers", "counts", "ids", "sizes", "data"]
-    texts = blocks.where("at is not null").select("kept", "at", *[none.alias(c) for c in names], "part", "seq")
-    answers = told.select(F.lit(None).cast(blocks.schema["kept"].dataType).alias("kept"), none.alias("at"), *names, "part", "seq")
-    rows = answers.unionAll(texts).repartition("part", "seq").sortWithinPartitions("part", "seq", F.col("at").isNotNull())
+    told = _answers(_dealt(lists, max(tasks, size // (3 * bucket_chunks) + 1)), model)
+    texts = blocks.where("at is not null").select("part", "seq", "kept", "at")
     fields = [T.StructField("kept", blocks.schema["kept"].dataType), T.StructField("ids", T.ArrayType(T.IntegerType())), T.StructField("plain", T.StringType())]
-    out = _joined(rows.select("kept", "at", *names), T.StructType(fields))
+    out = _joined(texts, told, model, T.StructType(fields))
     return common.unpacked(out, keep, **{ids: F.col("ids"), decoded: F.col("plain")})
 
 

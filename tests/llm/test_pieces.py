@@ -35,12 +35,12 @@ def test_each_distinct_chunk_is_segmented_once(spark):
     rows = [(i, " ".join(f"w{(i * j) % 11}" for j in range(40)) + " x" * (i % 3)) for i in range(60)]
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
     packed = pieces.common.packed(docs, ["doc_id"], text=pieces.common.text_of())
-    blocks, _ = pieces.common.stored(pieces._numbered(packed, 500))
+    blocks, path = pieces.common.stored(pieces._numbered(packed, 500))
     lists = blocks.where("at is null")
     dealt = pieces._dealt(lists, 8).collect()
     held = {}
     for r in dealt:
-        words, at = pieces.zlib.decompress(r.data), 0
+        words, at = pieces._bytes(r.data), 0
         for n in pieces._array(r.sizes):
             held.setdefault(words[at : at + n], set()).add(r.bucket)
             at += n
@@ -70,5 +70,6 @@ def test_query_rows(spark):
     want = ",".join(map(str, TABLE.sp.encode("hello world")))
     assert digests[1].ids_sha256 == hashlib.sha256(want.encode()).hexdigest()
     assert pieces.piece_digests(docs.limit(0)).count() == 0
+    pieces.release(spark)
     back = pieces.decode_ids(pieces.encode_documents(docs).withColumnRenamed("piece_text", "was"))
     assert all(r.was == r.piece_text for r in back.collect())
