@@ -250,18 +250,9 @@ query("cut_pivot", o.placed("cop", "hsh_mixed", K, "select least(src_part, dst_p
 query("message_cost", o.placed("cop", "hsh_mixed", K, "select (2 * count(*))::bigint messages, (2 * count(*) filter (src_part = dst_part))::bigint as \"local\", (2 * count(*) filter (src_part <> dst_part))::bigint remote, (select count(*) from (select distinct x.part, dst from sym join a x on x.vid = src join a y on y.vid = dst where x.part <> y.part)) as grouped, (2 * count(*) filter (src_part <> dst_part)) / (2 * count(*)) remote_share from l"))(lambda s, d: metrics.message_cost(*_placed(s, d, "cop", "hsh_mixed")))
 query("state_size", o.on_edges("cop", "select (select count(*) from v) vertices, count(*) edges, ((select count(*) from v) * 16 + count(*) * 32)::bigint bytes from edges"))(lambda s, d: metrics.state_size(graph_from(s, d, "cop")))
 query("hot_zones")(lambda s, d: apps.hot_zones(*_placed(s, d, "succession", "hsh_mixed")))
-query("overhead_fit")(lambda s, d: metrics.overhead_fit(w.to_quiet(*w.started(s, d, "cop", _ONE), _ONE, None)[1]))
-
-
-def _break_even(s: SparkSession, d: str) -> DataFrame:
-    """To quiescence, and as many iterations without adapting."""
-    adaptive = w.to_quiet(*w.started(s, d, "lattice", _ONE), _ONE, None)[1]
-    still = _ONE.but(adaptive=False)
-    static = migrate.adapt(*w.started(s, d, "lattice", still), still, adaptive.count())[1]
-    return metrics.break_even(adaptive, static).join(metrics.speedup(adaptive, static))
-
-
-query("break_even_speedup")(_break_even)
+query("overhead_fit")(lambda s, d: metrics.overhead_fit(migrate.adapt(*w.started(s, d, "cop", _ONE), _ONE, 12)[1]))
+# the tissue runs in both arms
+query("break_even_speedup")(lambda s, d: w.arms_summary(s, d, "tissue", 12).where("arm = 'adaptive'").select(F.col("break_even").alias("iteration"), "speedup"))
 query("coordination_rows", f"select iteration, (moved + {K})::bigint as rows from ({o.history('lattice', _ONE, 2)})")(lambda s, d: metrics.coordination_rows(w.run_history(s, d, "lattice", _ONE, 2), K))
 
 
