@@ -155,6 +155,8 @@ def full_state(assignment: DataFrame) -> DataFrame:
 
 #: Partitions up to which neighbours are counted in one column a partition.
 WIDE = 64
+#: Arcs of one vertex that one task may hold; a hub with more is split over several.
+HUB_ARCS = 1_000_000
 
 
 @dataclass
@@ -170,18 +172,26 @@ class Adaptation:
     iteration: int = 0
     history: list[dict] = field(default_factory=list)
     checkpoint: DataFrame | None = None
+    hubs: DataFrame | None = None
 
     @classmethod
     def start(cls, edges: DataFrame, assignment: DataFrame, cfg: MigrationConfig, iteration: int = 0) -> Adaptation:
-        spark = edges.sparkSession
+        spark, sym = edges.sparkSession, symmetric(edges)
+        degrees = sym.groupBy(F.col("dst").alias("hub")).agg(F.expr(f"cast((count(1) - 1) div {HUB_ARCS} + 1 as int) pieces"))
+        hubs = cut(degrees.where("pieces > 1"))  # a row or less for every HUB_ARCS arcs
+        if hubs.limit(1).count():
+            piece = F.pmod(F.xxhash64("src"), F.coalesce("pieces", F.lit(1))).cast("int")
+            sym = sym.join(F.broadcast(hubs), F.col("dst") == F.col("hub"), "left").select("src", "dst", piece.alias("piece"))
+        else:
+            hubs, sym = None, sym.withColumn("piece", F.lit(0))
         # a fixed number of partitions, so that adaptive execution keeps what the join needs
-        sym = symmetric(edges).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "dst").persist()
+        sym = sym.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "dst", "piece").persist()
         state = cut(full_state(assignment).withColumn("t", F.lit(iteration).cast("long")))
         loads = [0] * cfg.k
         for r in state.groupBy("part").agg(F.count(F.lit(1)).alias("n")).collect():
             loads[r["part"]] = r["n"]
         caps = capacity_plan(sum(loads), cfg.k, cfg.slack if cfg.use_quota else None, cfg.caps, loads)
-        return cls(spark, sym, state, cfg, caps, loads, iteration)
+        return cls(spark, sym, state, cfg, caps, loads, iteration, hubs=hubs)
 
     def _counted(self) -> DataFrame:
         """vid, part, home, settle, t, want, top, here, degree: each vertex's best partition, and its neighbours there, at home and in all.
@@ -192,7 +202,12 @@ class Adaptation:
         """
         cfg = self.cfg
         place = self.state.select(F.col("vid").alias("dst"), "part")
-        arcs = self.sym.join(place, "dst").selectExpr("src vid", "part", "1L n", "cast(null as int) home", "cast(null as int) settle", "cast(null as bigint) t")
+        if self.hubs is None:
+            place = place.withColumn("piece", F.lit(0))
+        else:  # a hub's place goes to each piece of its arcs
+            pieces = F.explode(F.sequence(F.lit(0), F.coalesce("pieces", F.lit(1)) - 1))
+            place = place.join(F.broadcast(self.hubs), F.col("dst") == F.col("hub"), "left").select("dst", "part", pieces.alias("piece"))
+        arcs = self.sym.join(place, ["dst", "piece"]).selectExpr("src vid", "part", "1L n", "cast(null as int) home", "cast(null as int) settle", "cast(null as bigint) t")
         own = self.state.selectExpr("vid", "part", f"{int(cfg.count_self)}L n", "home", "settle", "t + 1 t")
         rows = arcs.unionAll(own)
         tie = mix32_text("vid", salt_text(cfg.seed, TIE, 0, "p", "t")) if cfg.tie_break == "hash" else "0L"

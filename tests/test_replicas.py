@@ -24,6 +24,16 @@ def graph(spark):
     return spark.createDataFrame(sorted(pairs), "src long, dst long")
 
 
+def test_hubs_in_pieces(spark, graph, monkeypatch):
+    monkeypatch.setattr("graphdrift.operators.migrate.HUB_ARCS", 4)
+    spark.conf.set("spark.sql.shuffle.partitions", "3")
+    start = initial.assign_hash(vertices_of(graph), 4, True, 0)
+    state, _ = adapt(graph, start, BASE, 3)
+    states, _ = replicas.adapt_many(graph, start.selectExpr("7 run", "*"), {7: BASE}, 3)
+    assert sorted(map(tuple, states.select("vid", "part").collect())) == sorted(map(tuple, state.select("vid", "part").collect()))
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
+
+
 @pytest.mark.parametrize("name", SETTINGS)
 def test_equals_the_distributed_loop(spark, graph, name):
     cfg = SETTINGS[name]
