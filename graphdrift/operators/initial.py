@@ -98,7 +98,7 @@ def stream_chunked(edges: DataFrame, vertices: DataFrame, k: int, rule: str = "d
         if over.limit(1).count():
             after = parts.join(placed.unionAll(fits).groupBy("part").agg(F.count(F.lit(1)).alias("l")), "part", "left").select("part", F.greatest(F.lit(0), cap - F.coalesce("l", F.lit(0))).alias("free"))
             # free places in order of parts; at most ``chunk`` are needed
-            spots = after.select("part", F.explode(F.sequence(F.lit(1).cast("long"), F.least(F.col("free"), F.lit(chunk).cast("long")))).alias("i")).where("i <= free").select("part", F.row_number().over(Window.orderBy("i", "part")).alias("n"))
+            spots = after.select("part", F.explode(F.sequence(F.lit(1).cast("long"), F.least(F.col("free"), F.lit(chunk).cast("long")))).alias("i")).where("i between 1 and free").select("part", F.row_number().over(Window.orderBy("i", "part")).alias("n"))
             rest = over.select("vid", F.row_number().over(Window.orderBy("vid")).alias("n"))
             fits = fits.unionAll(rest.join(spots, "n", "left").select("vid", F.coalesce("part", F.pmod("vid", F.lit(k)).cast("int")).alias("part")))
         placed = cut(placed.unionAll(fits))
