@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphdrift.config import MigrationConfig
-from graphdrift.functions.lineage import cut
+from graphdrift.functions.lineage import checkpoint_dir, cut
 from graphdrift.operators import apps, changes, deferred, engine, initial, metrics, migrate
 from graphdrift.operators.graph import localise, locate, propagate_moves, symmetric, vertices_of
 from graphdrift.plans import oracles as o
@@ -345,6 +345,9 @@ query("vertex_program_min_t3", o.on_edges("pagelinks", "select vid, least(v.vid,
 
 _SLICE = f"(select least(src, dst) a, greatest(src, dst) b, min(date_diff('day', date '2024-01-01', ts::date) // 10) d from ({o.CALL}) where src <> dst group by 1, 2)"
 query("w1_drift_hsh", f"with t as materialized {_SLICE} select d::int slice, (select count(*) from t where t.d <= x.d and {o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, (select count(*) from t where t.d <= x.d) edges from (select range d from range((select max(d) + 1 from t))) x")(lambda s, d: w.drift(s, d, "hsh"))
+query("w1_daily_hsh", f"with t as materialized (select least(src, dst) a, greatest(src, dst) b, min(date_diff('day', date '2024-01-01', ts::date)) d from ({o.CALL}) where src <> dst group by 1, 2) select d::int slice, (select count(*) from t where t.d <= x.d and {o.hashed(K, 0, 'a')} <> {o.hashed(K, 0, 'b')}) cut, (select count(*) from t where t.d <= x.d) edges from (select range d from range((select max(d) + 1 from t))) x")(lambda s, d: w.drift(s, d, "hsh", days=1))
+for _strategy in ("dtg", "adp", "scratch"):
+    query(f"w1_daily_{_strategy}")(lambda s, d, x=_strategy: w.drift(s, d, x, days=1))
 query("w1_drift_dtg")(lambda s, d: w.drift(s, d, "dtg"))
 query("w1_drift_adp")(lambda s, d: w.drift(s, d, "adp"))
 query("w1_drift_scratch")(lambda s, d: w.drift(s, d, "scratch"))
@@ -368,7 +371,10 @@ query("w4_convergence_t4", o.history("cop", _ONE, 4))(lambda s, d: w.run_history
 query("w4_convergence")(lambda s, d: w.run_history(s, d, "cop", _ONE, None))
 query("w5_bursts_adaptive")(lambda s, d: w.bursts(s, d))
 query("w5_bursts_static")(lambda s, d: w.bursts(s, d, adaptive=False))
-query("w6_mentions", o.placed("succession", "hsh_mixed", K, "select count(*) filter (src_part <> dst_part) cut, count(*) edges, count(*) filter (src_part <> dst_part) / count(*) ratio from l"))(lambda s, d: metrics.cut_ratio(*_placed(s, d, "succession", "hsh_mixed")))
+_MENTION_EDGES = f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst"
+_MENTION_ROW = "select '{}' as arm, {} cut, (select count(*) from edges) edges, {} / (select count(*) from edges) ratio"
+query("w6_mentions_t3", f"with {o.begin('', _ONE, edges=_MENTION_EDGES)}, {o.migrations(_ONE, 3)} " + " union all ".join(_MENTION_ROW.format(arm, o.cut_of(a), o.cut_of(a)) for arm, a in (("adaptive", "a3"), ("static", "a0"))))(lambda s, d: w.mention_cuts(s, d, 3))
+query("w6_mentions")(lambda s, d: w.mention_cuts(s, d, None))
 query("w6_influence", f"select vid, influence from ({o.influence(5)}) order by influence desc, vid limit 20")(lambda s, d: apps.top(apps.influence(mentions(s, d)), "influence", 20))
 query("w6_throughput", f"select time_bucket(interval 10 minutes, ts) as start, count(*) as events from ({o.CALL}) group by 1")(lambda s, d: metrics.throughput(interactions(s, d)))
 query("w7_window_edges", f"select (date_trunc('week', ts) + interval 7 days)::timestamp week_end, least(src, dst) src, greatest(src, dst) dst, max(ts) last_seen from (select ts, src, dst from ({o.CALL}) where src <> dst) group by 1, 2, 3")(w.window_edges)
@@ -430,7 +436,6 @@ def _log_sql(begun: str, cfg: MigrationConfig, steps: int, adaptive: bool, arcs:
 
 for _n, _on in (("adaptive", True), ("static", False)):
     query(f"superstep_{_n}", _log_sql(_BEGUN, _LATE, 3, _on))(lambda s, d, a=_on: w.superstep_log(s, d, a))
-_MENTION_EDGES = f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst"
 _CASES = {
     "w5_burst_arms": ("bursts", o.begin("cop", _ONE), "sym"),
     "w6_mention_arms": ("mentions", f"{o.begin('', _ONE, edges=_MENTION_EDGES)}, arcs as materialized (select distinct src, dst from ({o.CALL}) where src <> dst)", "arcs"),
@@ -455,6 +460,23 @@ def _stream(s: SparkSession, d: str, make: Callable[[DataFrame], DataFrame], mod
 query("stream_throughput", f"select time_bucket(interval 10 minutes, ts) as start, count(*) as events from ({o.CALL}) group by 1")(lambda s, d: _stream(s, d, front.throughput_stream, "update", ["start"]))
 query("stream_calls_window", f"select (date_trunc('day', ts) - to_days(b::int))::timestamp as start, least(src, dst) src, greatest(src, dst) dst, count(*) calls from ({o.CALL}), (select unnest(range(7)) b) where src <> dst group by 1, 2, 3")(lambda s, d: _stream(s, d, front.active_ties, "update", ["start", "src", "dst"]))
 query("stream_user_bursts", f"with e as (select *, coalesce(ts - lag(ts) over (partition by src order by ts) > interval 30 minutes, true) fresh from ({o.CALL})), g as (select *, sum(fresh::int) over (partition by src order by ts rows unbounded preceding) n from e) select min(ts)::timestamp as start, src, count(*) as events from g group by src, n")(lambda s, d: _stream(s, d, front.user_bursts, "complete"))
+
+
+def _stream_changes(s: SparkSession, d: str) -> DataFrame:
+    """Ties of the stream, batch by batch through the change queue."""
+    folder, users, at = w.stream_folder(s, d)
+    queue, graph = changes.ChangeQueue(s), [s.createDataFrame([], "src long, dst long"), s.createDataFrame([], "vid long")]
+
+    def take(batch: DataFrame, number: int) -> None:
+        queue.push(batch.select(F.col("event_id").alias("seq"), F.lit("add_edge").alias("op"), "src", "dst", F.lit(0).alias("priority"), "ts"))
+        edges, vertices, _ = queue.drain(number, *graph)
+        graph[:] = [cut(edges), cut(vertices)]
+
+    front.for_each_batch(front.event_stream(s, folder, users), f"{at}/state", take)
+    return graph[0]
+
+
+query("stream_changes", f"select distinct least(src, dst) src, greatest(src, dst) dst from ({o.CALL}) where src <> dst")(_stream_changes)
 query("stream_dedup", f"select event_id, ts, src, dst from ({o.CALL})")(lambda s, d: _stream(s, d, front.deduplicated))
 query("stream_reciprocated", f"with c as (select * from ({o.CALL}) where src <> dst) select a.ts ts1, a.src s1, a.dst d1, b.ts ts2 from c a join c b on a.src = b.dst and a.dst = b.src and b.ts > a.ts and b.ts <= a.ts + interval 1 day")(lambda s, d: _stream(s, d, front.reciprocated))
 query("stream_expiry", f"with c as (select least(src, dst) a, greatest(src, dst) b, ts from ({o.CALL}) where src <> dst), g as (select *, lag(ts) over (partition by a, b order by ts) p from c) select 'add_edge' op, a src, b dst, ts from g where p is null or ts - p > interval 7 days union all select 'del_edge', a, b, p + interval 7 days from g where ts - p > interval 7 days union all select 'del_edge', a, b, m + interval 7 days from (select a, b, max(ts) m from c group by a, b) where m + interval 7 days < (select date_trunc('millisecond', max(ts)) - interval 1 day from c)")(lambda s, d: _stream(s, d, front.expiring_ties))
@@ -482,6 +504,31 @@ _tab("shuffle_hash_join", "select o_custkey, count(*) lines from orders join lin
 _tab("merge_join", "select l_orderkey, count(*) n from orders join lineitem on o_orderkey = l_orderkey group by l_orderkey")(
     lambda s, d: table(s, d, "orders", "o_orderkey").hint("merge").join(table(s, d, _L, "l_orderkey"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n"))
 )
+
+
+def _bucketed_join(s: SparkSession, d: str) -> DataFrame:
+    """Both sides written bucketed by the key, so that the join moves neither."""
+    names = []
+    for name, column in (("orders", "o_orderkey"), (_L, "l_orderkey")):
+        names.append(f"graphdrift_{name}_{uuid.uuid4().hex}")
+        at = f"{checkpoint_dir(s)}/{names[-1]}"
+        table(s, d, name, column).write.bucketBy(8, column).option("path", at).saveAsTable(names[-1])
+    left, right = (s.table(n) for n in names)
+    return left.hint("merge").join(right, F.col("o_orderkey") == F.col("l_orderkey")).groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n"))
+
+
+_tab("bucketed_join", "select l_orderkey, count(*) n from orders join lineitem on o_orderkey = l_orderkey group by l_orderkey")(_bucketed_join)
+
+
+def _cells_source(s: SparkSession, d: str) -> DataFrame:
+    from graphdrift.sources.cells import CellSource
+
+    s.dataSource.register(CellSource)
+    return s.read.format("cells").option("a", 10).option("b", 10).option("c", 10).load()
+
+
+_tab("data_source", "select vid src, vid + dd dst from (select range vid from range(1000)), (values (0, 1, 10), (1, 10, 10), (2, 100, 10)) t(x, dd, n) where (vid // dd) % n < n - 1")(_cells_source)
+_tab("recursion", "with recursive t(n, f) as (select 1, 1::bigint union all select n + 1, f * 2 from t where n < 40) select n, f from t")(lambda s, d: s.sql("with recursive t(n, f) as (select 1, cast(1 as bigint) union all select n + 1, f * 2 from t where n < 40) select n, f from t"))
 _tab("left_join", "select c_custkey, count(o_orderkey) orders from customer left join orders on c_custkey = o_custkey group by c_custkey")(
     lambda s, d: table(s, d, "customer", "c_custkey").join(table(s, d, "orders", "o_orderkey", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("orders"))
 )

@@ -270,6 +270,14 @@ def arms_summary(spark: SparkSession, sf_dir: str, case: str, supersteps: int =
     return out.join(metrics.speedup(a, b)).join(metrics.break_even(a, b).withColumnRenamed("iteration", "break_even"))
 
 
+def mention_cuts(spark: SparkSession, sf_dir: str, steps: int | None, k: int = 9) -> DataFrame:
+    """arm, cut, edges, ratio of the mentions' ties: placed by hash for good, and adapted."""
+    edges = cut(canonical(mentions(spark, sf_dir)))
+    start = cut(assign_hash(vertices_of(edges), k))
+    after = to_quiet(edges, start, MigrationConfig(k=k), steps)[0]
+    return union([metrics.cut_ratio(edges, a).select(F.lit(arm).alias("arm"), "*") for arm, a in (("adaptive", after), ("static", start))])
+
+
 def recovered(spark: SparkSession, sf_dir: str, supersteps: int = 4, lost_after: int = 2, k: int = 9) -> DataFrame:
     """vid, value, part of influence on the mentions, by a run that ends after ``lost_after`` supersteps and another that goes on from its snapshot."""
     arcs = cut(mentions(spark, sf_dir).select("src", "dst"))
