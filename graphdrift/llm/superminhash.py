@@ -39,6 +39,8 @@ from pyspark.sql import functions as F
 from graphdrift.llm import common
 
 SLOTS, BANDS = 128, 32
+#: Members of a centre that one task compares with it.
+SPOKES = 256
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -273,7 +275,11 @@ def near_duplicates(docs: DataFrame, percent: int = 80, width: int = 5, slots: i
     wanted = pairs.select("node").unionAll(pairs.select(F.col("centre").alias("node"))).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.text_of().alias("text"))
     sets = common.cut(_sets(texts.join(wanted, texts.doc_id == wanted.node, "left_semi"), width).dropDuplicates(["node"]))
-    probe = pairs.join(sets, "node").join(sets.select(F.col("node").alias("centre"), F.col("elements").alias("core")), "centre")
+    # a centre of many members is given out again for every SPOKES of them, so that no task gets them all
+    salts = pairs.groupBy("centre").agg(F.expr(f"(count(1) - 1) div {SPOKES} + 1").alias("salts"))
+    cores = sets.select(F.col("node").alias("centre"), F.col("elements").alias("core")).join(salts, "centre").select("centre", "core", F.explode(F.sequence(F.lit(0), F.col("salts").cast("int") - 1)).alias("salt"))
+    dealt = pairs.join(salts, "centre").select("node", "centre", F.pmod(F.xxhash64("node"), F.col("salts")).cast("int").alias("salt"))
+    probe = dealt.join(sets, "node").join(cores, ["centre", "salt"])
     both = F.size(F.array_intersect("elements", "core"))
     checked = probe.select("node", "centre", both.alias("both"), (F.size("elements") + F.size("core")).alias("sum"))
     checked = common.cut(checked.select("node", "centre", F.expr(f"100 * both >= {percent} * (sum - both)").alias("linked")))
