@@ -244,8 +244,8 @@ def _sampled(docs: DataFrame, ids: DataFrame, salt: str, most: int) -> np.ndarra
 class Corpus:
     """The unlabelled rows' features, and sums over all of them."""
 
-    def __init__(self, rows: DataFrame):
-        self.frame, self.path = common.stored(_featured(rows))
+    def __init__(self, featured: DataFrame):
+        self.frame, self.path = common.stored(featured)
 
     def total(self, fn: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
         """The sum over all rows of ``fn(features, half)``; a task sends one vector, and those are summed before the driver sees any."""
@@ -351,6 +351,17 @@ def fit_corpus(positive: np.ndarray, corpus: Corpus, negative: np.ndarray, share
     return model
 
 
+def unlabelled(train: DataFrame, labels: DataFrame) -> DataFrame:
+    """key and x of the rows (key, text) without a label, or of all where every one has a label.
+
+    Texts become features before rows are told apart, so that what travels is features of
+    one size, not texts; the join is the same one at any size of the labels.
+    """
+    known = labels.select(F.col("doc_id").cast("long").alias("key")).hint("merge")
+    some = train.select("key").join(known, "key", "left_anti").limit(1).count()
+    return _featured(train).join(known, "key", "left_anti") if some else _featured(train)
+
+
 def learn(docs: DataFrame, labels: DataFrame, label: str = "quality", most_positive: int = 6000, most_negative: int = 4000, **kw) -> Model | None:
     """Fit on training folds: their labelled positives, and all their documents without a label."""
     common.tune(docs.sparkSession)
@@ -360,10 +371,8 @@ def learn(docs: DataFrame, labels: DataFrame, label: str = "quality", most_posit
     if not len(positive):
         return None
     negative = _sampled(docs, known.where("y = 0"), "negative", most_negative)
-    train = docs.select(F.col("doc_id").cast("long").alias("doc_id"), common.text_of().alias("text")).where(fold(F.col("doc_id")) != 0)
-    rest = train.join(labels.select(F.col("doc_id").cast("long").alias("doc_id")), "doc_id", "left_anti")
-    rows = rest if rest.limit(1).count() else train
-    corpus = Corpus(rows.select(F.xxhash64("doc_id").alias("key"), "text"))
+    train = docs.select(F.col("doc_id").cast("long").alias("key"), common.text_of().alias("text")).where(fold(F.col("doc_id").cast("long")) != 0)
+    corpus = Corpus(unlabelled(train, labels).withColumn("key", F.xxhash64("key")))
     total = counts.get(1, 0) + counts.get(0, 0)
     model = fit_corpus(positive, corpus, negative, counts.get(1, 0) / total if total else None, **kw)
     common.delete(docs.sparkSession, corpus.path)

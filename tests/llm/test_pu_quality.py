@@ -44,3 +44,14 @@ def test_edges(spark):
     out = m.score_documents(docs, m.learn(docs, labels)).collect()
     assert len(out) == 3 and all(0 <= r.score <= 1 for r in out)
     assert m.score_documents(docs.limit(0), None).count() == 0
+
+
+def test_texts_do_not_travel(spark):
+    docs = spark.createDataFrame([(i, f"text {i}") for i in range(20)], "key long, text string")
+    labels = spark.createDataFrame([(i, 1) for i in range(0, 20, 2)], "doc_id long, quality int")
+    rest = m.unlabelled(docs, labels)
+    assert sorted(r.key for r in rest.collect()) == list(range(1, 20, 2))
+    plan = rest._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Join") < plan.index("MapInArrow")  # features are made below the join
+    assert "BroadcastHashJoin" not in rest._jdf.queryExecution().executedPlan().toString()
+    assert m.unlabelled(docs.where("key % 2 = 0"), labels).count() == 10
