@@ -224,7 +224,7 @@ def _featured(rows: DataFrame) -> DataFrame:
             x = features(common.byte_list(batch.column(1))).astype(np.float16)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in x], pa.binary())], names=["key", "x"])
 
-    return rows.select("key", "text").mapInArrow(run, "key long, x binary")
+    return rows.select("key", "text").mapInArrow(common.trimmed(run), "key long, x binary")
 
 
 def _matrix(cells: list[bytes]) -> np.ndarray:
@@ -267,7 +267,7 @@ class Corpus:
             if acc is not None:
                 yield pa.RecordBatch.from_arrays([pa.array([acc.tobytes()], pa.binary())], names=["v"])
 
-        rows = self.frame.select("key", "x").mapInArrow(partial, "v binary").repartition(8).mapInArrow(summed, "v binary").collect()
+        rows = self.frame.select("key", "x").mapInArrow(common.trimmed(partial), "v binary").repartition(8).mapInArrow(common.trimmed(summed), "v binary").collect()
         return sum(np.frombuffer(bytes(r["v"])) for r in rows)
 
     def some(self, most: int, rows: int) -> np.ndarray:
@@ -393,7 +393,7 @@ def score_documents(docs: DataFrame, model: Model | None, threshold: float = 0.3
             score = model.score(features(texts).astype(np.float64)) if model else np.full(len(texts), 0.5)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.round(score, 9))], names=schema.names)
 
-    out = frame.mapInArrow(run, schema)
+    out = frame.mapInArrow(common.trimmed(run), schema)
     return common.unpacked(out, keep, held_out=F.col("held_out"), score=F.col("score"), predicted=(F.col("score") >= threshold).cast("int"))
 
 

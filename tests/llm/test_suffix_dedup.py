@@ -2,6 +2,7 @@ import hashlib
 import random
 from collections import Counter
 
+from graphdrift.llm import common
 from graphdrift.llm import suffix_dedup as m
 
 
@@ -92,3 +93,22 @@ def test_shorter_passages_beside(spark):
     assert {i: r.passages_cut for i, r in got.items()} == plain
     digests = {r.doc_id: r for r in m.removal_digests(docs, 120, 60).collect()}
     assert all(digests[i].n_removed == r.n_bytes - len(r.kept_bytes) and digests[i].text == r.passages_cut for i, r in got.items())
+
+
+def test_a_task_gives_its_memory_back():
+    kept = []
+
+    def hold(batches):
+        for b in batches:
+            rows = [bytes(2000) for _ in range(150_000)]
+            kept.append(rows[-1])  # one object above all freed ones
+            del rows
+            yield b
+
+    def resident():
+        with open("/proc/self/statm") as f:
+            return int(f.read().split()[1]) * 4096
+
+    before = resident()
+    assert list(common.trimmed(hold)([1])) == [1]
+    assert resident() - before < 100e6
