@@ -12,19 +12,26 @@ from graphdrift.operators.ranks import global_rank
 from graphdrift.sources.graphs import canonical, cell_edges
 
 
-def lattice3d(spark: SparkSession, a: int, b: int, c: int) -> DataFrame:
-    """A cuboid of cells; 3abc - ab - bc - ca edges."""
-    return cell_edges(spark.range(a * b * c).withColumnRenamed("id", "vid"), F.col("vid"), a, b, c)
+def lattice3d(spark: SparkSession, a: int, b: int, c: int, cells: DataFrame | None = None) -> DataFrame:
+    """A cuboid of cells; 3abc - ab - bc - ca edges. ``cells`` (vid) are those there are; all, unless told."""
+    cells = spark.range(a * b * c).withColumnRenamed("id", "vid") if cells is None else cells.where(F.col("vid") < a * b * c)
+    return cell_edges(cells, F.col("vid"), a, b, c)
 
 
-def powerlaw_clustered(spark: SparkSession, n: int, e: int, p: float = 0.1, seed: int = 0, chunk: int | None = None) -> DataFrame:
+def powerlaw_clustered(spark: SparkSession, n: int, e: int, p: float = 0.1, seed: int = 0, chunk: int | None = None, vertices: DataFrame | None = None) -> DataFrame:
     """Growth by preferential attachment with triads.
 
     Newcomers come in rounds; all of a round pick from the endpoints that the round
     found (an endpoint's share is its degree). A pick after the first closes, with
     chance ``p``, a triad over the arc picked before it. ``chunk`` newcomers a round
     (default: as many as there are vertices already, so rounds number log n).
+    ``vertices`` (vid) come in the order of their ids, and edges are between them.
     """
+    if vertices is not None:
+        grown = powerlaw_clustered(spark, n, e, p, seed, chunk)
+        numbered = cut(global_rank(vertices.select("vid"), "vid"))
+        at = lambda c: numbered.select(F.col("rank").alias(c), F.col("vid").alias(f"{c}_vid"))
+        return canonical(grown.join(at("src"), "src").join(at("dst"), "dst"), "src_vid", "dst_vid")
     edges = cut(spark.range(e).select(F.col("id").alias("src"), F.lit(e).cast("long").alias("dst")))
     have = e + 1
     while have < n:
