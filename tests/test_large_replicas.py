@@ -1,10 +1,13 @@
 """Runs in one task: what they take, and that arrays kept up to date stay those counted afresh."""
 
+import random
+
 import numpy as np
 import pytest
 
 from graphdrift.config import MigrationConfig
-from graphdrift.operators import replicas
+from graphdrift.operators import initial, replicas
+from graphdrift.operators.graph import vertices_of
 
 
 def cube(side):
@@ -31,3 +34,23 @@ def test_bytes_an_edge():
     held = sum(x.nbytes for x in vars(one).values() if isinstance(x, np.ndarray))
     assert held < 8 * len(src) + 60 * len(vid)
     assert replicas.ONE_TASK_EDGES * 16 < 1e9
+
+
+def test_a_chunked_stream_in_a_task_is_that_of_rounds(spark, monkeypatch):
+    random.seed(4)
+    pairs = sorted({tuple(sorted(random.sample(range(30), 2))) for _ in range(70)})
+    edges = spark.createDataFrame(pairs, "src long, dst long")
+    v = vertices_of(edges)
+    jobs = []
+    spark.conf.set("spark.sql.shuffle.partitions", "2")
+    for rule, chunk, cap in (("dgr", 11, None), ("mnn", 16, 5)):
+        place = lambda: sorted(map(tuple, initial.stream_chunked(edges, v, 3, rule, chunk, cap).collect()))  # noqa: B023, E731
+        monkeypatch.setattr(initial, "streams", lambda e: True)
+        spark.sparkContext.setJobGroup(f"task-{rule}-{chunk}", "")
+        one = place()
+        jobs.append(len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"task-{rule}-{chunk}")))
+        monkeypatch.setattr(initial, "streams", lambda e: False)
+        spark.sparkContext.setJobGroup("rounds", "")
+        assert one == place(), (rule, chunk, cap)
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
+    assert max(jobs) < 15  # however many chunks there are
