@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from graphdrift.config import MigrationConfig
@@ -47,3 +48,26 @@ def test_equals_the_distributed_loop(spark, graph, name):
     key = ["vid", "part", "home", "settle"]
     assert sorted(map(tuple, states.select(key).collect())) == sorted(map(tuple, state.select(key).collect()))
     spark.conf.set("spark.sql.shuffle.partitions", "8")
+
+
+def test_rules_are_the_placements(spark, graph):
+    ids = sorted(r.vid for r in vertices_of(graph).collect())
+    v = spark.createDataFrame([(i,) for i in ids], "vid long")
+    spark.conf.set("spark.sql.shuffle.partitions", "2")
+    for rule, want in {"hsh": initial.assign_hash(v, 4, False, 3), "hsh_mixed": initial.assign_hash(v, 4, True, 3), "rnd": initial.assign_random(v, 4, 3)}.items():
+        assert replicas.placed(rule, np.array(ids), 4, 3).tolist() == [r.part for r in want.orderBy("vid").collect()], rule
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
+
+
+def test_a_sweep_sends_the_edges_once_a_task(spark, graph, monkeypatch):
+    sent, packed = [], replicas.packed
+    monkeypatch.setattr(replicas, "packed", lambda rows, tasks, kind: sent.append((kind, len(tasks))) or packed(rows, tasks, kind))
+    spark.conf.set("spark.sql.shuffle.partitions", "2")
+    runs = {i: BASE.but(seed=i) for i in range(20)}
+    start = initial.assign_hash(vertices_of(graph), 4, True, 19)
+    none, histories = replicas.adapt_many(graph, {i: start if i > 17 else "hsh_mixed" for i in runs}, runs, 3)
+    assert none is None and dict(sent) == {replicas.EDGE: 8, replicas.VERTEX: 8, 0: 2} and len(sent) == 3
+    want = adapt(graph, start, runs[19], 3)[1].orderBy("iteration").drop("step_ms")
+    got = histories.where("run = 19").orderBy("iteration").select(want.columns)
+    assert [tuple(r) for r in got.collect()] == [tuple(r) for r in want.collect()] and histories.count() == 60
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
