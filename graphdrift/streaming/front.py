@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -58,36 +59,69 @@ def reciprocated(stream: DataFrame, within: str = "1 day", late: str = "1 day")
     return a.join(b, F.expr(f"s1 = d2 and d1 = s2 and ts2 > ts1 and ts2 <= ts1 + interval {within}")).select("ts1", "s1", "d1", "ts2")
 
 
+#: Groups that ties are dealt over; a group's ties are one state.
+TIE_GROUPS = 4096
+
+
+def expire_and_take(held: np.ndarray, new: np.ndarray, idle: int, watermark: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ties held (src, dst, last call) after new calls (src, dst, time), and the changes told: additions and deletions (src, dst, time).
+
+    All times are microseconds. A tie without a new call goes once the watermark (in
+    milliseconds) has passed its last call by the idle time.
+    """
+    both = np.concatenate([held, new])
+    old = np.arange(len(both)) < len(held)
+    order = np.lexsort((both[:, 2], ~old, both[:, 1], both[:, 0]))
+    both, old = both[order], old[order]
+    first = np.ones(len(both), bool)
+    first[1:] = (both[1:, :2] != both[:-1, :2]).any(axis=1)
+    tie = np.cumsum(first) - 1
+    begin = np.flatnonzero(first)
+    times = both[:, 2].copy()
+    # calls ascend but for the last one held, which a late call doesn't set back
+    after = old[begin][tie] & ~old
+    times[after] = np.maximum(times[after], both[begin, 2][tie[after]])
+    gap = np.zeros(len(both), bool)
+    gap[1:] = ~first[1:] & (times[1:] - times[:-1] > idle)
+    told = both[(first & ~old) | gap]
+    before = np.flatnonzero(gap) - 1
+    gone = np.stack([both[before, 0], both[before, 1], times[before] + idle], axis=1)
+    end = np.append(begin[1:], len(both)) - 1 if len(both) else begin
+    left = np.stack([both[end, 0], both[end, 1], times[end]], axis=1)
+    # a tie with one row, held before, has no new call
+    over = old[end] & ((left[:, 2] + idle) // 1000 + 1 <= watermark)
+    expired = left[over]
+    return left[~over], told, np.concatenate([gone, expired + [0, 0, idle]])
+
+
 def expiring_ties(stream: DataFrame, idle_days: int = 7, late: str = "1 day") -> DataFrame:
     """Changes (op, src, dst, ts): add_edge at a tie's first call, del_edge once it was idle too long.
 
-    State is one timestamp (microseconds) a tie; an event-time timer fires with the
-    watermark, once that has passed the last call by the idle time.
+    State is one timestamp (microseconds) a tie. Ties are dealt over groups, which are
+    handled as arrays; a group's event-time timer fires with the watermark, once that has
+    passed its oldest last call by the idle time.
     """
     idle = idle_days * 86_400_000_000
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        src, dst = key
-        row = lambda op, us: pd.DataFrame({"op": [op], "src": [src], "dst": [dst], "ts": [pd.Timestamp(us, unit="us")]})
-        if state.hasTimedOut:
-            (last,) = state.get
+        held = np.frombuffer(state.get[0], np.int64).reshape(-1, 3) if state.exists else np.zeros((0, 3), np.int64)
+        new = [np.zeros((0, 3), np.int64)]
+        if not state.hasTimedOut:
+            new += [f[["src", "dst", "us"]].to_numpy(np.int64) for f in frames]
+        watermark = state.getCurrentWatermarkMs()
+        left, told, gone = expire_and_take(held, np.concatenate(new), idle, watermark)
+        if len(left):
+            state.update((left.tobytes(),))
+            state.setTimeoutTimestamp(max((int(left[:, 2].min()) + idle) // 1000 + 1, watermark + 1))
+        else:
             state.remove()
-            yield row("del_edge", last + idle)
-            return
-        times = sorted(int(t.value // 1000) for f in frames for t in f.ts)
-        last = state.get[0] if state.exists else None
-        for t in times:
-            if last is None:
-                yield row("add_edge", t)
-            elif t - last > idle:
-                yield row("del_edge", last + idle)
-                yield row("add_edge", t)
-            last = t if last is None else max(last, t)
-        state.update((last,))
-        state.setTimeoutTimestamp(max((last + idle) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
+        rows = np.concatenate([told, gone])
+        op = np.repeat(["add_edge", "del_edge"], [len(told), len(gone)])
+        yield pd.DataFrame({"op": op, "src": rows[:, 0], "dst": rows[:, 1], "ts": pd.to_datetime(rows[:, 2], unit="us")})
 
     ties = stream.where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "ts")
-    return ties.withWatermark("ts", late).groupBy("src", "dst").applyInPandasWithState(step, "op string, src long, dst long, ts timestamp", "last long", "append", GroupStateTimeout.EventTimeTimeout)
+    dealt = ties.withWatermark("ts", late).select(F.pmod(F.xxhash64("src", "dst"), F.lit(TIE_GROUPS)).alias("g"), "src", "dst", F.unix_micros("ts").alias("us"), "ts")
+    return dealt.groupBy("g").applyInPandasWithState(step, "op string, src long, dst long, ts timestamp", "held binary", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 class TieExpiry(StatefulProcessor):
