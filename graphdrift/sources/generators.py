@@ -7,8 +7,10 @@ from pyspark.sql import functions as F
 
 from graphdrift.functions.hashing import BURN, PICK, mix32, salt_of, threshold
 from graphdrift.functions.lineage import cut
+from graphdrift.operators import search
 from graphdrift.operators.graph import symmetric, vertices_of
 from graphdrift.operators.ranks import global_rank
+from graphdrift.operators.replicas import fits
 from graphdrift.sources.graphs import canonical, cell_edges
 
 
@@ -54,6 +56,10 @@ def forest_fire(edges: DataFrame, newcomers: int, p: float = 0.35, depth: int =
     ``depth`` bounds the fire; a vertex catches by a coin of (newcomer, vertex).
     """
     spark = edges.sparkSession
+    if fits(edges):
+        if first is None:
+            first = (edges.agg(F.max(F.greatest("src", "dst"))).first()[0] or 0) + 1
+        return cut(search.fire_rows(edges, first, newcomers, p, depth, seed))
     sym = cut(symmetric(edges))
     known = cut(global_rank(vertices_of(edges), "vid"))
     n = known.count()
