@@ -54,3 +54,16 @@ def test_a_chunked_stream_in_a_task_is_that_of_rounds(spark, monkeypatch):
         assert one == place(), (rule, chunk, cap)
     spark.conf.set("spark.sql.shuffle.partitions", "8")
     assert max(jobs) < 15  # however many chunks there are
+
+
+def test_sums_follow_the_movers():
+    """What an iteration reports is kept up to date from the movers, not summed over all vertices."""
+    rng = np.random.default_rng(5)
+    src, dst = rng.integers(0, 4000, (2, 12000))
+    vid = np.arange(4000)
+    for deferred in (False, True):
+        run = replicas.Replica(src, dst, vid, vid % 7, MigrationConfig(k=7, deferred=deferred))
+        for _ in range(25):
+            run.step()
+            assert run.loads.tolist() == np.bincount(run.part, minlength=7).tolist()
+            assert (run.told, run.kept) == (run.others.sum(), run.own.sum()) and (run.near == run.counts()).all()
