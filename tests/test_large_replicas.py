@@ -67,3 +67,18 @@ def test_sums_follow_the_movers():
             run.step()
             assert run.loads.tolist() == np.bincount(run.part, minlength=7).tolist()
             assert (run.told, run.kept) == (run.others.sum(), run.own.sum()) and (run.near == run.counts()).all()
+
+
+def test_runs_by_rules_send_edges_alone(spark, monkeypatch):
+    """A task finds the ids at its edges' ends: no frame of vertices is made or sent."""
+    pairs = [(7, 2**40), (7, 9), (9, 30), (-4, 30)]
+    edges = spark.createDataFrame(pairs, "src long, dst long")
+    sent, packed = [], replicas.packed
+    monkeypatch.setattr(replicas, "packed", lambda rows, tasks, kind: sent.append(kind) or packed(rows, tasks, kind))
+    cfg = MigrationConfig(k=3)
+    start = initial.assign_hash(vertices_of(edges), 3, True, cfg.seed)
+    got, want = (replicas.adapt_many(edges, {0: s}, {0: cfg}, 3)[1].drop("step_ms").orderBy("iteration").collect() for s in ("hsh_mixed", start))
+    assert got == want and sent == [replicas.EDGE, replicas.EDGE, 0]
+    for gap in (1, 1000):
+        ends = np.array([5, 3, 3, 9, 5]) * gap
+        assert replicas.ids_of(ends.astype(np.uint64)).tolist() == [3 * gap, 5 * gap, 9 * gap]
