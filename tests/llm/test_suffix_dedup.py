@@ -112,3 +112,19 @@ def test_a_task_gives_its_memory_back():
     before = resident()
     assert list(common.trimmed(hold)([1])) == [1]
     assert resident() - before < 100e6
+
+
+def test_ranks_are_those_of_bytes():
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 2, 5000):
+        text = rng.choice(np.frombuffer(b"ab\xff", np.uint8), n).tobytes()
+        words = m._words(np.frombuffer(text + bytes(80), np.uint8))
+        assert [int(w) for w in words[:50]] == [int.from_bytes((text + bytes(80))[k : k + 8], "big") for k in range(len(words[:50]))]
+        at = np.arange(0, n, 3)
+        strings = [(text + bytes(80))[k : k + 32] for k in at]
+        place = {x: i for i, x in enumerate(sorted(set(strings)))}
+        assert m._first_bytes(words, at).tolist() == [place[x] for x in strings]
+        far = rng.integers(0, 1 << 63, n).astype(np.uint64)  # too wide to hold their places
+        assert m._order(far, 64)[1].tolist() == sorted(far.tolist())
