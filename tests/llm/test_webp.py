@@ -111,3 +111,22 @@ def test_query(spark):
     assert rows[1].tail_crc32 == zlib.crc32(payload[-16:]) and rows[1][3:] == rows[None][3:]
     assert rows[2].payload_sha256 == hashlib.sha256(b" " * 192).hexdigest() and rows[2].n_bytes == 0
     assert w.media_digests(docs.limit(0)).count() == 0
+
+
+def test_every_strip_of_many_colours_goes_through_all_transforms():
+    random.seed(8)
+    letters = b"etaoin shrdlu cmfwyp,.\n"
+    texts = [bytes(random.choice(letters) for _ in range(random.randint(1, 15_000))) for _ in range(25)] + [bytes(random.randrange(256) for _ in range(9000))]
+    payloads = [w.padded(t) for t in texts]
+    encoder, decoder = w.PayloadEncoder(), w.Decoder()
+    for _ in range(2):  # the second time by known headers
+        media = w.store_payloads(payloads, encoder)
+        assert [p.tobytes() for p in w.load_pixels(media, decoder)] == payloads
+    strips = [s for p in payloads for s in w.strips_of(p)]
+    files = [f for m in media for f in w.files_of(m)]
+    for strip, file in zip(strips, files):
+        fresh = w.Decoder()
+        kinds = [t[0] for t in fresh.parse(file).transforms]
+        assert kinds == ([w.PALETTE] if w.PayloadEncoder._few(strip) else [w.PREDICTOR, w.CROSS, w.GREEN])
+        assert fresh.decode([file])[0][..., 1:].tobytes() == strip
+    assert decoder.kept > 1 and len({f[21:60] for f in files}) > 1
