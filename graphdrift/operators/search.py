@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphdrift.functions.hashing import BURN, PICK, threshold
-from graphdrift.operators.replicas import BLOCK, EDGE, Graph, hashed, packed, unpacked
+from graphdrift.operators.replicas import BLOCK, EDGE, Graph, hashed, packed, sent, unpacked
 
 #: Searches in a word.
 BITS = 64
@@ -40,7 +40,7 @@ def on_graph(edges: DataFrame, tasks: int, work: Callable[[Graph, int], Iterator
             yield from work(graph, task)
 
     rows = packed(edges.select(F.col("src").cast("long"), F.col("dst").cast("long")), list(range(tasks)), EDGE)
-    return rows.repartitionById(tasks, F.col("task")).mapInArrow(whole, schema)
+    return sent(rows, tasks).mapInArrow(whole, schema)
 
 
 def spread(graph: Graph, front: np.ndarray) -> np.ndarray:
